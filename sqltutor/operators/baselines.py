@@ -52,7 +52,8 @@ def nearest_by_planes(queries: DataFrame, pool: DataFrame, k: int, bits: int, se
 
 def skeleton_then_fill(neighbours: DataFrame, golds: DataFrame) -> DataFrame:
     """Most frequent skeleton among a question's neighbours, filled with the text of the nearest one that has it."""
-    votes = neighbours.join(golds, neighbours.neighbour == golds.question_id).select(neighbours.question_id, "place", "skeleton", "gold_sql")
+    known = golds.select(F.col("question_id").alias("neighbour"), "skeleton", "gold_sql")
+    votes = neighbours.select("question_id", "place", "neighbour").join(known, "neighbour")
     counts = votes.groupBy("question_id", "skeleton").agg(F.count("*").alias("n"), F.min(F.struct("place", "gold_sql")).alias("best"))
     first = F.row_number().over(Window.partitionBy("question_id").orderBy(F.desc("n"), F.col("best.place")))
     return counts.withColumn("k", first).where("k = 1").select("question_id", "skeleton", F.col("best.gold_sql").alias("sql"))

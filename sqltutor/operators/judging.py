@@ -25,7 +25,7 @@ def decompose(sql: Column, values: bool = True) -> Column:
 
 
 def _judge(gold: str | None, pred: str | None) -> dict:
-    g, p = sqltext.decompose(gold), sqltext.decompose(pred)
+    g, p = sqltext._known(gold, True), sqltext._known(pred, True)
     share = sum(g[c] == p.get(c) for c in g) / len(g) if g else 0.0
     wrong = sqltext.differences(gold, pred) if pred is not None else list(sqltext.ERRORS[:1])
     return {"em": sqltext.set_match(gold, pred), "em_no_values": sqltext.set_match(gold, pred, False), "clause_share": share,

@@ -50,7 +50,7 @@ def pgr(per_arm: DataFrame, weak: str, strong: str, by: list[str]) -> DataFrame:
     """Part of the gap between a weak and a strong arm that each arm closes; null where there is no gap."""
     ends = per_arm.groupBy(*by).agg(F.max(F.when(F.col("arm") == weak, F.col("ex"))).alias("b"), F.max(F.when(F.col("arm") == strong, F.col("ex"))).alias("a"))
     joined = per_arm.join(ends, by) if by else per_arm.join(ends, F.lit(True))
-    return joined.select("arm", *by, F.try_divide(F.col("ex") - F.col("b"), F.col("a") - F.col("b")).alias("pgr"))
+    return joined.select("arm", *by, (F.try_divide(F.col("ex") - F.col("b"), F.col("a") - F.col("b")) + 0.0).alias("pgr"))
 
 
 def token_cost(df: DataFrame, by: list[str], mu: float = 1.0) -> DataFrame:

@@ -207,9 +207,9 @@ def _reward_sql(s: reward.RewardSpec) -> str:
     success = f"({ran})" if s.success_rule == "ran" else f"({ran} AND equal)"
     linked = ("link_equal" if s.link_rule == "equal" else "link_set_ok") + (" AND n_elements > 0" if s.require_nonempty else "")
     if s.kind == "sparse":
-        return f"SELECT event_id, CASE WHEN {shaped} AND {success} THEN 1.0 ELSE 0.0 END AS total FROM ({LEAVES}) AS l"
+        return f"SELECT event_id, CAST(CASE WHEN {shaped} AND {success} THEN 1.0 ELSE 0.0 END AS DOUBLE) AS total FROM ({LEAVES}) AS l"
     eff = " + CASE WHEN t_pred = 0 THEN 1.0 ELSE least(1.0, t_gold / t_pred) END" if s.efficiency and not s.stop_after_success else ""
-    return f"SELECT event_id, round(CASE WHEN NOT ({shaped}) THEN -2.0 WHEN {success} THEN 3.0{eff} WHEN {linked} THEN 0.0 ELSE -1.5 END, 6) AS total FROM ({LEAVES}) AS l"
+    return f"SELECT event_id, round(CAST(CASE WHEN NOT ({shaped}) THEN -2.0 WHEN {success} THEN 3.0{eff} WHEN {linked} THEN 0.0 ELSE -1.5 END AS DOUBLE), 6) AS total FROM ({LEAVES}) AS l"
 
 
 def _reward(spec):
@@ -224,7 +224,7 @@ for _name, _spec in {**{f"reward_{k}": v for k, v in reward.READINGS.items() if
     _add(_name, _reward_sql(_spec))(_reward(_spec))
 
 
-@_add("reward_lattice", f"""SELECT stage, round(fmt + exec + link, 6) AS leaf, count(*) AS n FROM (SELECT CASE WHEN NOT (pattern_ok AND sim >= 0.6) THEN 'format' WHEN status = 'ok' AND t_pred <= 30 AND equal THEN 'efficiency' ELSE 'linking' END AS stage,
+@_add("reward_lattice", f"""SELECT stage, CAST(fmt + exec + link AS DOUBLE) AS leaf, count(*) AS n FROM (SELECT CASE WHEN NOT (pattern_ok AND sim >= 0.6) THEN 'format' WHEN status = 'ok' AND t_pred <= 30 AND equal THEN 'efficiency' ELSE 'linking' END AS stage,
   CASE WHEN pattern_ok AND sim >= 0.6 THEN 1.0 ELSE -2.0 END AS fmt, CASE WHEN NOT (pattern_ok AND sim >= 0.6) THEN 0.0 WHEN status = 'ok' AND t_pred <= 30 AND equal THEN 2.0 ELSE -2.5 END AS exec,
   CASE WHEN NOT (pattern_ok AND sim >= 0.6) OR (status = 'ok' AND t_pred <= 30 AND equal) OR NOT link_set_ok THEN 0.0 ELSE 1.5 END AS link FROM ({LEAVES}) AS l) AS s GROUP BY 1, 2""")
 def _(spark, d):
@@ -320,9 +320,6 @@ def _(spark, d):
 
 
 # group-relative optimisation
-_ADV = f"SELECT event_id, total - avg(total) OVER (PARTITION BY question_id) AS adv, question_id, total FROM (SELECT event_id, question_id, value AS total FROM events) AS l"
-
-
 def _adv(spark, d, normalise="none"):
     return grouprl.advantages(table(spark, d, "events").select("event_id", F.col("user_id").alias("question_id"), F.col("value").alias("total")), normalise=normalise)
 
@@ -350,9 +347,6 @@ def _(spark, d):
     return grouprl.surrogate(rows).select(*_r("surrogate"))
 
 
-_POLICY = "SELECT o_orderpriority AS question_class, ln(CAST(count(*) FILTER (WHERE o_orderstatus = '{0}') AS DOUBLE) / count(*)) AS logp FROM orders GROUP BY 1"
-
-
 @_add("kl_exact", """WITH p AS (SELECT o_orderpriority AS c, o_orderstatus AS k, CAST(count(*) AS DOUBLE) / sum(count(*)) OVER (PARTITION BY o_orderpriority) AS p FROM orders GROUP BY 1, 2),
   q AS (SELECT o_orderstatus AS k, CAST(count(*) AS DOUBLE) / sum(count(*)) OVER () AS q FROM orders GROUP BY 1)
   SELECT c AS question_class, round(sum(p * (ln(p) - ln(q))), 6) AS kl FROM p JOIN q USING (k) GROUP BY c""")
@@ -431,7 +425,7 @@ _add("ves_engine_mean", f"SELECT arm, suite, round(ves, 6) AS ves FROM ({_VE}) A
 _add("efficiency_gain", f"WITH v AS ({_VE}) SELECT v.arm, v.suite, round(100.0 * (v.ves - b.ves) / b.ves, 6) AS gain FROM v JOIN v AS b ON b.suite = v.suite AND b.arm = '5-LOW'")(
     _eval(lambda e: metrics.efficiency_gain(metrics.across_engines(e, ["arm", "suite"]), "5-LOW", ["suite"]), "gain"))
 _EX = f"SELECT arm, suite, avg(CAST(ex AS INT)) AS ex, avg(n_tok_in + 1.0 * n_tok_out) AS tok FROM ({EVAL}) AS e GROUP BY 1, 2"
-_add("pgr", f"WITH x AS ({_EX}) SELECT x.arm, x.suite, round(CASE WHEN a.ex = b.ex THEN NULL ELSE (x.ex - b.ex) / (a.ex - b.ex) END, 6) AS pgr FROM x JOIN x AS b ON b.suite = x.suite AND b.arm = '5-LOW' JOIN x AS a ON a.suite = x.suite AND a.arm = '1-URGENT'")(
+_add("pgr", f"WITH x AS ({_EX}) SELECT x.arm, x.suite, round(CASE WHEN a.ex = b.ex THEN NULL ELSE (x.ex - b.ex) / (a.ex - b.ex) END + 0.0, 6) AS pgr FROM x JOIN x AS b ON b.suite = x.suite AND b.arm = '5-LOW' JOIN x AS a ON a.suite = x.suite AND a.arm = '1-URGENT'")(
     _eval(lambda e: metrics.pgr(metrics.ex(e, ["arm", "suite"]), "5-LOW", "1-URGENT", ["suite"]), "pgr"))
 _add("token_cost", f"SELECT arm, suite, round(avg(n_tok_in + 2.0 * n_tok_out), 6) AS tokens FROM ({EVAL}) AS e GROUP BY 1, 2")(_eval(lambda e: metrics.token_cost(e, ["arm", "suite"], 2.0), "tokens"))
 _add("tep", f"""WITH x AS ({_EX}), y AS (SELECT x.arm, x.suite, (x.ex - b.ex) / b.ex AS gain, (x.tok - b.tok) / b.tok AS spent FROM x JOIN x AS b ON b.suite = x.suite AND b.arm = '5-LOW')
@@ -809,7 +803,7 @@ def _(spark, d):
     import uuid
 
     tag = uuid.uuid4().hex
-    src = jobs.source(spark, f"{d}/events.parquet")
+    src = jobs.source(spark, f"{d}/events.parque[t]")
     return jobs.drained(spark, jobs.runs_of_three(src), "append", f"runs_{tag}", f"{shared_dir(spark)}/stream-{tag}")
 
 
@@ -818,7 +812,7 @@ def _(spark, d):
     import uuid
 
     tag = uuid.uuid4().hex
-    out = jobs.drained(spark, jobs.tumbling(jobs.source(spark, f"{d}/events.parquet")), "complete", f"tumbling_{tag}", f"{shared_dir(spark)}/stream-{tag}")
+    out = jobs.drained(spark, jobs.tumbling(jobs.source(spark, f"{d}/events.parque[t]")), "complete", f"tumbling_{tag}", f"{shared_dir(spark)}/stream-{tag}")
     return out.select("start", *_r("mean", "sd"), "n")
 
 

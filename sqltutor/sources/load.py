@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import re
+
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -23,12 +25,9 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 
 
 def sql(spark: SparkSession, sf_dir: str, text: str) -> DataFrame:
-    """``text`` over those of the given tables that it names, without leaving views behind."""
-    import re
-
-    used = {t: table(spark, sf_dir, t) for t in TABLES if re.search(rf"\b{t}\b", text)}
-    escaped = text.replace("{", "{{").replace("}", "}}")
-    return spark.sql(re.sub(rf"\b({'|'.join(used) or '(?!)'})\b(?!\.)", r"{\1}", escaped), **used)
+    """``text`` over those of the given tables that it names; they are named inside the statement, so no view stays behind."""
+    named = [f"{t} AS (SELECT * FROM parquet.`{sf_dir}/{t}.parquet`)" for t in TABLES if re.search(rf"\b(?:FROM|JOIN)\s+{t}\b", text)]
+    return spark.sql(f"WITH {', '.join(named)} {text}" if named else text)
 
 
 def views(spark: SparkSession, sf_dir: str, names: tuple[str, ...] = TABLES) -> None:

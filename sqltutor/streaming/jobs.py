@@ -17,6 +17,7 @@ LATE, GAP = "1 day", "12 hours"
 
 
 def source(spark: SparkSession, path: str, files: int = 1) -> DataFrame:
+    """``path``: a folder, or a single file written as a pattern (``events.parque[t]``), which streams also take."""
     return spark.readStream.schema(SCHEMA).option("maxFilesPerTrigger", files).parquet(path)
 
 
