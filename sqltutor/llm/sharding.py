@@ -95,9 +95,9 @@ def sharded(spark: SparkSession, docs: DataFrame, shards: int = SHARDS) -> DataF
     rows = scratch.save(_described(docs), "rows")
     total = rows.count()
     quota = {s: total // shards + (s < total % shards) for s in range(shards)}
-    texts = rows.groupBy("text_key").agg(F.count("*").alias("copies")).where("copies > 1").select("text_key")
-    cells = (rows.select("text_key", "fibre").join(texts, "text_key").groupBy("text_key", "fibre").agg(F.count("*").alias("n"))
-             .withColumn("shard", F.pmod("fibre", F.lit(shards)).cast("int")))
+    cells = scratch.save(rows.groupBy("text_key", "fibre").agg(F.count("*").alias("n")), "all-cells")
+    texts = cells.groupBy("text_key").agg(F.sum("n").alias("copies")).where("copies > 1").select("text_key")
+    cells = cells.join(texts, "text_key", "left_semi").withColumn("shard", F.pmod("fibre", F.lit(shards)).cast("int"))
     cells = propagate(spark, cells, quota)
     held = _granted(cells.withColumnRenamed("shard", "target"), quota).select("text_key", "fibre", F.col("target").alias("shard"))
     held = scratch.save(held, "held")
