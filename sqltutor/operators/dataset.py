@@ -49,9 +49,14 @@ def truncate(df: DataFrame, most: int = 8192, text: str = "text") -> DataFrame:
 
 
 def grams(text: Column, n: int) -> Column:
+    """Distinct hashes of all ``n``-word sequences; the words are cut once and bound, not once per sequence."""
     words = F.filter(F.split(normalised(text), " "), lambda x: x != "")
-    starts = F.when(F.size(words) >= n, F.sequence(F.lit(1), F.size(words) - n + 1)).otherwise(F.array().cast("array<int>"))
-    return F.array_distinct(F.transform(starts, lambda i: F.xxhash64(F.array_join(F.slice(words, i, n), " "))))
+
+    def hashed(w: Column) -> Column:
+        starts = F.when(F.size(w) >= n, F.sequence(F.lit(1), F.size(w) - n + 1)).otherwise(F.array().cast("array<int>"))
+        return F.transform(starts, lambda i: F.xxhash64(F.array_join(F.slice(w, i, n), " ")))
+
+    return F.array_distinct(F.get(F.transform(F.array(words), hashed), F.lit(0)))
 
 
 def contaminated(docs: DataFrame, tests: DataFrame, n: int = 8, text: str = "text", key: str = "doc_id", test_key: str = "item_id") -> DataFrame:

@@ -35,6 +35,20 @@ OUTCOME = {"exact": ("ok", True, 1.0, "slow"), "equivalent": ("ok", True, 1.0, "
            "text_in_fast_think": ("ok", True, 1.0, "fast"), "unclosed_tag": ("ok", True, 1.0, "slow")}
 
 
+def _dropped(gold: str) -> str:
+    """The first WHERE without its last condition, or without the clause if it has one only."""
+    begin = gold.index(" WHERE ")
+    depth, at, last, end = 0, begin + 7, None, len(gold)
+    for i in range(at, len(gold)):
+        depth += (gold[i] == "(") - (gold[i] == ")")
+        if depth < 0 or depth == 0 and re.match(r" (?:GROUP BY|ORDER BY|EXCEPT|UNION|INTERSECT|LIMIT)\b", gold[i:]):
+            end = i
+            break
+        if depth == 0 and gold.startswith(" AND ", i):
+            last = i
+    return gold[: begin if last is None else last] + gold[end:]
+
+
 def edit(gold: str, kind: str) -> str:
     """A template's text with one edit. Kinds that only spoil the response keep the SQL."""
     table = re.search(r"\bFROM (\w+)", gold).group(1)
@@ -59,8 +73,7 @@ def edit(gold: str, kind: str) -> str:
             if a in gold:
                 return gold.replace(a, b, 1)
     if kind == "condition":
-        m = re.search(r" AND (?:NOT EXISTS \(.*\)|[^()]*?(?:\([^()]*\)[^()]*?)*?)(?=$| GROUP BY| EXCEPT| UNION| INTERSECT| ORDER BY|\))", gold)
-        return gold[: m.start()] + gold[m.end() :] if m else re.sub(r" WHERE (?:NOT EXISTS \(.*\)|[^()]*?(?:\([^()]*\)[^()]*?)*?)(?=$| GROUP BY| INTERSECT| UNION| ORDER BY|\))", "", gold, count=1)
+        return _dropped(gold)
     if kind == "attribute":
         found = min(((gold.find(c), c) for c in OTHER_COLUMN if re.search(rf"\b{c}\b", gold)), default=None)
         return re.sub(rf"\b{found[1]}\b", OTHER_COLUMN[found[1]], gold, count=1) if found else gold
