@@ -31,7 +31,7 @@ _WS = r"\t-\r\x20\x85\xa0\u1680\u2000-\u200a\u2028\u2029\u202f\u205f\u3000"
 PATTERN = regex.compile(rf"'s|'t|'re|'ve|'m|'ll|'d| ?\p{{L}}+| ?\p{{N}}+| ?[^{_WS}\p{{L}}\p{{N}}]+|[{_WS}]+(?![^{_WS}])|[{_WS}]+")
 _ODD_ASCII = "\t\r\x0b\x0c\x1c\x1d\x1e\x1f"
 _ODD_WIDE = regex.compile(r"[\x85\xa0\u1680\u2000-\u200a\u2028\u2029\u202f\u205f\u3000]")
-CACHE, FAR = 350_000, 1 << 40
+CACHE, LARGE_CACHE, FAR = 350_000, 900_000, 1 << 40
 
 
 def byte_letters() -> dict[str, int]:
@@ -187,7 +187,7 @@ class Memory:
 class Speculative:
     """Texts -> packed ids. Pieces keep no leading space in memory; the space is part of what they stand for."""
 
-    def __init__(self, path: str, limit: int = CACHE):
+    def __init__(self, path: str, limit: int = LARGE_CACHE):
         self.v, self.memory = vocabulary(path), Memory(limit)
         self.split = regex.compile("|".join(map(regex.escape, self.v.special))) if self.v.special else None
 
