@@ -12,10 +12,10 @@ _FENCE = r"(?s)```sql\n(.*?)\n?```"
 _THINK = r"(?s)<think>(.*?)</think>"
 #: Whole-response patterns of the modes; both Java and RE2 read them.
 SHAPES = {
-    "suppressed": r"(?s)\A\s*```sql\n.*\S.*\n```\s*\z",
-    "fast": r"(?s)\A<think>\n\n</think>\n\n```sql\n.*\S.*\n```\s*\z",
-    "slow": r"(?s)\A<think>.*\S.*</think>\n\n```sql\n.*\S.*\n```\s*\z",
-    "tags_only": r"(?s)<think>.*</think>.*```sql\n.*\S.*\n```",
+    "suppressed": r"(?s)\A\s*```sql\n\s*\S.*?\n```\s*\z",
+    "fast": r"(?s)\A<think>\n\n</think>\n\n```sql\n\s*\S.*?\n```\s*\z",
+    "slow": r"(?s)\A<think>\s*\S.*?</think>\n\n```sql\n\s*\S.*?\n```\s*\z",
+    "tags_only": r"(?s)<think>.*?</think>.*?```sql\n\s*\S.*?\n```",
 }
 
 

@@ -38,18 +38,20 @@ def extract(sql: Column, tables: tuple[str, ...] = ()) -> Column:
     tokens = F.filter(F.split(F.trim(_chain(sql, STEPS)), " "), lambda x: x != "")
 
     def kind(all_: Column) -> Column:
-        at = lambda i: F.upper(F.coalesce(F.get(all_, i), F.lit("")))
-        is_key = lambda t: t.isin(*KEYWORDS)
+        ups = F.transform(all_, F.upper)
+        none = F.array(F.lit(""))
+        around = F.arrays_zip(all_.alias("x"), ups.alias("up"), F.concat(none, ups).alias("before"), F.concat(F.slice(ups, F.lit(2), F.size(all_)), none).alias("after"))
         is_name = lambda t: t.rlike(r"\A[A-Z_][A-Z0-9_]*\z")
 
-        def one(x: Column, i: Column) -> Column:
-            up, before, after = F.upper(x), F.when(i > 0, at(i - 1)).otherwise(F.lit("")), at(i + 1)
-            alias = (before == "AS") | (before == ")") | before.isin(STR, VAL, COL) | (is_name(before) & ~is_key(before)) | (before == "END")
-            return (F.when((up == "AS") & ~after.isin(*TYPES), F.lit("")).when(is_key(up), up).when(~is_name(up), x)
+        def one(z: Column) -> Column:
+            x, up, before, after = z["x"], z["up"], z["before"], z["after"]
+            key, name = up.isin(*KEYWORDS), is_name(up)
+            alias = before.isin("AS", ")", "END", STR, VAL, COL) | (is_name(before) & ~before.isin(*KEYWORDS))
+            return (F.when(x.isNull() | (up == "AS") & ~after.isin(*TYPES), F.lit("")).when(key, up).when(~name, x)
                     .when(after == "(", F.concat(up, F.lit(CALL))).when(before.isin("FROM", "JOIN"), F.lit("[tab]")).when(alias, F.lit(""))
                     .when(F.lower(x).isin(*tables) if tables else F.lit(False), F.lit("[tab]")).otherwise(F.lit(COL)))
 
-        return F.transform(all_, one)
+        return F.transform(around, one)
 
     named = F.get(F.transform(F.array(tokens), kind), F.lit(0))
     return F.trim(_chain(F.array_join(F.filter(named, lambda x: x != ""), " "), TIDY))

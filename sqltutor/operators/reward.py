@@ -69,9 +69,12 @@ def arms(spark) -> DataFrame:
 
 def assembled(cands: DataFrame, match: str = "blocks", tau: float | None = None) -> DataFrame:
     """Candidates with all that the stages need from text: pattern verdict, skeletons, similarity."""
-    rows = (cands.withColumn("pattern_ok", R.valid_in(F.col("mode"), F.col("response"))).withColumn("shape_ok", R.sql_shape_ok(F.col("sql")))
-            .withColumn("skeleton", emphasise(extract(F.col("sql")))).withColumn("gold_skeleton", emphasise(extract(F.col("gold_sql")))))
-    rows = written(cands.sparkSession, rows, "skeletons")  # both sides of the join below would compute them
+    rows = cands.withColumn("pattern_ok", R.valid_in(F.col("mode"), F.col("response"))).withColumn("shape_ok", R.sql_shape_ok(F.col("sql")))
+    texts = cands.select(F.col("sql").alias("__sql")).union(cands.select("gold_sql")).where("__sql IS NOT NULL").distinct()
+    known = written(cands.sparkSession, texts.withColumn("__sk", emphasise(extract(F.col("__sql")))), "skeletons")
+    for text, name in (("sql", "skeleton"), ("gold_sql", "gold_skeleton")):
+        rows = rows.join(known.select(F.col("__sql").alias(text), F.col("__sk").alias(name)), text, "left")
+    rows = written(cands.sparkSession, rows, "with-skeletons")  # both sides of the join below would compute them
     return scored_pairs(rows, "skeleton", "gold_skeleton", match=match, tau=tau)
 
 

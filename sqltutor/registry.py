@@ -17,7 +17,7 @@ from .operators import baselines, dataset, distill, grouprl, judging, linking, m
 from .plans import execution, planlevel
 from .session import reach_workers
 from .sources.load import DATABASES, schema_dictionary, sql, table
-from .store import shared_dir
+from .store import shared_dir, written
 from .streaming import jobs
 
 Query = Callable[[SparkSession, str], DataFrame]
@@ -75,6 +75,12 @@ def _add(name: str, text: str | None = None):
     return deco
 
 
+def _spread(df: DataFrame, key: str) -> DataFrame:
+    """Small files with much work on each row go to all cores; large tables come in as many parts anyway."""
+    spark = df.sparkSession
+    return df.repartition(max(spark.sparkContext.defaultParallelism, int(spark.conf.get("spark.sql.shuffle.partitions"))), key)
+
+
 def _r(*names: str):
     return [F.round(n, 6).alias(n) for n in names]
 
@@ -82,12 +88,12 @@ def _r(*names: str):
 # responses and skeletons
 @_add("skeleton_extract", f"SELECT o_orderkey, {skeleton.duck_extract('pred')} AS skeleton FROM ({TEXTS}) AS t")
 def _(spark, d):
-    return sql(spark, d, TEXTS).select("o_orderkey", skeleton.extract(F.col("pred")).alias("skeleton"))
+    return _spread(sql(spark, d, TEXTS), "o_orderkey").select("o_orderkey", skeleton.extract(F.col("pred")).alias("skeleton"))
 
 
 @_add("skeleton_emphasis", f"SELECT o_orderkey, {skeleton.duck_emphasise(skeleton.duck_extract('pred'))} AS skeleton FROM ({TEXTS}) AS t")
 def _(spark, d):
-    return sql(spark, d, TEXTS).select("o_orderkey", skeleton.emphasise(skeleton.extract(F.col("pred"))).alias("skeleton"))
+    return _spread(sql(spark, d, TEXTS), "o_orderkey").select("o_orderkey", skeleton.emphasise(skeleton.extract(F.col("pred"))).alias("skeleton"))
 
 
 _SK = f"SELECT o_orderkey, {skeleton.duck_emphasise(skeleton.duck_extract('pred'))} AS a, {skeleton.duck_emphasise(skeleton.duck_extract('gold'))} AS b FROM ({TEXTS}) AS t"
@@ -97,7 +103,7 @@ _EDIT = "CASE WHEN greatest(length(a), length(b)) = 0 THEN 1.0 ELSE 1.0 - CAST(l
 
 
 def _pairs(spark, d):
-    t = sql(spark, d, TEXTS)
+    t = _spread(sql(spark, d, TEXTS), "o_orderkey")
     return t.select("o_orderkey", skeleton.emphasise(skeleton.extract(F.col("pred"))).alias("a"), skeleton.emphasise(skeleton.extract(F.col("gold"))).alias("b"))
 
 
@@ -145,12 +151,12 @@ def _(spark, d):
 
 @_add("blocks_ratio")
 def _(spark, d):
-    return similarity.scored_pairs(_pairs(spark, d), "a", "b").select("o_orderkey", *_r("ratio", "jac", "sim"))
+    return similarity.scored_pairs(written(spark, _pairs(spark, d), "pairs"), "a", "b").select("o_orderkey", *_r("ratio", "jac", "sim"))
 
 
 @_add("blocks_ratio_gated")
 def _(spark, d):
-    rows = similarity.scored_pairs(_pairs(spark, d), "a", "b", tau=0.6)
+    rows = similarity.scored_pairs(written(spark, _pairs(spark, d), "pairs"), "a", "b", tau=0.6)
     return rows.select("o_orderkey", skeleton.gate(F.col("sim")).alias("gate"))
 
 
@@ -327,9 +333,9 @@ def _adv(spark, d, normalise="none"):
 _ADV = "SELECT event_id, question_id, total, total - avg(total) OVER (PARTITION BY question_id) AS adv FROM (SELECT event_id, user_id AS question_id, value AS total FROM events) AS l"
 
 
-@_add("advantage", f"SELECT event_id, round(adv, 6) AS adv FROM ({_ADV}) AS a")
+@_add("advantage", f"SELECT event_id, round(adv, 9) AS adv FROM ({_ADV}) AS a")
 def _(spark, d):
-    return _adv(spark, d).select("event_id", *_r("adv"))
+    return _adv(spark, d).select("event_id", F.round("adv", 9).alias("adv"))
 
 
 @_add("advantage_std", "SELECT event_id, round(CASE WHEN sd = 0 THEN NULL ELSE (total - m) / sd END, 6) AS adv FROM (SELECT event_id, value AS total, avg(value) OVER (PARTITION BY user_id) AS m, stddev_pop(value) OVER (PARTITION BY user_id) AS sd FROM events) AS a")

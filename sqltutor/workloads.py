@@ -45,7 +45,8 @@ def prepared(spark: SparkSession, sf_dir: str) -> DataFrame:
 
     def make() -> DataFrame:
         # each step joins its input with scores of that input's distinct texts; written inputs are computed once
-        cands = written(spark, mutate.replayed(mutate.candidates(asked(spark, sf_dir))), "replayed")
+        parts = max(spark.sparkContext.defaultParallelism, int(spark.conf.get("spark.sql.shuffle.partitions")))  # texts are short, the work on them is not
+        cands = mutate.replayed(mutate.candidates(asked(spark, sf_dir))).repartition(parts, "question_id", "slot")
         rows = written(spark, reward.assembled(cands), "assembled")
         rows = written(spark, linking.with_elements(rows, ["sql", "gold_sql"], owners(spark, sf_dir)), "linked")
         rows = judging.judged(linking.score(rows, "sql_elements", "gold_sql_elements"))
