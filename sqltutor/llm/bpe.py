@@ -216,6 +216,12 @@ class Speculative:
         return out
 
 
+@lru_cache(maxsize=1)
+def speculative(path: str) -> Speculative:
+    """One per worker process, so that its memory serves all tasks that the worker runs."""
+    return Speculative(path)
+
+
 def decode(v: Vocabulary, packed: bytes) -> str:
     """Ids -> text; bytes that are no UTF-8 become U+FFFD, special tokens their names."""
     return b"".join(map(v.pieces.__getitem__, np.frombuffer(packed, v.kind).tolist())).decode("utf-8", "replace")
@@ -240,7 +246,7 @@ CODED = "doc_id long, n_tokens long, ids_sha256 string, decoded_sha256 string"
 
 def _round_trip(path: str):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        coder = Speculative(path)
+        coder = speculative(path)
         for b in batches:
             for start, texts in slices(b.column(1)):
                 rows = [np.frombuffer(x, coder.v.kind) for x in coder.encode_batch(texts)]
