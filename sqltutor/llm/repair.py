@@ -148,7 +148,7 @@ def _writer(path: str, root: str, end: int, shard: int):
             return pa.RecordBatch.from_arrays([pa.array([x]) for x in row], [f.split()[0] for f in MANIFEST.split(", ")])
 
         for b in batches:
-            for start, texts in slices(b.column(1)):
+            for start, texts in slices(b.column(1), min(4 << 20, 2 * shard)):
                 docs += b.column(0).slice(start, len(texts)).to_pylist()
                 held += (new := [x + last for x in coder.encode_batch(texts)])
                 total += sum(map(len, new))

@@ -300,8 +300,8 @@ def test_toxicity(spark):
     assert all(r.held_out == (zlib.crc32(str(i).encode()) % 4 == 2) for i, r in got.items())
     right = [got[i].predicted == t for i, _, t in labels if got[i].held_out]
     assert sum(right) / len(right) > 0.97 and not any(got[i].predicted for i in (5000, 5001, 5002))
-    other = marks.withColumn("toxic", marks.toxic)
-    held = other.where(toxicity.fold() == 2).withColumn("toxic", 1 - marks.toxic).union(other.where(toxicity.fold() != 2))
+    turned = marks.where(toxicity.fold() == 2).selectExpr("doc_id", "quality", "1 - toxic AS toxic")
+    held = turned.union(marks.where(toxicity.fold() != 2))
     again = toxicity.fit(docs, held)
     assert np.allclose(again.levels, model.levels) and again.learned == model.learned
     assert toxicity.clean(docs, model).columns == docs.columns
