@@ -12,9 +12,9 @@ def components(spark: SparkSession, edges: DataFrame) -> DataFrame:
     """``edges(a long, b long)`` -> ``(node long, component long)`` for every node that has an edge.
 
     The component is its smallest node. Each round every node adopts its smallest neighbour if that is smaller than
-    itself, pointers are followed once, and both ends of every link are renamed; links inside one name vanish. The
-    number of nodes at least halves in every part that still has a link, so rounds grow with the logarithm of the
-    diameter. State lives in written tables; only the number of links left comes to the driver. Null ends are ignored.
+    itself, pointers are doubled until all reach a root, and both ends of every link are renamed; links inside one name
+    vanish. Only nodes without a smaller neighbour stay, at most half of those that have links, so rounds and doublings
+    grow with the logarithm of the number of nodes, on long chains too. State lives in written tables; only the number of links left comes to the driver. Null ends are ignored.
     """
     scratch = Scratch(spark, "components")
     links = scratch.save(
@@ -28,8 +28,18 @@ def components(spark: SparkSession, edges: DataFrame) -> DataFrame:
         both = links.union(links.select(F.col("b").alias("a"), F.col("a").alias("b")))
         up = both.groupBy("a").agg(F.min("b").alias("p")).select(F.col("a").alias("old"), F.least("a", "p").alias("p"))
         up = scratch.save(up, f"up-{step}")
-        far = up.select(F.col("old").alias("p"), F.col("p").alias("pp"))
-        up = scratch.save(up.join(far, "p", "left").select("old", F.coalesce("pp", "p").alias("new")), f"jump-{step}")
+        jump = 0
+        while True:
+            far = up.select(F.col("old").alias("p"), F.col("p").alias("pp"))
+            jump += 1
+            after = scratch.save(up.select("old", "p").join(far, "p", "left").select(
+                "old", F.coalesce("pp", "p").alias("p"), F.coalesce(F.col("pp") != F.col("p"), F.lit(False)).alias("moved")), f"up-{step}-{jump}")
+            still = after.where("moved").isEmpty()
+            scratch.drop(f"up-{step}" if jump == 1 else f"up-{step}-{jump - 1}")
+            up = after
+            if still:
+                break
+        up = up.select("old", F.col("p").alias("new"))
         a = up.select(F.col("old").alias("a"), F.col("new").alias("na"))
         b = up.select(F.col("old").alias("b"), F.col("new").alias("nb"))
         moved = links.join(a, "a", "left").join(b, "b", "left").select(
@@ -39,7 +49,7 @@ def components(spark: SparkSession, edges: DataFrame) -> DataFrame:
         named = scratch.save(
             names.join(up.withColumnRenamed("old", "component"), "component", "left")
             .select("node", F.coalesce("new", "component").alias("component")), f"names-{step}")
-        for gone in (f"links-{step - 1}", f"names-{step - 1}", f"up-{step}", f"jump-{step}"):
+        for gone in (f"links-{step - 1}", f"names-{step - 1}", f"up-{step}-{jump}"):
             scratch.drop(gone)
         links, names = fresh, named
     return names
