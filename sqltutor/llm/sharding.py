@@ -3,8 +3,10 @@
 Law ``rows``: shard sizes differ by at most one document. Every document starts on a shard by a hash of its id. Linked
 documents (equal texts, a star around the text's digest; never pairs) form cells of one text and one starting fibre.
 Each round the cells of a text ask for the shard where most of its documents are; a shard grants requests in order
-while its quota of linked documents lasts. What can't move stays. Then every shard is filled to its exact size with the
-documents that no link holds. A text larger than a shard fills several.
+while its quota of linked documents lasts, small ones first, so none is refused that still fits. A move needs free room,
+so texts that are apart after the rounds are then lifted from all their shards at once, which makes room for each other,
+and set down whole, larger ones first, in passes until none fits any shard. Then every shard is filled to its exact size
+with the documents that no link holds. A text larger than a shard fills several.
 """
 
 from __future__ import annotations
@@ -26,17 +28,26 @@ def _described(docs: DataFrame) -> DataFrame:
 
 
 def _granted(requests: DataFrame, free: dict[int, int]) -> DataFrame:
-    """The requests ``(target, text_key, fibre, n)`` that fit in ``free[target]``, larger texts' buckets not preferred.
-
-    Running sums go in two levels, buckets of requests first, so that no shard's requests meet in one task."""
-    bucketed = requests.withColumn("bucket", F.pmod(F.xxhash64("text_key", "fibre"), F.lit(BUCKETS)).cast("int"))
-    totals = bucketed.groupBy("target", "bucket").agg(F.sum("n").alias("asked"))
-    before = Window.partitionBy("target").orderBy("bucket").rowsBetween(Window.unboundedPreceding, -1)
-    totals = totals.select("target", "bucket", F.coalesce(F.sum("asked").over(before), F.lit(0)).alias("base"))
-    inside = Window.partitionBy("target", "bucket").orderBy("text_key", "fibre").rowsBetween(Window.unboundedPreceding, 0)
+    """The requests ``(target, text_key, fibre, n)`` that fit in ``free[target]``, by ascending ``n``: one that is refused
+    is no smaller than what follows, so it blocks nothing that fits.
+
+    Running sums go in two levels, buckets of requests of a size first, so that no shard's requests meet in one task."""
     room = F.create_map(*[F.lit(x) for kv in free.items() for x in kv])
-    return (bucketed.withColumn("upto", F.sum("n").over(inside)).join(F.broadcast(totals), ["target", "bucket"])
-            .where(F.col("base") + F.col("upto") <= F.element_at(room, F.col("target"))))
+    return _summed(requests, ["target"], "n", ["text_key", "fibre"]).where(F.col("upto") <= F.element_at(room, F.col("target"))).drop("upto")
+
+
+def _summed(rows: DataFrame, group: list[str], size: str, keys: list[str]) -> DataFrame:
+    """``rows`` with ``upto``, the running sum of ``n`` inside ``group`` by ``size``, then hash bucket, then ``keys``."""
+    at = [*group, size, "bucket"] if size in rows.columns else [*group, "rank", "bucket"]
+    if size not in rows.columns:
+        rows = rows.withColumn("rank", F.expr(size))
+    bucketed = rows.withColumn("bucket", F.pmod(F.xxhash64(*keys), F.lit(BUCKETS)).cast("int"))
+    totals = bucketed.groupBy(*at).agg(F.sum("n").alias("asked"))
+    before = Window.partitionBy(*group).orderBy(*at[len(group):]).rowsBetween(Window.unboundedPreceding, -1)
+    totals = totals.select(*at, F.coalesce(F.sum("asked").over(before), F.lit(0)).alias("base"))
+    inside = Window.partitionBy(*at).orderBy(*keys).rowsBetween(Window.unboundedPreceding, 0)
+    return (bucketed.withColumn("upto", F.sum("n").over(inside)).join(F.broadcast(totals), at)
+            .withColumn("upto", F.col("base") + F.col("upto")).drop("bucket", "base", "rank"))
 
 
 def _load(cells: DataFrame) -> dict[int, int]:
@@ -69,6 +80,43 @@ def propagate(spark: SparkSession, cells: DataFrame, quota: dict[int, int], roun
     return cells
 
 
+def settle(spark: SparkSession, cells: DataFrame, quota: dict[int, int]) -> DataFrame:
+    """``(text_key, fibre, shard)`` of the cells that keep or get a place.
+
+    Texts that lie whole on a shard stay while its quota lasts; texts larger than a shard keep the cells that fit beside
+    them. All others are set down whole: in each pass the shards' free rooms, largest first, lie end to end, texts
+    follow each other along them, and those that cross no edge are placed. The largest text that fits a shard heads a
+    pass, so each pass places one at least, and the last finds none that fits."""
+    scratch = Scratch(spark, "settle")
+    texts = scratch.save(cells.groupBy("text_key").agg(F.sum("n").alias("n"), F.min("shard").alias("shard"), F.max("shard").alias("last")), "texts")
+    most = max(quota.values())
+    whole = texts.where("shard = last").select("text_key", F.lit(0).alias("fibre"), "n", F.col("shard").alias("target"))
+    placed = [scratch.save(_granted(whole.where(F.col("n") <= most), quota).select("text_key", "n", F.col("target").alias("shard")), "placed-0")]
+    load = _load(placed[0])
+    free = {s: quota[s] - load.get(s, 0) for s in quota}
+    huge = cells.join(texts.where(F.col("n") > most).select("text_key"), "text_key", "left_semi")
+    held = scratch.save(_granted(huge.withColumnRenamed("shard", "target"), free).select("text_key", "fibre", F.col("target").alias("shard"), "n"), "held")
+    load = _load(held)
+    free = {s: free[s] - load.get(s, 0) for s in quota}
+    left = scratch.save(texts.where(F.col("n") <= most).join(placed[0].select("text_key"), "text_key", "left_anti").select("text_key", "n"), "left-0")
+    while not (todo := left.where(F.col("n") <= max(free.values()))).isEmpty():
+        step, order = len(placed), sorted(free, key=lambda s: (-free[s], s))
+        rooms, upto = [], 0
+        for s in order:
+            rooms.append(F.struct(F.lit(s).alias("shard"), F.lit(upto).cast("long").alias("lo"), F.lit(upto + free[s]).cast("long").alias("hi")))
+            upto += free[s]
+        room = F.get(F.filter(F.array(*rooms), lambda r: (r["lo"] <= F.col("upto") - F.col("n")) & (F.col("upto") <= r["hi"])), F.lit(0))
+        new = _summed(todo, [], "-n", ["text_key"]).withColumn("shard", room["shard"]).where("shard IS NOT NULL")
+        placed.append(scratch.save(new.select("text_key", "n", "shard"), f"placed-{step}"))
+        load = _load(placed[-1])
+        free = {s: free[s] - load.get(s, 0) for s in quota}
+        left = scratch.save(left.join(placed[-1].select("text_key"), "text_key", "left_anti"), f"left-{step}")
+    at = placed[0]
+    for more in placed[1:]:
+        at = at.union(more)
+    return cells.select("text_key", "fibre").join(at.select("text_key", "shard"), "text_key").union(held.select("text_key", "fibre", "shard"))
+
+
 def _ranked(rows: DataFrame, group: list[str], order: list[str], out: str, by: list[str]) -> DataFrame:
     """Gapless rank from 0 inside ``group``, by hash bucket of ``by`` and then ``order``: counts per bucket, running
     sums of these few, and row numbers inside a bucket."""
@@ -99,8 +147,7 @@ def sharded(spark: SparkSession, docs: DataFrame, shards: int = SHARDS) -> DataF
     texts = cells.groupBy("text_key").agg(F.sum("n").alias("copies")).where("copies > 1").select("text_key")
     cells = cells.join(texts, "text_key", "left_semi").withColumn("shard", F.pmod("fibre", F.lit(shards)).cast("int"))
     cells = propagate(spark, cells, quota)
-    held = _granted(cells.withColumnRenamed("shard", "target"), quota).select("text_key", "fibre", F.col("target").alias("shard"))
-    held = scratch.save(held, "held")
+    held = scratch.save(settle(spark, cells, quota), "held")
     placed = scratch.save(rows.join(held, ["text_key", "fibre"], "left"), "placed")
     load = _load(placed.where("shard IS NOT NULL").withColumn("n", F.lit(1)))
     edges, upto = [], 0

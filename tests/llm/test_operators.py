@@ -237,6 +237,19 @@ def test_sharding_keeps_copies_together(spark):
     assert sum(hot.values()) == 400
 
 
+@pytest.mark.parametrize("group", [5, 100])
+def test_sharding_where_nearly_all_rows_have_copies(spark, group):
+    got = sharding.sharded(spark, table(spark, [(i, f"copy {i // group}") for i in range(4_800)] + [(9_000 + i, f"text {i}") for i in range(24)]))
+    away, linked = sharding.cut_share(got).first()
+    sizes = Counter(r.shard for r in got.select("shard").collect())
+    assert set(sizes.values()) == {201} and linked == 4_800 and away <= (0.01 if group == 5 else 0.05) * linked, away
+
+
+def test_a_refused_cell_blocks_no_smaller_one(spark):
+    asks = spark.createDataFrame([(0, bytes([k]), 0, 50 if k == 7 else 1) for k in range(20)], "target int, text_key binary, fibre int, n long")
+    assert sharding._granted(asks, {0: 20}).count() == 19
+
+
 # 6 byte-pair encoding
 @pytest.fixture(scope="module")
 def library():
