@@ -150,6 +150,33 @@ def test_dataset(spark, sf):
     assert left.count() + dataset.contaminated(docs, load.table(spark, sf, "benchmark")).select("doc_id").distinct().join(docs, "doc_id").count() == docs.count()
 
 
+def _vectors(spark, n):
+    v = np.random.default_rng(4).normal(size=(n, 64)).astype(np.float32)
+    v /= np.linalg.norm(v, axis=1, keepdims=True)
+    return v, spark.createDataFrame([(i, x) for i, x in enumerate(v.tolist())], "vec_id long, embedding array<float>")
+
+
+def _best(v, k):
+    s = np.round(v.astype(float) @ v.T.astype(float), 6)
+    np.fill_diagonal(s, -2.0)
+    return {(i, r + 1, int(j)) for i, x in enumerate(s) for r, j in enumerate(np.lexsort((np.arange(len(v)), -x))[:k])}
+
+
+def test_nearest_is_exact_beyond_a_block(spark, monkeypatch):
+    monkeypatch.setattr(baselines, "POOL_MOST", 100, raising=False)
+    monkeypatch.setattr(baselines, "BLOCK", 64, raising=False)
+    v, df = _vectors(spark, 600)
+    assert {(r.vec_id, r.place, r.neighbour) for r in baselines.nearest_examples(df, df, 3).collect()} == _best(v, 3)
+    assert baselines.nearest_examples(df.limit(0), df, 3).count() == 0 and baselines.nearest_examples(df, df.limit(3), 3).where("vec_id = neighbour").count() == 0
+
+
+def test_planes_find_nine_of_ten(spark):
+    v, df = _vectors(spark, 2_000)
+    got = {(r.vec_id, r.neighbour) for r in baselines.nearest_by_planes(df, df, 3, 6, 9).collect()}
+    want = {(q, j) for q, _, j in _best(v, 3)}
+    assert len(got) == 6_000 and len(got & want) >= 0.9 * len(want)
+
+
 def test_tree_search_finds_the_best(spark):
     cube = spark.createDataFrame([(q, k, m, t) for q in range(5) for k, m, t in (("a", "slow", -2.0), ("b", "slow", 0.0), ("c", "fast", 4.0), ("d", "fast", 3.0))], "question_id long, kind string, mode string, total double")
     assert {r.kind for r in baselines.tree_search(cube).collect()} == {"c"}
