@@ -14,10 +14,12 @@ from pyspark.ml.fpm import FPGrowth
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from .common import Scratch
+
 #: Fixed rules: verdict, host, path.
 RULES = (("block", "net", "/"), ("allow", "example.net", "/en/"), ("block", "example.com", "/de/"), ("allow", "org", "/fr/"))
 UPPER, LOWER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
-BAD, SUPPORT, CONFIDENCE, LIFT, DEVIATIONS, MOST, ROWS = "label=bad", 0.002, 0.3, 1.5, 4.0, 500, 200_000
+BAD, SUPPORT, CONFIDENCE, LIFT, DEVIATIONS, ROWS = "label=bad", 0.002, 0.3, 1.5, 4.0, 200_000
 
 
 def _rest(url: Column) -> Column:
@@ -56,8 +58,8 @@ def document_of(url: Column) -> Column:
     return F.regexp_extract(path_of(url), r"/(\d{1,18})(?:/|\.|$)", 1).try_cast("long")
 
 
-def mine(pages: DataFrame, labels: DataFrame, support: float = SUPPORT, confidence: float = CONFIDENCE, most: int = MOST) -> list[dict]:
-    """At most ``most`` rules ``{"tokens", "confidence", "support"}``, shorter ones first.
+def mine(pages: DataFrame, labels: DataFrame, support: float = SUPPORT, confidence: float = CONFIDENCE) -> list[dict]:
+    """All rules ``{"tokens", "confidence", "support"}`` that none of their subsets makes needless, shorter ones first.
 
     Pruned: rules below ``support`` or ``confidence``, rules whose confidence is less than ``LIFT`` times the bad rate or
     within ``DEVIATIONS`` standard errors of it, and rules that a subset of their tokens makes needless. Where labels
@@ -74,13 +76,31 @@ def mine(pages: DataFrame, labels: DataFrame, support: float = SUPPORT, confiden
     found = (model.associationRules.where((F.size("consequent") == 1) & (F.element_at("consequent", 1) == BAD))
              .where((F.col("confidence") >= LIFT * rate) & (F.col("confidence") - rate >= DEVIATIONS * F.sqrt(
                  F.lit(rate * (1 - rate)) * F.col("confidence") / (F.col("support") * n))))
-             .select(F.sort_array("antecedent").alias("t"), "confidence", "support")
-             .orderBy(F.size("t"), F.desc("confidence"), F.desc("support"), "t").limit(most).collect())
+             .select(F.sort_array("antecedent").alias("t"), "confidence", "support"))
+    kept = _irredundant(Scratch(pages.sparkSession, "rules"), found)
     seen.unpersist()
-    kept: list[dict] = []
-    for r in found:
-        if not any(set(k["tokens"]) <= set(r["t"]) for k in kept):
-            kept.append({"tokens": list(r["t"]), "confidence": r["confidence"], "support": r["support"]})
+    return [{"tokens": list(r["t"]), "confidence": r["confidence"], "support": r["support"]} for r in kept]
+
+
+def _subsets(t: Column, size: int) -> Column:
+    """All subsets of ``size`` tokens, each in the order of ``t``."""
+    none = F.array().cast("array<string>")
+    grown = lambda acc, x: F.concat(acc, F.transform(F.filter(acc, lambda y: F.size(y) < size), lambda y: F.array_append(y, x)))
+    return F.filter(F.aggregate(t, F.array(none), grown), lambda y: F.size(y) == size)
+
+
+def _irredundant(scratch: Scratch, found: DataFrame) -> list:
+    """Rules that hold no other rule's tokens, length by length: rules of one length stay, and all longer ones that have
+    one of them as a subset go before the next length. Only what stays comes to the driver."""
+    left, kept, step = scratch.save(found, "left-0"), [], 0
+    while size := left.agg(F.min(F.size("t"))).first()[0]:
+        step += 1
+        kept += left.where(F.size("t") == size).orderBy(F.desc("confidence"), F.desc("support"), "t").collect()
+        short = left.where(F.size("t") == size).select(F.col("t").alias("part"))
+        longer = left.where(F.size("t") > size)
+        needless = longer.select("t", F.explode(_subsets(F.col("t"), size)).alias("part")).join(short, "part", "left_semi").select("t")
+        left = scratch.save(longer.join(needless, "t", "left_anti"), f"left-{step}")
+        scratch.drop(f"left-{step - 1}")
     return kept
 
 
@@ -98,7 +118,7 @@ def inverted(rules: list[dict]) -> dict[str, list[list[str]]]:
 
 
 def matches(items: Column, rules: list[dict]) -> Column:
-    """Does any rule's token set lie within ``items``? The index is a constant of bounded size inside the plan."""
+    """Does any rule's token set lie within ``items``? The index is a constant inside the plan, as large as the rules."""
     index = inverted(rules)
     if not index:
         return F.lit(False)

@@ -391,6 +391,18 @@ def test_url_mining(spark):
     assert urlrules.mine(p, spark.createDataFrame([], "doc_id long, quality int, toxic int")) == []
 
 
+def test_many_needless_rules_crowd_out_none(spark):
+    urls = [f"http://{'spam' if i % 2 else 'bad'}{i % 80 if i % 80 < 40 else ''}.example.org/en/shop/{i}?page=1&q=2" for i in range(2_400)]
+    urls += [f"http://{'x' if i % 2 else 'y'}.other.info/{'ads' if i % 4 < 2 else 'news'}/{i}" for i in range(2_400, 4_800)]
+    bad = lambda i: int(i % 80 < 40) if i < 2_400 else int(i % 4 == 1 and i % 20 > 1)
+    p = spark.createDataFrame(list(enumerate(urls)), "page_id long, url string")
+    rules = urlrules.mine(p, spark.createDataFrame([(i, 1 - bad(i), 0) for i in range(4_800)], "doc_id long, quality int, toxic int"))
+    sets = [frozenset(r["tokens"]) for r in rules]
+    assert len(sets) == len(set(sets)) and not any(a < b for a in sets for b in sets)
+    blocked = {r.page_id for r in urlrules.decided(p, rules).where("verdict = 'block'").collect()}
+    assert {i for i in range(2_400, 4_800) if i % 4 == 1} <= blocked
+
+
 def spark_tokens(url):
     rest = url.split("://")[1]
     host, _, tail = rest.partition("/")
