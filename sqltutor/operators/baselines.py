@@ -3,6 +3,8 @@
 from __future__ import annotations
 
 import math
+import re
+import zlib
 
 import numpy as np
 import pandas as pd
@@ -38,6 +40,22 @@ def nearest_by_planes(queries: DataFrame, pool: DataFrame, k: int, bits: int, se
     return _searched(queries, located, k, planes, probes)
 
 
+def nearest_by_text(df: DataFrame, text: str = "question", k: int = 3, size: int = 256) -> DataFrame:
+    """``(question_id, place, neighbour, cosine)``: for each question the ``k`` others whose ``text`` (question or
+    skeleton) is most alike, exact by cosine of hashed counts of words and word pairs."""
+    def vectors(batches):
+        for b in batches:
+            out = np.zeros((len(b), size), np.float32)
+            for row, x in zip(out, b["text"], strict=True):
+                words = re.findall(r"\w+", (x or "").lower())
+                np.add.at(row, [zlib.crc32(w.encode()) % size for w in words + [" ".join(p) for p in zip(words, words[1:])]], 1)
+            yield pd.DataFrame({"vec_id": b["vec_id"], "embedding": list(out / np.maximum(np.linalg.norm(out, axis=1, keepdims=True), 1e-9))})
+
+    named = df.select(F.col("question_id").alias("vec_id"), F.col(text).alias("text"))
+    located = Scratch(df.sparkSession, "texts").save(named.mapInPandas(vectors, "vec_id long, embedding array<float>"), "vectors")
+    return nearest_examples(located, located, k).withColumnRenamed("vec_id", "question_id")
+
+
 def _matrix(vectors) -> np.ndarray:
     return np.array(vectors.tolist(), np.float64)
 

@@ -620,9 +620,7 @@ def _(spark, d):
 @_add("skeleton_then_fill")
 def _(spark, d):
     golds = workloads.asked(spark, d).withColumn("skeleton", skeleton.extract(F.col("gold_sql")))
-    w = Window.partitionBy("suite").orderBy("question_id")
-    near = golds.select("question_id", F.lag("question_id", 1).over(w).alias("n1"), F.lag("question_id", 2).over(w).alias("n2"), F.lead("question_id", 1).over(w).alias("n3"))
-    near = near.select("question_id", F.posexplode(F.array("n1", "n2", "n3")).alias("place", "neighbour")).where("neighbour IS NOT NULL")
+    near = baselines.nearest_by_text(golds, "question", 3)
     return baselines.skeleton_then_fill(near, golds)
 
 

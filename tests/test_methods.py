@@ -177,6 +177,15 @@ def test_planes_find_nine_of_ten(spark):
     assert len(got) == 6_000 and len(got & want) >= 0.9 * len(want)
 
 
+def test_neighbours_are_alike_in_text(spark):
+    asked = ["how many orders are there in year", "list the names of suppliers from nation", "average price of parts of brand"]
+    df = spark.createDataFrame([(i, f"{asked[i % 3]} {i}", f"S{i % 3}", f"q{i}") for i in range(30)], "question_id long, question string, skeleton string, gold_sql string")
+    near = baselines.nearest_by_text(df, "question", 3)
+    rows = near.collect()
+    assert len(rows) == 90 and all(r.question_id != r.neighbour and r.question_id % 3 == r.neighbour % 3 for r in rows)
+    assert all(r.skeleton == f"S{r.question_id % 3}" and r.sql != f"q{r.question_id}" for r in baselines.skeleton_then_fill(near, df).collect())
+
+
 def test_tree_search_finds_the_best(spark):
     cube = spark.createDataFrame([(q, k, m, t) for q in range(5) for k, m, t in (("a", "slow", -2.0), ("b", "slow", 0.0), ("c", "fast", 4.0), ("d", "fast", 3.0))], "question_id long, kind string, mode string, total double")
     assert {r.kind for r in baselines.tree_search(cube).collect()} == {"c"}
