@@ -1,7 +1,7 @@
 """Token files under Re-Pair grammars.
 
 A file holds a run of documents in ascending order of id. Frequent pairs of neighbouring ids are replaced by
-nonterminals, many pairs a round, until rounds or symbols run out. Rules, their expansion lengths and the compressed
+nonterminals, many pairs a round, until no pair is left at ``LEAST`` places or symbols run out. Rules, their expansion lengths and the compressed
 sequence are stored; running sums of expansion lengths find any token without decoding what comes before it.
 """
 
@@ -22,7 +22,7 @@ from .common import Scratch, prefix_sums, text_of
 from .files import NewFile, open_fs
 from .tokens import Library
 
-END, LEAST, ROUNDS, PER_ROUND, SYMBOLS, SHARD = 2, 12, 3, 4096, 1 << 16, 2_000_000
+END, LEAST, PER_ROUND, SYMBOLS, SHARD = 2, 12, 4096, 1 << 16, 2_000_000
 _HEAD = struct.Struct("<8sIIIII")
 MAGIC = b"REPAIR01"
 MANIFEST = "part long, number long, file string, docs long, tokens long, bytes long"
@@ -30,20 +30,26 @@ ROWS = "doc_id long, start long, n_tokens long, ids_crc32 long"
 
 
 def compress(ids: np.ndarray, base: int) -> tuple[np.ndarray, np.ndarray]:
-    """``ids`` below ``base`` -> (sequence, rules); rule k stands for ``base + k`` and its two symbols come before it."""
-    seq, rules, top = ids.astype(np.uint32), [], base
-    for _ in range(ROUNDS):
+    """``ids`` below ``base`` -> (sequence, rules); rule k stands for ``base + k`` and its two symbols come before it.
+
+    Counts of pairs without a symbol of the last round only fall, so a later round counts pairs with such a symbol, those
+    of the last round's pairs that are left, and all pairs only where the last round couldn't take every frequent one."""
+    seq, rules, top, recent, sieve = ids.astype(np.uint32), [], base, 0, None
+    while True:
         room = min(PER_ROUND, SYMBOLS - top)
         if len(seq) < 2 or room <= 0:
             break
         keys = (seq[:-1] << np.uint32(16)) | seq[1:]
-        ordered = np.sort(keys)
+        ordered = np.sort(keys if sieve is None else keys[(seq[:-1] >= recent) | (seq[1:] >= recent) | sieve[_mixed(keys)]])
+        if not len(ordered):
+            break
         edge = np.flatnonzero(np.concatenate(([True], ordered[1:] != ordered[:-1])))
         counts = np.diff(np.append(edge, len(ordered)))
         often = np.flatnonzero(counts >= LEAST)
         if not len(often):
             break
-        if len(often) > room:
+        whole = len(often) <= room
+        if not whole:
             often = often[np.argsort(-counts[often], kind="stable")[:room]]
         chosen = np.sort(ordered[edge[often]])
         sieve = np.zeros(1 << 20, bool)
@@ -60,7 +66,8 @@ def compress(ids: np.ndarray, base: int) -> tuple[np.ndarray, np.ndarray]:
         seq[places] = top + at
         keep = np.ones(len(seq), bool)
         keep[places + 1] = False
-        seq, top = seq[keep], top + len(used)
+        seq, top, recent = seq[keep], top + len(used), top
+        sieve = sieve if whole else None
     flat = np.concatenate(rules) if rules else np.zeros(0, np.uint32)
     return seq.astype("<u2"), np.stack([flat >> 16, flat & 0xFFFF], axis=1).astype("<u2")
 

@@ -426,6 +426,17 @@ def test_grammar_round_trip():
         repair.open_file(repair.pack_file([1], np.array([2]), np.array([5, 6], "u2"), 50_257)[:-1] + b"x")
 
 
+def test_no_frequent_pair_is_left():
+    rng = np.random.default_rng(2)
+    for ids in (np.tile(rng.integers(0, 5000, 700), 400), (rng.zipf(1.3, 60_000) % 40), np.zeros(5_000, int)):
+        ids = ids.astype("u2")
+        seq, rules = repair.compress(ids, 50_257)
+        left = Counter(zip(seq[:-1].tolist(), seq[1:].tolist(), strict=True)) if len(rules) < (1 << 16) - 50_257 else Counter()
+        assert max(left.values(), default=0) < repair.LEAST
+        assert (repair.Grammar(rules, repair.lengths(rules, 50_257), seq, 50_257).tokens(0, len(ids)) == ids).all()
+    assert len(repair.compress(np.tile(rng.integers(0, 5000, 700), 400).astype("u2"), 50_257)[0]) < 280_000 / 100
+
+
 def test_token_files(spark, docs, rows, nothing, library):
     manifest, root = repair.write(spark, docs, tokenizer(), shard=500)
     assert manifest.count() > 3
