@@ -7,6 +7,7 @@ timed; only one fingerprint row per text returns. Texts already in a result tabl
 from __future__ import annotations
 
 import contextlib
+import itertools
 import re
 import threading
 import time
@@ -18,6 +19,8 @@ from pyspark.errors import AnalysisException, ParseException
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from ..llm.common import Scratch
+
 SCHEMA = "sql string, engine string, status string, times array<double>, t_mean double, n long, sum_h string, xor_h long, ncols int, error string"
 #: Plan nodes that a query may be made of; anything else (commands, writes, table functions) is blocked.
 NODES = frozenset("Project Filter UnresolvedRelation Join Aggregate Sort GlobalLimit LocalLimit Offset SubqueryAlias UnresolvedWith CTE Union Intersect Except "
@@ -171,12 +174,15 @@ def run_one(spark: SparkSession, sql: str | None, tables: Iterable[str], profile
 def run(spark: SparkSession, texts: DataFrame, tables: Iterable[str], profile: EngineProfile = ADAPTIVE, done: DataFrame | None = None, warmup: int = 1, repeats: int = 3,
         limit_s: float = 30.0, page: int = 10_000) -> DataFrame:
     """Executes the distinct ``sql`` of ``texts`` that ``done`` lacks for this engine, one after the other (single user).
-    Texts reach the driver through a local iterator, at most ``page`` per call; call again with the result for more."""
+    Texts reach the driver through a local iterator, and results leave it for the shared folder every ``page`` texts."""
     todo = texts.select("sql").where("sql IS NOT NULL").distinct()
     if done is not None:
         todo = todo.join(done.where(F.col("engine") == profile.name).select("sql"), "sql", "left_anti")
-    rows = [(r["sql"], profile.name, *run_one(spark, r["sql"], tables, profile, warmup, repeats, limit_s)) for r in todo.orderBy("sql").limit(page).toLocalIterator()]
-    return spark.createDataFrame(rows, SCHEMA)
+    rows = ((r["sql"], profile.name, *run_one(spark, r["sql"], tables, profile, warmup, repeats, limit_s)) for r in todo.orderBy("sql").toLocalIterator())
+    scratch, out = Scratch(spark, "runs"), spark.createDataFrame([], SCHEMA)
+    for k, some in enumerate(iter(lambda: list(itertools.islice(rows, page)), [])):
+        out = out.union(scratch.save(spark.createDataFrame(some, SCHEMA), f"page-{k}"))
+    return out
 
 
 def judged(cands: DataFrame, runs: DataFrame) -> DataFrame:

@@ -492,7 +492,7 @@ def _(spark, d):
 
 @_add("bootstrap_ex")
 def _(spark, d):
-    return metrics.bootstrap(sql(spark, d, EVAL), ["arm"], F.col("ex").cast("double"), b=40)
+    return metrics.bootstrap(sql(spark, d, EVAL), ["arm"], F.col("ex").cast("double"))
 
 
 @_add("confidence", "SELECT user_id AS question_id, round(CAST(max(n) AS DOUBLE) / sum(n), 6) AS confidence, CAST(max(n) AS DOUBLE) / sum(n) < 0.5 AS fallback FROM (SELECT user_id, event_type, count(*) AS n FROM events GROUP BY 1, 2) AS g GROUP BY 1")

@@ -120,6 +120,13 @@ def test_execution(spark, tables):
     assert status == "ok" and len(times) == 2 and mean > 0 and n == 1500 and spark.conf.get("spark.sql.adaptive.enabled") == "true"
 
 
+def test_execution_runs_past_a_page(spark, tables):
+    texts = spark.createDataFrame([(f"SELECT {i} AS a FROM region",) for i in range(5)] + [(None,)], "sql string")
+    rows = execution.run(spark, texts, tables, warmup=0, repeats=0, page=2).collect()
+    assert {r.status for r in rows} == {"ok"} and len(rows) == 5
+    assert execution.run(spark, texts.limit(0), tables).count() == 0
+
+
 def test_fingerprints(spark, tables):
     same = [("SELECT COUNT(*) AS a FROM orders", "SELECT SUM(1) FROM orders"), ("SELECT o_custkey, o_orderkey FROM orders", "SELECT o_custkey x, o_orderkey FROM orders ORDER BY 2 DESC")]
     for a, b in same:
