@@ -13,8 +13,7 @@ from pyarrow import fs
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from ..llm.common import Scratch
-from ..llm.files import open_fs
+from ..store import Shelf
 
 SYNONYMS = {"cost": "price", "costs": "price", "bought": "purchase", "sell": "sold", "biggest": "largest", "mean": "average"}
 BLOCK, CHUNK, PROBES = 8_192, 512, 48
@@ -52,7 +51,7 @@ def nearest_by_text(df: DataFrame, text: str = "question", k: int = 3, size: int
             yield pd.DataFrame({"vec_id": b["vec_id"], "embedding": list(out / np.maximum(np.linalg.norm(out, axis=1, keepdims=True), 1e-9))})
 
     named = df.select(F.col("question_id").alias("vec_id"), F.col(text).alias("text"))
-    located = Scratch(df.sparkSession, "texts").save(named.mapInPandas(vectors, "vec_id long, embedding array<float>"), "vectors")
+    located = Shelf(df.sparkSession, "texts").put(named.mapInPandas(vectors, "vec_id long, embedding array<float>"), "vectors")
     return nearest_examples(located, located, k).withColumnRenamed("vec_id", "question_id")
 
 
@@ -76,12 +75,12 @@ def _probed(vectors: np.ndarray, planes: np.ndarray, probes: int) -> np.ndarray:
 
 
 def _searched(queries: DataFrame, pool: DataFrame, k: int, planes: np.ndarray | None, probes: int) -> DataFrame:
-    scratch = Scratch(queries.sparkSession, "pool")
-    scratch.save(pool.sortWithinPartitions("cell"), "blocks")
+    scratch = Shelf(queries.sparkSession, "pool")
+    scratch.put(pool.sortWithinPartitions("cell"), "blocks")
     root = scratch.path("blocks")
 
     def blocks():
-        system, folder = open_fs(root)
+        system, folder = fs.FileSystem.from_uri(root)
         for f in sorted(x.path for x in system.get_file_info(fs.FileSelector(folder)) if x.path.endswith(".parquet")):
             with system.open_input_file(f) as src:
                 for batch in pq.ParquetFile(src).iter_batches(BLOCK, columns=["vec_id", "embedding", "cell"]):

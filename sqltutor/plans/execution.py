@@ -19,7 +19,7 @@ from pyspark.errors import AnalysisException, ParseException
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from ..llm.common import Scratch
+from ..store import Shelf
 
 SCHEMA = "sql string, engine string, status string, times array<double>, t_mean double, n long, sum_h string, xor_h long, ncols int, error string"
 #: Plan nodes that a query may be made of; anything else (commands, writes, table functions) is blocked.
@@ -179,9 +179,9 @@ def run(spark: SparkSession, texts: DataFrame, tables: Iterable[str], profile: E
     if done is not None:
         todo = todo.join(done.where(F.col("engine") == profile.name).select("sql"), "sql", "left_anti")
     rows = ((r["sql"], profile.name, *run_one(spark, r["sql"], tables, profile, warmup, repeats, limit_s)) for r in todo.orderBy("sql").toLocalIterator())
-    scratch, out = Scratch(spark, "runs"), spark.createDataFrame([], SCHEMA)
+    scratch, out = Shelf(spark, "runs"), spark.createDataFrame([], SCHEMA)
     for k, some in enumerate(iter(lambda: list(itertools.islice(rows, page)), [])):
-        out = out.union(scratch.save(spark.createDataFrame(some, SCHEMA), f"page-{k}"))
+        out = out.union(scratch.put(spark.createDataFrame(some, SCHEMA), f"page-{k}"))
     return out
 
 
