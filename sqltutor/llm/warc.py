@@ -12,13 +12,13 @@ import zlib
 from collections.abc import Iterator
 
 import pyarrow as pa
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import Scratch, text_of
+from .common import Scratch, parts_for, text_of
 from .files import NewFile, open_fs
 
-MIN_REVISIT, ROLL, GAP, SPAN = 100, 256 << 20, 16 << 10, 8 << 20
+MIN_REVISIT, ROLL, GAP, SPAN, TASK = 100, 256 << 20, 16 << 10, 8 << 20, 64 << 20
 REVISIT_PROFILE = "http://netpreserve.org/warc/1.1/revisit/identical-payload-digest"
 DATE = "2024-01-01T00:00:00Z"
 INDEX = "page_id long, url string, digest string, file string, offset long, length long"
@@ -76,12 +76,14 @@ def _writer(root: str):
         out = None
         for b in batches:
             rows = []
-            for page, url, html, digest, refers in zip(*(c.to_pylist() for c in b.columns), strict=True):
+            for page, url, html, refers in zip(*(c.to_pylist() for c in b.columns), strict=True):
+                payload = html.encode()
+                digest = hashlib.sha256(payload).hexdigest()
                 if out is None or out.size >= ROLL:
                     if out:
                         out.close()
                     out = NewFile(root, ".warc.gz")
-                data = _member(record(page, url, html.encode(), digest, refers))
+                data = _member(record(page, url, payload, digest, refers))
                 rows.append((page, url, digest, out.name, out.write(data), len(data)))
             cols = list(zip(*rows, strict=True)) if rows else [[]] * 6
             kinds = [pa.int64(), pa.string(), pa.string(), pa.string(), pa.int64(), pa.int64()]
@@ -132,28 +134,39 @@ def _reader(root: str, with_payload: bool):
 
 
 def revisits(pages: DataFrame) -> DataFrame:
-    """``(page_id, digest, refers_to)`` of the pages whose payload an earlier page (smaller id) has: the only rows that
-    are not plain responses. Copies are counted by digest with partial sums; no group meets in one task."""
-    hashed = pages.select("page_id", F.sha2(text_of("html").cast("binary"), 256).alias("digest"),
-                          F.octet_length(text_of("html")).alias("n"))
+    """``(page_id, mark, refers_to)`` of the pages whose payload an earlier page (smaller id) has: the only rows that
+    are not plain responses. Payloads are digested once, here, and copies counted by digest with partial sums; no group
+    meets in one task."""
+    hashed = Scratch(pages.sparkSession, "digests").save(
+        pages.select("page_id", _mark().alias("mark"), F.sha2(text_of("html").cast("binary"), 256).alias("digest"),
+                     F.octet_length(text_of("html")).alias("n")), "digests")
     shared = (hashed.where(F.col("n") >= MIN_REVISIT).groupBy("digest")
               .agg(F.min("page_id").alias("refers_to"), F.count("*").alias("copies")).where("copies > 1").drop("copies"))
     return (hashed.where(F.col("n") >= MIN_REVISIT).join(shared, "digest")
-            .where(F.col("page_id") != F.col("refers_to")).select("page_id", "digest", "refers_to").distinct())
+            .where(F.col("page_id") != F.col("refers_to")).select("page_id", "mark", "refers_to").distinct())
+
+
+def _mark() -> Column:
+    """Tells payloads under one id apart, at less cost than a digest."""
+    return F.xxhash64(text_of("html"))
 
 
 def write(spark: SparkSession, pages: DataFrame) -> tuple[DataFrame, str]:
     """Archives all pages; returns the index table and the folder of the archives."""
     scratch = Scratch(spark, "warc")
     again = scratch.save(revisits(pages), "revisits")
-    rows = pages.select("page_id", "url", text_of("html").alias("html"), F.sha2(text_of("html").cast("binary"), 256).alias("digest"))
-    rows = rows.join(again, ["page_id", "digest"], "left").select("page_id", "url", "html", "digest", "refers_to")
+    rows = pages.select("page_id", "url", text_of("html").alias("html"), _mark().alias("mark"))
+    rows = rows.join(again, ["page_id", "mark"], "left").select("page_id", "url", "html", "refers_to")
     return scratch.save(rows.mapInArrow(_writer(scratch.path("archive")), INDEX), "index"), scratch.path("archive")
 
 
 def read(index: DataFrame, root: str, with_payload: bool = True) -> DataFrame:
-    """Selected index rows -> records, in few large reads. Filter ``index`` by URL or digest first to read less."""
-    ranges = index.select("file", "offset", "length").repartitionByRange("file", "offset").sortWithinPartitions("file", "offset")
+    """Selected index rows -> records, in few large reads. Filter ``index`` by URL or digest first to read less.
+
+    The number of tasks follows the selected bytes, ``TASK`` a task; the index itself is too small to tell."""
+    size = index.agg(F.coalesce(F.sum("length"), F.lit(0))).first()[0]
+    parts = parts_for(index.sparkSession, size, TASK)
+    ranges = index.select("file", "offset", "length").repartitionByRange(parts, "file", "offset").sortWithinPartitions("file", "offset")
     return ranges.mapInArrow(_reader(root, with_payload), READ)
 
 
