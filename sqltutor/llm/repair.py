@@ -18,11 +18,11 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from .bpe import slices
-from .common import Scratch, prefix_sums, text_of
+from .common import Scratch, parts_for, prefix_sums, text_of
 from .files import NewFile, open_fs
 from .tokens import Library
 
-END, LEAST, PER_ROUND, SYMBOLS, SHARD = 2, 12, 4096, 1 << 16, 2_000_000
+END, LEAST, PER_ROUND, SYMBOLS, SHARD, PER_TASK = 2, 12, 4096, 1 << 16, 2_000_000, 8
 _HEAD = struct.Struct("<8sIIIII")
 MAGIC = b"REPAIR01"
 MANIFEST = "part long, number long, file string, docs long, tokens long, bytes long"
@@ -51,16 +51,17 @@ def compress(ids: np.ndarray, base: int) -> tuple[np.ndarray, np.ndarray]:
         whole = len(often) <= room
         if not whole:
             often = often[np.argsort(-counts[often], kind="stable")[:room]]
-        chosen = np.sort(ordered[edge[often]])
+        chosen, times = ordered[edge[often]], counts[often]
+        order = np.argsort(chosen)
+        chosen, times = chosen[order], times[order]
         sieve = np.zeros(1 << 20, bool)
         sieve[_mixed(chosen)] = True
         places = np.flatnonzero(sieve[_mixed(keys)])
         at = np.minimum(np.searchsorted(chosen, keys[places]), len(chosen) - 1)
         hit = chosen[at] == keys[places]
         places, at = places[hit], at[hit]
-        fresh = np.concatenate(([True], np.diff(places) != 1))
-        run = np.arange(len(places)) - np.maximum.accumulate(np.where(fresh, np.arange(len(places)), 0))
-        places, at = places[run % 2 == 0], at[run % 2 == 0]
+        won = _apart(places, times[at])
+        places, at = places[won], at[won]
         used, at = np.unique(at, return_inverse=True)
         rules.append(chosen[used])
         seq[places] = top + at
@@ -72,6 +73,29 @@ def compress(ids: np.ndarray, base: int) -> tuple[np.ndarray, np.ndarray]:
     return seq.astype("<u2"), np.stack([flat >> 16, flat & 0xFFFF], axis=1).astype("<u2")
 
 
+def _apart(places: np.ndarray, times: np.ndarray) -> np.ndarray:
+    """Which places to replace where neighbours overlap: the more frequent pair's first; in a row of one frequency every
+    other one. Places that beat both neighbours win and put these out, until all are decided."""
+    n = len(places)
+    number = np.arange(n)
+    touch = np.concatenate((np.diff(places) == 1, [False]))
+    fresh = np.concatenate(([True], ~touch[:-1] | (times[1:] != times[:-1])))
+    rank = 2 * times.astype(np.int64) + ((number - np.maximum.accumulate(np.where(fresh, number, 0))) % 2 == 0)
+    won, open_ = np.zeros(n, bool), np.ones(n, bool)
+    while len(live := np.flatnonzero(open_)):
+        before = np.where((live > 0) & touch[live - 1] & open_[live - 1], rank[live - 1], -1)
+        after = live + 1 < n
+        nxt = np.minimum(live + 1, n - 1)
+        behind = np.where(after & touch[live] & open_[nxt], rank[nxt], -1)
+        best = live[(rank[live] > before) & (rank[live] > behind)]
+        won[best] = True
+        open_[best] = False
+        open_[np.minimum(best + 1, n - 1)] &= ~touch[best]
+        left = best[best > 0]
+        open_[left - 1] &= ~touch[left - 1]
+    return won
+
+
 def _mixed(keys: np.ndarray) -> np.ndarray:
     return (keys * np.uint32(2654435761)) >> np.uint32(12)
 
@@ -200,7 +224,14 @@ def read(manifest: DataFrame, root: str) -> DataFrame:
     parts = prefix_sums(manifest.groupBy("part").agg(F.sum("tokens").alias("total")), "part", "total", "base").select("part", "base")
     earlier = Window.partitionBy("part").orderBy("number").rowsBetween(Window.unboundedPreceding, -1)
     placed = manifest.withColumn("inside", F.coalesce(F.sum("tokens").over(earlier), F.lit(0))).join(F.broadcast(parts), "part")
-    return placed.select("file", (F.col("base") + F.col("inside")).alias("base")).repartition("file").mapInArrow(_reader(root), ROWS)
+    files = parts_for(manifest.sparkSession, manifest.count(), PER_TASK)
+    return placed.select("file", (F.col("base") + F.col("inside")).alias("base")).repartition(files, "file").mapInArrow(_reader(root), ROWS)
+
+
+def sizes(manifest: DataFrame, width: int = 2) -> DataFrame:
+    """Documents, tokens, bytes of their ids at ``width`` bytes each, and bytes of the files that hold them."""
+    total = lambda c: F.coalesce(F.sum(c), F.lit(0))
+    return manifest.agg(total("docs").alias("docs"), total("tokens").alias("tokens"), (width * total("tokens")).alias("raw_bytes"), total("bytes").alias("stored_bytes"))
 
 
 def stored(spark: SparkSession, docs: DataFrame, path: str) -> DataFrame:
