@@ -17,7 +17,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import text_of
+from .common import Scratch, text_of
 
 FRAME, RATE, PAD = 576, 8000, 255
 #: Fixed values of the Ogg page format: capture pattern, header flags, lacing limits.
@@ -138,6 +138,16 @@ def demultiplex(media: bytes) -> dict[int, Logical]:
     return found
 
 
+def packet_ends(granules: list[int], frames: list[int]) -> np.ndarray:
+    """Position after each packet. A page states the position after the last packet that ends on it; those before it on
+    the page end earlier by the frames of the packets that follow."""
+    stated, size = np.array(granules, np.int64), np.array(frames, np.int64)
+    upto = np.cumsum(size)
+    last = np.flatnonzero(np.append(stated[1:] != stated[:-1], True)) if len(stated) else np.zeros(0, np.int64)
+    on = np.searchsorted(last, np.arange(len(stated)))
+    return stated - (upto[last][on] - upto)
+
+
 def pad(raw: bytes) -> bytes:
     return raw + bytes([PAD]) * (max(1, -(-len(raw) // FRAME)) * FRAME - len(raw))
 
@@ -162,11 +172,14 @@ def features_of(media: bytes) -> dict:
     payload = b"".join(audio.packets[1:])
     if audio.granules[-1] != len(payload) or note.packets[1] != f"samples={len(payload)}".encode():
         raise OggError("granule position and samples disagree")
-    ends = np.array(audio.granules[1:], np.int64) * 1000 // rate
+    ends = packet_ends(audio.granules[1:], [len(p) for p in audio.packets[1:]])
+    if ends[0] != len(audio.packets[1]) or (np.diff(ends) <= 0).any():
+        raise OggError("packets out of time")
+    stamps = ends * 1000 // rate
     samples = np.frombuffer(payload, np.uint8)
     high = samples >= 128
     total, square = int(samples.sum(dtype=np.int64)), int((samples.astype(np.int32) ** 2).sum(dtype=np.int64))
-    feature = (f"frame={frame};rate={rate};packets={len(audio.packets) - 1};pages={audio.pages};last_ms={int(ends[-1])};"
+    feature = (f"frame={frame};rate={rate};packets={len(audio.packets) - 1};pages={audio.pages};last_ms={int(stamps[-1])};times={zlib.crc32(stamps.astype("<i8").tobytes()):08x};"
                f"sum={total};energy={square};peak={int(samples.max())};crossings={int(np.count_nonzero(high[1:] != high[:-1]))}")
     return {"n_bytes": n_bytes, "payload": payload, "feature": feature}
 
@@ -185,7 +198,8 @@ def _store(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             yield pa.RecordBatch.from_arrays([pa.array(ids, pa.int64()), pa.array(media, pa.binary())], ["doc_id", "media"])
 
 
-_READ = "doc_id long, n_bytes long, payload_bytes long, payload_sha256 string, tail_crc32 long, media_bytes long, media_sha256 string, feature string"
+_READ = "doc_id long, n_bytes long, payload_bytes long, payload_sha256 string, tail_crc32 long, media_bytes long, media_sha256 string, feature string, error string"
+_PACKETS = "doc_id long, serial long, packet long, size long, start_ms long, end_ms long"
 
 
 def _read(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -193,26 +207,52 @@ def _read(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         rows = []
         for doc, cell in zip(b.column(0).to_pylist(), b.column(1), strict=True):
             media = cell.as_py()
-            x = features_of(media)
+            try:
+                x = features_of(media or b"")
+            except (OggError, KeyError, IndexError, struct.error) as e:
+                whole = (len(media), hashlib.sha256(media).hexdigest()) if media is not None else (None, None)
+                rows.append((doc, None, None, None, None, *whole, None, f"{type(e).__name__}: {e}"))
+                continue
             payload = x["payload"]
             rows.append((doc, x["n_bytes"], len(payload), hashlib.sha256(payload).hexdigest(), zlib.crc32(payload[-32:]),
-                         len(media), hashlib.sha256(media).hexdigest(), x["feature"]))
-        cols = list(zip(*rows, strict=True)) if rows else [[]] * 8
-        kinds = [pa.int64(), pa.int64(), pa.int64(), pa.string(), pa.int64(), pa.int64(), pa.string(), pa.string()]
+                         len(media), hashlib.sha256(media).hexdigest(), x["feature"], None))
+        cols = list(zip(*rows, strict=True)) if rows else [[]] * 9
+        kinds = [pa.int64(), pa.int64(), pa.int64(), pa.string(), pa.int64(), pa.int64(), pa.string(), pa.string(), pa.string()]
         yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(cols, kinds, strict=True)],
                                          [f.split()[0] for f in _READ.split(", ")])
 
 
+def _timed(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    for b in batches:
+        for doc, cell in zip(b.column(0).to_pylist(), b.column(1), strict=True):
+            rows = []
+            for serial, s in sorted(demultiplex(cell.as_py() or b"").items()):
+                sizes = [len(p) for p in s.packets[1:]]
+                rate = _PCM_HEAD.unpack(s.packets[0])[4] if serial == PCM else None
+                ends = packet_ends(s.granules[1:], sizes) if rate else []
+                rows += [(doc, serial, k + 1, n, *((int(ends[k] - n) * 1000 // rate, int(ends[k]) * 1000 // rate) if rate else (None, None))) for k, n in enumerate(sizes)]
+            cols = list(zip(*rows, strict=True)) if rows else [[]] * 6
+            yield pa.RecordBatch.from_arrays([pa.array(c, pa.int64()) for c in cols], [f.split()[0] for f in _PACKETS.split(", ")])
+
+
 def store(docs: DataFrame) -> DataFrame:
     """``(doc_id, media binary)``: each whole text as an Ogg stream. Null and empty text: one frame of padding."""
     return docs.select("doc_id", text_of().alias("text")).mapInArrow(_store, "doc_id long, media binary")
 
 
 def read_back(media: DataFrame) -> DataFrame:
-    """``(doc_id, media)`` -> digests and features of what is stored. A damaged stream raises ``OggError``."""
+    """``(doc_id, media)`` -> digests and features of what is stored. A damaged or missing stream keeps its row, with
+    ``error`` and without features; all others have a null ``error``."""
     return media.select("doc_id", F.col("media")).mapInArrow(_read, _READ)
 
 
+def packets(media: DataFrame) -> DataFrame:
+    """One row per packet after the header of each logical stream, with its time where the stream has a rate. A damaged
+    stream raises ``OggError``: filter by ``read_back``'s ``error`` first."""
+    return media.select("doc_id", F.col("media")).mapInArrow(_timed, _PACKETS)
+
+
 def features(docs: DataFrame) -> DataFrame:
-    """One row per row of ``docs``; equal texts give equal values, whatever else a row holds. Empty table: no rows."""
-    return read_back(store(docs))
+    """One row per row of ``docs``, from streams that were written to the shared folder and read again; equal texts give
+    equal values, whatever else a row holds. Empty table: no rows."""
+    return read_back(Scratch(docs.sparkSession, "media").save_small(store(docs), "media"))
