@@ -13,7 +13,7 @@ from dataclasses import dataclass
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import text_of
+from .common import packed_rows, text_of, unpacked
 
 SPACES, SPACE_CLASS = " \t\n\x0b\f\r", r"[\x20\x09-\x0D]+"
 SYMBOLS = r"[^#*$%&|<>]+"
@@ -84,14 +84,14 @@ def _covered(windows: Column) -> Column:
 
 
 def measured(docs: DataFrame, rules: LineRules = LineRules()) -> DataFrame:
-    """``docs`` with the base counts, ``base_failed``, ``lost`` (share of word characters on failing lines) and ``kept``.
+    """``row`` (the caller's columns as one struct, so that no name clashes), the text, the base counts, ``base_failed``,
+    ``lost`` (share of word characters on failing lines) and ``kept``, under names with ``__`` in front.
 
-    Null text counts as empty: zero words, so the base fails. Extra columns stay; names used here get ``__`` in front
-    while at work. Repeated rows are judged one by one.
+    Null text counts as empty: zero words, so the base fails. Repeated rows are judged one by one. Empty table: no rows.
     """
     text = F.col("__text")
     line = lambda x: x.rlike(r"[^\x20\x09-\x0D]")
-    base = (docs.withColumn("__text", text_of())
+    base = (docs.select(packed_rows(docs).alias("row"), text_of().alias("__text"))
             .withColumn("__words", _words(text)).withColumn("__lines", F.filter(F.split(text, "\n"), line))
             .withColumn("__windows", F.when(F.size("__words") >= WINDOW, _windows(F.col("__words")))))
     base = (base.withColumn("__n_words", F.size("__words").cast("long"))
@@ -123,18 +123,21 @@ RESULT = ("n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words",
 
 
 def verdicts(docs: DataFrame, rules: LineRules = LineRules()) -> DataFrame:
-    return measured(docs, rules).select("doc_id", *[F.col(f"__{c}").alias(c) for c in RESULT])
+    """A row for each row of ``docs``: base counts, base verdict and the verdict by lines. Null and empty text: no words,
+    so the base fails. Rows that repeat, ids too, are judged alike. Other columns are ignored. Empty table: no rows."""
+    return measured(docs, rules).select(F.col("row.doc_id").alias("doc_id"), *[F.col(f"__{c}").alias(c) for c in RESULT])
 
 
 def kept(docs: DataFrame, rules: LineRules = LineRules()) -> DataFrame:
-    """The documents that stay, with the columns they had."""
-    return measured(docs, rules).where("__kept").select(*docs.columns)
+    """The documents that stay, with the columns and whole text they had; null and empty texts go, repeated rows stay or
+    go together, an empty table gives none."""
+    return unpacked(measured(docs, rules).where("__kept"), "row", docs.columns)
 
 
 def cleaned(docs: DataFrame, rules: LineRules = LineRules()) -> DataFrame:
-    """``(doc_id, text)`` of the kept documents without their failing lines."""
+    """``(doc_id, text)`` of the kept documents without their failing lines; rows as in ``kept``."""
     lines = F.filter(F.split(F.col("__text"), "\n"), lambda x: ~_line_fails(x, rules))
-    return measured(docs, rules).where("__kept").select("doc_id", F.array_join(lines, "\n").alias("text"))
+    return measured(docs, rules).where("__kept").select(F.col("row.doc_id").alias("doc_id"), F.array_join(lines, "\n").alias("text"))
 
 
 def oracle(rules: LineRules = LineRules()) -> str:

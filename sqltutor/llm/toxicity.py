@@ -19,7 +19,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .common import text_of
+from .common import packed_rows, text_of, unpacked
 
 HELD_OUT, THRESHOLD, ROWS, LEARNED = 2, 0.3, 12_000, 100
 #: Fixed seed lexicon of insults, lower case, in the languages of the corpus.
@@ -150,10 +150,16 @@ def _sample(labels: DataFrame, folds: list[int], rows: int) -> DataFrame:
     return one.orderBy(F.xxhash64("doc_id"), "doc_id").limit(rows)
 
 
+def _texts(docs: DataFrame, sample: DataFrame) -> DataFrame:
+    """One text per sampled id, the smallest where rows share it, so that the bound on ids bounds rows as well."""
+    return (docs.select("doc_id", text_of().alias("text")).join(F.broadcast(sample), "doc_id")
+            .groupBy("doc_id").agg(F.min("text").alias("text"), F.first("toxic").alias("toxic")))
+
+
 def learned_words(docs: DataFrame, sample: DataFrame) -> frozenset[str]:
     """At most ``LEARNED`` words that mark toxic texts of fold 0: in 3 % or more of them and 85 % or more toxic."""
     words = F.array_distinct(F.split(F.lower(text_of()), r"[\s\p{Punct}]+"))
-    seen = docs.join(F.broadcast(sample), "doc_id").select("toxic", words.alias("ws"))
+    seen = _texts(docs, sample).select("toxic", words.alias("ws"))
     toxic = seen.agg(F.sum("toxic")).first()[0] or 0
     if toxic < 20:
         return frozenset()
@@ -171,13 +177,16 @@ def _featured(docs: DataFrame, sample: DataFrame, learned: frozenset[str]) -> tu
             rows = np.array([features(t, learned) for t in b.column(2).to_pylist()], float).reshape(-1, len(NAMES))
             yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), *map(pa.array, rows.T)], ["k", "toxic", *names])
 
-    seen = docs.join(F.broadcast(sample), "doc_id").select(fold().cast("long").alias("k"), F.col("toxic").cast("double").alias("toxic"), text_of().alias("text"))
+    seen = _texts(docs, sample).select(fold().cast("long").alias("k"), F.col("toxic").cast("double").alias("toxic"), "text")
     got = seen.mapInArrow(run, "k long, toxic double, " + ", ".join(f"{n} double" for n in names)).toArrow()
     return got["k"].to_numpy(), got["toxic"].to_numpy(), np.stack([got[n].to_numpy() for n in names], axis=1)
 
 
 def fit(docs: DataFrame, labels: DataFrame, rows: int = ROWS) -> Model:
-    """No labels at all: the seed lexicon's rate alone decides, through the pseudo-counts of the calibration."""
+    """A model from at most ``rows`` labelled ids for words and ``2 * rows`` for trees and calibration, one row each.
+
+    No labels at all: the seed lexicon's rate alone decides, through the pseudo-counts of the calibration. Labels without
+    a value or an id, and of documents that are not there, are left out; so are null ids. Empty table: as no labels."""
     learned = learned_words(docs, _sample(labels, [0], rows))
     k, y, x = _featured(docs, _sample(labels, [1, 3], 2 * rows), learned)
     base, trees = boosted(x[k == 1], y[k == 1]) if (k == 1).sum() >= 50 else (0.0, [])
@@ -205,5 +214,7 @@ def scored(docs: DataFrame, model: Model) -> DataFrame:
 
 
 def clean(docs: DataFrame, model: Model) -> DataFrame:
-    """The documents that are not toxic, with the columns they had."""
-    return docs.withColumn("__score", score_of(text_of(), model)).where(F.col("__score") < THRESHOLD).select(*docs.columns)
+    """The documents that are not toxic, with the columns they had. Null and empty texts score as texts without words;
+    equal texts stay or go together, repeated rows and null ids too. Empty table: no rows."""
+    rows = docs.select(packed_rows(docs).alias("row"), score_of(text_of(), model).alias("score"))
+    return unpacked(rows.where(F.col("score") < THRESHOLD), "row", docs.columns)
