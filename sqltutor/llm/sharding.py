@@ -11,12 +11,14 @@ with the documents that no link holds. A text larger than a shard fills several.
 
 from __future__ import annotations
 
+import itertools
+
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from .common import Scratch, prefix_sums, text_of
 
-SHARDS, FIBRES, BUCKETS, ROUNDS = 24, 4, 64, 8
+SHARDS, FIBRES, BUCKETS = 24, 4, 64
 
 
 def _described(docs: DataFrame) -> DataFrame:
@@ -41,7 +43,7 @@ def _summed(rows: DataFrame, group: list[str], size: str, keys: list[str]) -> Da
     at = [*group, size, "bucket"] if size in rows.columns else [*group, "rank", "bucket"]
     if size not in rows.columns:
         rows = rows.withColumn("rank", F.expr(size))
-    bucketed = rows.withColumn("bucket", F.pmod(F.xxhash64(*keys), F.lit(BUCKETS)).cast("int"))
+    bucketed = rows.withColumn("bucket", F.pmod(F.xxhash64(*keys), F.lit(_buckets(rows))).cast("int"))
     totals = bucketed.groupBy(*at).agg(F.sum("n").alias("asked"))
     before = Window.partitionBy(*group).orderBy(*at[len(group):]).rowsBetween(Window.unboundedPreceding, -1)
     totals = totals.select(*at, F.coalesce(F.sum("asked").over(before), F.lit(0)).alias("base"))
@@ -50,16 +52,24 @@ def _summed(rows: DataFrame, group: list[str], size: str, keys: list[str]) -> Da
             .withColumn("upto", F.col("base") + F.col("upto")).drop("bucket", "base", "rank"))
 
 
+def _buckets(rows: DataFrame) -> int:
+    """As many as the cluster shuffles into, so that a window's part shrinks as the cluster grows."""
+    return max(BUCKETS, int(rows.sparkSession.conf.get("spark.sql.shuffle.partitions")))
+
+
 def _load(cells: DataFrame) -> dict[int, int]:
     """Linked documents per shard: as many numbers as shards."""
     return {r["shard"]: r["n"] for r in cells.groupBy("shard").agg(F.sum("n").alias("n")).collect()}
 
 
-def propagate(spark: SparkSession, cells: DataFrame, quota: dict[int, int], rounds: int = ROUNDS) -> DataFrame:
-    """``cells(text_key, fibre, n, shard)`` after at most ``rounds`` rounds or the first that moves nothing."""
+def propagate(spark: SparkSession, cells: DataFrame, quota: dict[int, int], rounds: int | None = None) -> DataFrame:
+    """``cells(text_key, fibre, n, shard)`` after the first round that moves nothing, or after ``rounds`` if given.
+
+    A cell moves only to a shard that holds no less of its text than the one it leaves, so the sum of squares of a text's
+    shares grows with each move and the rounds come to an end."""
     scratch = Scratch(spark, "labels")
     cells = scratch.save(cells, "cells-0")
-    for step in range(1, rounds + 1):
+    for step in itertools.count(1) if rounds is None else range(1, rounds + 1):
         load = _load(cells)
         free = {s: max(0, quota[s] - load.get(s, 0)) for s in quota}
         room = F.create_map(*[F.lit(x) for kv in free.items() for x in kv])
@@ -120,8 +130,7 @@ def settle(spark: SparkSession, cells: DataFrame, quota: dict[int, int]) -> Data
 def _ranked(rows: DataFrame, group: list[str], order: list[str], out: str, by: list[str]) -> DataFrame:
     """Gapless rank from 0 inside ``group``, by hash bucket of ``by`` and then ``order``: counts per bucket, running
     sums of these few, and row numbers inside a bucket."""
-    buckets = max(BUCKETS, int(rows.sparkSession.conf.get("spark.sql.shuffle.partitions")))
-    rows = rows.withColumn("__b", F.pmod(F.xxhash64(*by), F.lit(buckets)).cast("int"))
+    rows = rows.withColumn("__b", F.pmod(F.xxhash64(*by), F.lit(_buckets(rows))).cast("int"))
     counts = rows.groupBy(*group, "__b").agg(F.count("*").alias("__c"))
     if group:
         before = Window.partitionBy(*group).orderBy("__b").rowsBetween(Window.unboundedPreceding, -1)
