@@ -125,10 +125,12 @@ def near_duplicates(spark: SparkSession, docs: DataFrame) -> DataFrame:
 
 
 def keep_one(spark: SparkSession, docs: DataFrame) -> DataFrame:
-    """The rows of ``docs`` that stay: of each class one, the one with the smallest id (of several such rows, one)."""
+    """The rows of ``docs`` that stay: of each class one, the one with the smallest id; ties: the first row. Null and empty
+    texts are one class, with all that lie within two bits of fingerprint zero. Columns stay as they were."""
+    from .nearcopy import first_of_each, numbered
+
     scratch = Scratch(spark, "distinct")
-    marked = scratch.save(docs.withColumn("__fp", fingerprint_of(text_of())), "marked")
-    found = classes(spark, marked.select("doc_id", F.col("__fp").alias("fp")))
-    first = found.select(F.col("fp").alias("__fp"), F.col("label").alias("__label"), F.col("component_id").alias("__first"))
-    return (marked.join(first, "__fp").where(F.col("doc_id").eqNullSafe(F.col("__first")))
-            .dropDuplicates(["__label"]).select(*docs.columns))
+    marked = numbered(docs, scratch)
+    prints = scratch.save(marked.select("row", "doc_id", fingerprint_of(F.col("text")).alias("fp")), "prints")
+    labels = classes(spark, prints.select("doc_id", "fp")).select("fp", "label")
+    return first_of_each(marked, prints.join(labels, "fp").select("row", "doc_id", "label"), scratch, docs.columns)
