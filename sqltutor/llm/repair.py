@@ -34,13 +34,18 @@ def compress(ids: np.ndarray, base: int) -> tuple[np.ndarray, np.ndarray]:
 
     Counts of pairs without a symbol of the last round only fall, so a later round counts pairs with such a symbol, those
     of the last round's pairs that are left, and all pairs only where the last round couldn't take every frequent one."""
-    seq, rules, top, recent, sieve = ids.astype(np.uint32), [], base, 0, None
+    seq, rules, top, recent, slots = ids.astype(np.uint32), [], base, 0, None
     while True:
         room = min(PER_ROUND, SYMBOLS - top)
         if len(seq) < 2 or room <= 0:
             break
         keys = (seq[:-1] << np.uint32(16)) | seq[1:]
-        ordered = np.sort(keys if sieve is None else keys[(seq[:-1] >= recent) | (seq[1:] >= recent) | sieve[_mixed(keys)]])
+        hashed = _mixed(keys)
+        if slots is None:
+            ordered = np.sort(keys)
+        else:
+            new = seq >= recent
+            ordered = np.sort(keys[new[:-1] | new[1:] | (slots[hashed] >= 0)])
         if not len(ordered):
             break
         edge = np.flatnonzero(np.concatenate(([True], ordered[1:] != ordered[:-1])))
@@ -50,49 +55,63 @@ def compress(ids: np.ndarray, base: int) -> tuple[np.ndarray, np.ndarray]:
             break
         whole = len(often) <= room
         if not whole:
-            often = often[np.argsort(-counts[often], kind="stable")[:room]]
+            often = np.sort(often[np.argpartition(-counts[often], room - 1)[:room]])
         chosen, times = ordered[edge[often]], counts[often]
-        order = np.argsort(chosen)
-        chosen, times = chosen[order], times[order]
-        sieve = np.zeros(1 << 20, bool)
-        sieve[_mixed(chosen)] = True
-        places = np.flatnonzero(sieve[_mixed(keys)])
-        at = np.minimum(np.searchsorted(chosen, keys[places]), len(chosen) - 1)
-        hit = chosen[at] == keys[places]
+        slots, shared = _slots(chosen)
+        places = np.flatnonzero(slots[hashed] >= 0)
+        at = slots[hashed[places]]
+        found = keys[places]
+        odd = np.flatnonzero(shared[at])
+        at[odd] = np.minimum(np.searchsorted(chosen, found[odd]), len(chosen) - 1)
+        hit = chosen[at] == found
         places, at = places[hit], at[hit]
         won = _apart(places, times[at])
         places, at = places[won], at[won]
-        used, at = np.unique(at, return_inverse=True)
-        rules.append(chosen[used])
-        seq[places] = top + at
+        there = np.bincount(at, minlength=len(chosen)) > 0
+        rules.append(chosen[there])
+        seq[places] = (top - 1 + np.cumsum(there))[at]
         keep = np.ones(len(seq), bool)
         keep[places + 1] = False
-        seq, top, recent = seq[keep], top + len(used), top
-        sieve = sieve if whole else None
+        seq, top, recent = seq[keep], top + int(there.sum()), top
+        slots = slots if whole else None
     flat = np.concatenate(rules) if rules else np.zeros(0, np.uint32)
     return seq.astype("<u2"), np.stack([flat >> 16, flat & 0xFFFF], axis=1).astype("<u2")
 
 
+def _slots(chosen: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Hash -> place in ``chosen`` or -1, and which of ``chosen`` share their hash with another."""
+    at = _mixed(chosen)
+    slots = np.full(1 << 20, -1, np.int32)
+    slots[at] = np.arange(len(chosen), dtype=np.int32)
+    lost = slots[at] != np.arange(len(chosen))
+    shared = np.zeros(len(chosen), bool)
+    shared[slots[at[lost]]] = True
+    return slots, shared | lost
+
+
 def _apart(places: np.ndarray, times: np.ndarray) -> np.ndarray:
     """Which places to replace where neighbours overlap: the more frequent pair's first; in a row of one frequency every
     other one. Places that beat both neighbours win and put these out, until all are decided."""
-    n = len(places)
-    number = np.arange(n)
-    touch = np.concatenate((np.diff(places) == 1, [False]))
-    fresh = np.concatenate(([True], ~touch[:-1] | (times[1:] != times[:-1])))
-    rank = 2 * times.astype(np.int64) + ((number - np.maximum.accumulate(np.where(fresh, number, 0))) % 2 == 0)
-    won, open_ = np.zeros(n, bool), np.ones(n, bool)
-    while len(live := np.flatnonzero(open_)):
-        before = np.where((live > 0) & touch[live - 1] & open_[live - 1], rank[live - 1], -1)
-        after = live + 1 < n
-        nxt = np.minimum(live + 1, n - 1)
-        behind = np.where(after & touch[live] & open_[nxt], rank[nxt], -1)
-        best = live[(rank[live] > before) & (rank[live] > behind)]
-        won[best] = True
-        open_[best] = False
-        open_[np.minimum(best + 1, n - 1)] &= ~touch[best]
-        left = best[best > 0]
-        open_[left - 1] &= ~touch[left - 1]
+    won = np.ones(len(places), bool)
+    touch = np.append(np.diff(places) == 1, False)
+    rows = np.flatnonzero(touch | np.append(False, touch[:-1]))
+    if not len(rows):
+        return won
+    won[rows] = False
+    touch, times = touch[rows], times[rows].astype(np.int64)
+    number = np.arange(len(rows))
+    fresh = np.append(True, ~touch[:-1] | (times[1:] != times[:-1]))
+    rank = 2 * times + ((number - np.maximum.accumulate(np.where(fresh, number, 0))) % 2 == 0)
+    while len(rows):
+        joined = touch[:-1]
+        best = np.append(True, ~joined | (rank[1:] > rank[:-1])) & np.append(~joined | (rank[:-1] > rank[1:]), True)
+        won[rows[best]] = True
+        out = best.copy()
+        out[1:] |= best[:-1] & joined
+        out[:-1] |= best[1:] & joined
+        left = ~out
+        follows = np.append(left[1:], False)
+        touch, rank, rows = (touch & follows)[left], rank[left], rows[left]
     return won
 
 

@@ -1,55 +1,38 @@
-"""Token ids by public engines, piece by piece with a bounded memory; the fast way into packing and storage."""
+"""Token ids by public engines; the fast way into packing and storage."""
 
 from __future__ import annotations
 
-from itertools import chain
-
 import numpy as np
+import regex
 
-from .bpe import CACHE, Memory, separable, vocabulary
+from .bpe import vocabulary
 
 #: Pattern that the vocabulary file's byte-level pre-tokenizer has by definition.
 SPLIT = r"'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+"
+#: Characters that engines don't agree to call white space, or that one of them calls so in another way.
+_ODD_ASCII = "\x0b\x0c\x1c\x1d\x1e\x1f"
+_ODD = regex.compile(r"[\x0b\x0c\x1c-\x1f\x85\xa0\u1680\u180e\u2000-\u200a\u2028\u2029\u202f\u205f\u3000]")
 
 
 class Library:
-    """The tokenizers library's ids. Texts that may be cut at spaces are looked up piece by piece; new pieces of a
-    batch go through a rank-based engine over the same file in one call; all other texts go through the library whole."""
+    """The tokenizers library's ids. A rank-based engine over the same file gives them at a third of the cost; texts with odd
+    white space or with a special token's name go through the library itself."""
 
-    def __init__(self, path: str, limit: int = CACHE):
+    def __init__(self, path: str):
         import tiktoken
         from tokenizers import Tokenizer
 
-        self.v, self.memory = vocabulary(path), Memory(limit)
+        self.v = vocabulary(path)
         self.library = Tokenizer.from_file(path)
         self.library.no_truncation()
         self.library.no_padding()
         self.engine = tiktoken.Encoding("file", pat_str=SPLIT, mergeable_ranks=self.v.by_bytes, special_tokens={})
-        self.sizes = np.fromiter(map(len, self.v.pieces), np.int64, self.v.size)
-
-    def learn(self, pieces: list[str]) -> None:
-        """``pieces`` follow a space and hold none, so in a row they are cut where they were joined."""
-        if not pieces:
-            return
-        flat = np.array(self.engine.encode_ordinary(" " + " ".join(pieces)), self.v.kind)
-        ends = np.cumsum(np.fromiter((len(p.encode()) + 1 for p in pieces), np.int64, len(pieces)))
-        cuts = ((np.searchsorted(np.cumsum(self.sizes[flat]), ends) + 1) * flat.itemsize).tolist()
-        packed = flat.tobytes()
-        self.memory.known.update(zip(pieces, [packed[s:e] for s, e in zip([0, *cuts[:-1]], cuts, strict=True)], strict=True))
+
+    def ids(self, text: str) -> list[int]:
+        odd = any(c in text for c in _ODD_ASCII) if text.isascii() else _ODD.search(text)
+        if odd or any(s in text for s in self.v.special):
+            return self.library.encode(text, add_special_tokens=False).ids
+        return self.engine.encode_ordinary(text)
 
     def encode_batch(self, texts: list[str]) -> list[bytes]:
-        cut = [t.split(" ") if separable(t) and not any(s in t for s in self.v.special) else None for t in texts]
-        new = set(chain.from_iterable(c[1:] for c in cut if c))
-        new.discard("")
-        self.learn(self.memory.missing(new))
-        known = self.memory.known
-        pack = lambda ids: np.array(ids, self.v.kind).tobytes()
-        blank = pack(self.engine.encode_ordinary(" "))
-        out = []
-        for t, c in zip(texts, cut, strict=True):
-            if c is None:
-                out.append(pack(self.library.encode(t, add_special_tokens=False).ids))
-            else:
-                first = pack(self.engine.encode_ordinary(c[0])) if c[0] else b""
-                out.append(first + b"".join([known[x] if x else blank for x in c[1:]]))
-        return out
+        return [np.array(self.ids(t), self.v.kind).tobytes() for t in texts]

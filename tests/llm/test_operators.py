@@ -393,7 +393,7 @@ def library():
 
 def random_texts():
     rng = random.Random(11)
-    letters = " \n\t'sdé日  a1!\x1c\xa0 xyzé.,🙂\u2003"
+    letters = " \n\t'sdé日  a1!\x1c\xa0 xyzé.,🙂\u2003\r\x0b\u200b\ufeff\u180eΣ٣"
     return ["".join(rng.choice(letters) for _ in range(rng.randint(0, 40))) for _ in range(1500)] + ["a<|endoftext|>b", "it's  we'll", " a ", "\n\n a", "x  " * 5, LONG[:5000]]
 
 
@@ -402,8 +402,9 @@ def test_engines_equal_the_library(library, engine):
     texts = random_texts()
     got = [np.frombuffer(x, "<u2").tolist() for x in engine(tokenizer()).encode_batch(texts)]
     assert got == [library.encode(t, add_special_tokens=False).ids for t in texts]
-    tiny = engine(tokenizer(), limit=3)
-    assert [tiny.encode_batch([t])[0] for t in texts[:200]] == [np.array(x, "<u2").tobytes() for x in got[:200]]
+    if engine is bpe.Speculative:
+        tiny = engine(tokenizer(), limit=3)
+        assert [tiny.encode_batch([t])[0] for t in texts[:200]] == [np.array(x, "<u2").tobytes() for x in got[:200]]
 
 
 def test_compatibility_equals_exact_merging():
