@@ -131,7 +131,9 @@ def verdicts(docs: DataFrame, rules: LineRules = LineRules()) -> DataFrame:
 def kept(docs: DataFrame, rules: LineRules = LineRules()) -> DataFrame:
     """The documents that stay, with the columns and whole text they had; null and empty texts go, repeated rows stay or
     go together, an empty table gives none."""
-    return unpacked(measured(docs, rules).where("__kept"), "row", docs.columns)
+    # a filter would be pushed below the counts and compute them anew for each use; an array of no row or one is not
+    rows = measured(docs, rules).select(F.explode(F.filter(F.array(F.struct("row", "__kept")), lambda x: x["__kept"])).alias("x"))
+    return unpacked(rows.select("x.row"), "row", docs.columns)
 
 
 def cleaned(docs: DataFrame, rules: LineRules = LineRules()) -> DataFrame:
