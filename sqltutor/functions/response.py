@@ -34,17 +34,25 @@ def _tags_ok(text: Column) -> Column:
     return ~odd & (((opens == 1) & (closes == 1) & (F.instr(text, "<think>") < F.instr(text, "</think>"))) | ((opens == 0) & (closes == 0)))
 
 
+def _bound(values: dict[str, Column], body) -> Column:
+    """``body`` over a struct of ``values``, each computed once however often ``body`` names it."""
+    return F.get(F.transform(F.array(F.struct(*[v.alias(k) for k, v in values.items()])), body), F.lit(0))
+
+
 def parse(response: Column) -> Column:
     """``struct(think, sql, fenced, tags_ok, reason)``; parts that are missing are null. Null response: all missing."""
-    t = _clean(response)
-    fences = _count(t, "```")
-    fenced = (fences == 2) & t.rlike(_FENCE)
-    tags = _tags_ok(t)
-    reason = (F.when(response.isNull(), "missing").when(~tags, "tags").when(fences == 0, "no fence").when(fences > 2, "several fences")
-              .when(~fenced, "open fence").otherwise("ok"))
-    return F.struct(F.when(tags & t.contains("<think>"), F.regexp_extract(t, _THINK, 1)).alias("think"),
-                    F.when(fenced, F.trim(F.regexp_extract(t, _FENCE, 1))).alias("sql"),
-                    fenced.alias("fenced"), tags.alias("tags_ok"), reason.alias("reason"))
+    def named(x: Column) -> Column:
+        reason = (F.when(x["none"], "missing").when(~x["tags"], "tags").when(x["fences"] == 0, "no fence").when(x["fences"] > 2, "several fences")
+                  .when(~x["fenced"], "open fence").otherwise("ok"))
+        return F.struct(F.when(x["tags"] & x["t"].contains("<think>"), F.regexp_extract(x["t"], _THINK, 1)).alias("think"),
+                        F.when(x["fenced"], F.trim(F.regexp_extract(x["t"], _FENCE, 1))).alias("sql"),
+                        x["fenced"].alias("fenced"), x["tags"].alias("tags_ok"), reason.alias("reason"))
+
+    def counted(x: Column) -> Column:
+        fences = _count(x["t"], "```")
+        return _bound({"t": x["t"], "none": x["none"], "fences": fences, "fenced": (fences == 2) & x["t"].rlike(_FENCE), "tags": _tags_ok(x["t"])}, named)
+
+    return _bound({"t": _clean(response), "none": response.isNull()}, counted)
 
 
 def valid(response: Column, mode: str) -> Column:

@@ -73,16 +73,18 @@ def scored_pairs(pairs: DataFrame, a: str, b: str, alpha: float = ALPHA, match:
 
     With ``tau``, pairs whose upper bound stays below it are not matched: their ``sim`` is that bound and surely fails.
     """
-    jac = jaccard(F.col(a), F.col(b))
+    once = pairs.select(a, b).distinct().withColumn("jac", jaccard(F.col(a), F.col(b)))
     if match == "edit":
-        out = pairs.withColumn("ratio", edit_ratio(F.col(a), F.col(b))).withColumn("jac", jac)
-        return out.withColumn("sim", mix(F.col("ratio"), F.col("jac"), alpha))
-    once = pairs.select(a, b).distinct().withColumn("jac", jac).withColumn("bound", block_bound(F.col(a), F.col(b)))
+        return _joined(pairs, once.withColumn("ratio", edit_ratio(F.col(a), F.col(b))), a, b, alpha)
+    once = once.withColumn("bound", block_bound(F.col(a), F.col(b)))
     hopeless = (mix(F.col("bound"), F.col("jac"), alpha) < tau) if tau is not None else F.lit(False)
     easy = F.when(F.col(a) == F.col(b), 1.0).when(hopeless, F.col("bound"))
     known = once.withColumn("easy", easy)
     hard = known.where("easy IS NULL").withColumn("ratio", block_ratio(F.col(a), F.col(b)))
-    scored = known.where("easy IS NOT NULL").withColumn("ratio", F.col("easy")).unionByName(hard)
+    return _joined(pairs, known.where("easy IS NOT NULL").withColumn("ratio", F.col("easy")).unionByName(hard), a, b, alpha)
+
+
+def _joined(pairs: DataFrame, scored: DataFrame, a: str, b: str, alpha: float) -> DataFrame:
     scored = scored.select(a, b, "ratio", "jac", mix(F.col("ratio"), F.col("jac"), alpha).alias("sim"))
     left, right = pairs.alias("l"), scored.alias("r")
     return left.join(right, F.col(f"l.{a}").eqNullSafe(F.col(f"r.{a}")) & F.col(f"l.{b}").eqNullSafe(F.col(f"r.{b}")), "left").select("l.*", "r.ratio", "r.jac", "r.sim")

@@ -27,6 +27,22 @@ STEPS = (
 TIDY = ((CALL + r" \( ?", "("), (r"\( ", "("), (r" \)", ")"), (STR, "'[str]'"), (VAL, "[val]"), (COL, "[col]"))
 
 
+#: Marks of a name that is no keyword, a table, and a name that goes.
+NAME, TAB, GONE = "\x05", "\x06", "\x07"
+_WORD = "[A-Z_][A-Z0-9_]*"
+#: What becomes of the tokens, which stand between single spaces in upper case: names are marked, then functions, tables,
+#: aliases (and names in a row) and AS go, and what is left is a column. A table may follow a table after a comma.
+KINDS = (
+    (rf"(?<= )(?!(?:{'|'.join(KEYWORDS)}) )({_WORD})(?= )", rf"{NAME}$1"),
+    (rf"{NAME}({_WORD}) \(", rf"$1{CALL} ("),
+    (rf"(?<= (?:FROM|JOIN) ){NAME}{_WORD}", TAB),
+    (rf"(?<= (?:AS|\)|END|[{STR}{VAL}{COL}{TAB}]) ){NAME}{_WORD}(?: {NAME}{_WORD})*", GONE),
+    (rf"({NAME}{_WORD})(?: {NAME}{_WORD})+", "$1"),
+    (rf"(?<= )AS (?!(?:{'|'.join(TYPES)}) )", ""),
+)
+COMMAS = 6
+
+
 def _chain(sql: Column, steps: tuple[tuple[str, str], ...]) -> Column:
     for pattern, text in steps:
         sql = F.regexp_replace(sql, pattern, text.replace("{1}", "$1"))
@@ -34,27 +50,15 @@ def _chain(sql: Column, steps: tuple[tuple[str, str], ...]) -> Column:
 
 
 def extract(sql: Column, tables: tuple[str, ...] = ()) -> Column:
-    """Skeleton of a query's text; null stays null. ``tables``: names that are tables wherever they stand."""
-    tokens = F.filter(F.split(F.trim(_chain(sql, STEPS)), " "), lambda x: x != "")
-
-    def kind(all_: Column) -> Column:
-        ups = F.transform(all_, F.upper)
-        none = F.array(F.lit(""))
-        around = F.arrays_zip(all_.alias("x"), ups.alias("up"), F.concat(none, ups).alias("before"), F.concat(F.slice(ups, F.lit(2), F.size(all_)), none).alias("after"))
-        is_name = lambda t: t.rlike(r"\A[A-Z_][A-Z0-9_]*\z")
-
-        def one(z: Column) -> Column:
-            x, up, before, after = z["x"], z["up"], z["before"], z["after"]
-            key, name = up.isin(*KEYWORDS), is_name(up)
-            alias = before.isin("AS", ")", "END", STR, VAL, COL) | (is_name(before) & ~before.isin(*KEYWORDS))
-            return (F.when(x.isNull() | (up == "AS") & ~after.isin(*TYPES), F.lit("")).when(key, up).when(~name, x)
-                    .when(after == "(", F.concat(up, F.lit(CALL))).when(before.isin("FROM", "JOIN"), F.lit("[tab]")).when(alias, F.lit(""))
-                    .when(F.lower(x).isin(*tables) if tables else F.lit(False), F.lit("[tab]")).otherwise(F.lit(COL)))
-
-        return F.transform(around, one)
-
-    named = F.get(F.transform(F.array(tokens), kind), F.lit(0))
-    return F.trim(_chain(F.array_join(F.filter(named, lambda x: x != ""), " "), TIDY))
+    """Skeleton of a query's text; null stays null. ``tables``: names that are tables wherever they stand. One pass of a
+    pattern for each rule, all inside generated code."""
+    spaced = F.upper(F.concat(F.lit(" "), F.trim(_chain(sql, STEPS)), F.lit(" ")))
+    named = _chain(spaced, KINDS)
+    if tables:
+        named = F.regexp_replace(named, rf"{NAME}(?:{'|'.join(t.upper() for t in tables)})(?= )", TAB)
+    named = _chain(named, ((rf"{NAME}{_WORD}", COL), (f" {GONE}(?= )", ""), (f"{TAB}", "[tab]")))
+    named = _chain(named, ((rf"(FROM \[tab\](?: , \[tab\])*) , {COL}(?= )", "$1 , [tab]"),) * COMMAS)
+    return F.trim(_chain(F.trim(named), TIDY))
 
 
 def emphasise(skeleton: Column, weights: tuple[tuple[str, int], ...] = WEIGHTS) -> Column:
@@ -74,12 +78,12 @@ def duck_extract(sql: str) -> str:
     name = lambda t: f"regexp_matches({t}, '\\A[A-Z_][A-Z0-9_]*\\z')"
     before, after = "upper(coalesce(ts[i - 1], ''))", "upper(coalesce(ts[i + 1], ''))"
     before = f"(CASE WHEN i > 1 THEN {before} ELSE '' END)"
-    body = (f"CASE WHEN upper(x) = 'AS' AND NOT {after} IN ({types}) THEN '' WHEN upper(x) IN ({keys}) THEN upper(x) WHEN NOT {name('upper(x)')} THEN x "
+    body = (f"CASE WHEN upper(x) = 'AS' AND NOT {after} IN ({types}) THEN '' WHEN upper(x) IN ({keys}) THEN upper(x) WHEN NOT {name('upper(x)')} THEN upper(x) "
             f"WHEN {after} = '(' THEN upper(x) || {quoted(CALL)} WHEN {before} IN ('FROM', 'JOIN') THEN '[tab]' "
             f"WHEN {before} IN ('AS', ')', 'END', {quoted(STR)}, {quoted(VAL)}, {quoted(COL)}) OR ({name(before)} AND NOT {before} IN ({keys})) THEN '' "
             f"ELSE {quoted(COL)} END")
     out = f"list_transform([{toks}], lambda ts: array_to_string(list_filter(list_transform(ts, lambda x, i: {body}), lambda x: x <> ''), ' '))[1]"
-    for pattern, text in TIDY:
+    for pattern, text in (*(((rf"(FROM \[tab\](?: , \[tab\])*) , {COL}( |$)", "\\1 , [tab]\\2"),) * COMMAS), *TIDY):
         out = f"regexp_replace({out}, {quoted(pattern)}, {quoted(text)}, 'g')"
     return f"trim({out})"
 

@@ -15,6 +15,8 @@ import numpy as np
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
+from ..functions.hashing import uniform
+
 MOST_PARAMETERS = 200_000
 
 
@@ -34,6 +36,10 @@ class Policy:
         row = [(lean or {}).get(k, 0.0) for k in kinds]
         return cls(list(classes), list(kinds), np.array([row] * len(classes), float))
 
+    def tempered(self, sharpness: float) -> Policy:
+        """The same leanings, stronger (over 1) or weaker."""
+        return Policy(self.classes, self.kinds, self.theta * sharpness)
+
     def probs(self) -> np.ndarray:
         z = np.exp(self.theta - self.theta.max(axis=1, keepdims=True))
         return z / z.sum(axis=1, keepdims=True)
@@ -50,7 +56,7 @@ class Policy:
     def sample(self, questions: DataFrame, group: int, seed: int, salt: int = 0) -> DataFrame:
         """``group`` rows per question: ``slot`` and ``kind`` by inverse distribution of a hash-uniform; repeats of the
         same seed, question and slot give the same kind whatever the layout."""
-        u = (F.pmod(F.xxhash64(F.lit(seed), F.lit(salt), F.col("question_id"), F.col("slot")), F.lit(2_147_483_647)) + 0.5) / 2_147_483_647
+        u = uniform(F.lit(seed), F.lit(salt), F.col("question_id"), F.col("slot"))
         edges = F.element_at(self._table(np.cumsum(self.probs(), axis=1)[:, :-1]), F.col("family"))
         at = F.size(F.filter(edges, lambda e: e <= F.col("u")))
         names = F.array(*[F.lit(k) for k in self.kinds])
@@ -62,11 +68,18 @@ class Policy:
         return F.element_at(F.element_at(self._table(np.log(self.probs())), F.col(cls)), at)
 
 
-def advantages(df: DataFrame, group: list[str] = ["question_id"], reward: str = "total", normalise: str = "none") -> DataFrame:  # noqa: B006
+def _exact(value: Column | str) -> Column:
+    """A decimal: sums of these are the same in whatever order rows come."""
+    return (F.col(value) if isinstance(value, str) else value).cast("decimal(38,15)")
+
+
+def advantages(df: DataFrame, group: list[str] = ["question_id"], reward: str = "total", normalise: str = "none", exact: bool = False) -> DataFrame:  # noqa: B006
     """Reward less the group's mean; no division by the deviation unless ``normalise="std"`` asks for it. Groups are small
-    (their size is the sampling parameter), so a window by group holds little."""
+    (their size is the sampling parameter), so a window by group holds little. ``exact``: the mean comes from decimals, so
+    that it doesn't depend on the order of rows."""
     w = Window.partitionBy(*group)
-    out = df.withColumn("adv", F.col(reward) - F.avg(reward).over(w))
+    mean = F.sum(_exact(reward)).over(w).cast("double") / F.count(reward).over(w) if exact else F.avg(reward).over(w)
+    out = df.withColumn("adv", F.col(reward) - mean)
     return out.withColumn("adv", F.try_divide("adv", F.stddev_pop(reward).over(w))) if normalise == "std" else out
 
 
@@ -110,18 +123,19 @@ def reward_cube(scored: DataFrame) -> DataFrame:
 
 def gradient(df: DataFrame, policy: Policy, eps: float = 0.2) -> tuple[np.ndarray, float]:
     """Gradient of the mean clipped surrogate in theta and the surrogate itself. Rows have ``family``, ``kind``, ``adv``,
-    ``logp``, ``logp_old`` and ``group`` size; a clipped row pulls nothing. One row per parameter reaches the driver."""
+    ``logp``, ``logp_old`` and ``group`` size; a clipped row pulls nothing. One row per parameter reaches the driver, in
+    decimal sums and taken in one order, so that the result is the same bit for bit on any layout."""
     r, a = ratio(), F.col("adv")
     live = ~(((a > 0) & (r > 1 + eps)) | ((a < 0) & (r < 1 - eps)))
     pull = F.when(live, r * a).otherwise(0.0)
-    sums = df.groupBy("family", "kind").agg(F.sum(pull / F.col("group")).alias("g"), F.sum(surrogate_term(eps) / F.col("group")).alias("s"),
-                                            F.sum(1.0 / F.col("group")).alias("w")).collect()
+    sums = df.groupBy("family", "kind").agg(F.sum(_exact(pull / F.col("group"))).alias("g"), F.sum(_exact(surrogate_term(eps) / F.col("group"))).alias("s"),
+                                            F.sum(_exact(1.0 / F.col("group"))).alias("w")).collect()
     grad, at = np.zeros_like(policy.theta), {c: i for i, c in enumerate(policy.classes)}
-    groups = sum(x["w"] for x in sums) or 1.0
+    groups = float(sum(x["w"] for x in sums)) or 1.0
     for x in sums:
-        grad[at[x["family"]], policy.kinds.index(x["kind"])] += x["g"]
+        grad[at[x["family"]], policy.kinds.index(x["kind"])] += float(x["g"])
     grad -= policy.probs() * grad.sum(axis=1, keepdims=True)
-    return grad / groups, sum(x["s"] for x in sums) / groups
+    return grad / groups, float(sum(x["s"] for x in sums)) / groups
 
 
 @dataclass
@@ -159,6 +173,15 @@ class Run:
     snapshots: dict[int, Policy] = field(default_factory=dict)
 
 
+def _stats(rows: DataFrame) -> tuple[float, float, float]:
+    """Mean and deviation of the reward and mean length, from exact sums."""
+    x = rows.agg(F.count("*").alias("n"), F.sum(_exact("total")).alias("s"), F.sum(_exact(F.col("total") * F.col("total"))).alias("q"), F.sum("n_tok_out").alias("t")).first()
+    if not x["n"]:
+        return 0.0, 0.0, 0.0
+    spread = (x["q"] - x["s"] * x["s"] / x["n"]) / (x["n"] - 1) if x["n"] > 1 else 0
+    return float(x["s"] / x["n"]), math.sqrt(max(0.0, float(spread))), float(x["t"] / x["n"])
+
+
 def train(questions: DataFrame, cube: DataFrame, start: Policy, steps: int = 12, group: int = 8, inner: int = 1, eps: float = 0.2, beta: float = 0.04,
           seed: int = 1, every: int = 4, rate: float = 0.3) -> Run:
     """Samples, scores and updates for ``steps`` rounds; the trace has step, mean and deviation of reward, mean length,
@@ -166,15 +189,15 @@ def train(questions: DataFrame, cube: DataFrame, start: Policy, steps: int = 12,
     afresh, so no lineage grows. ``inner`` updates reuse a sample, where clipping begins to bite."""
     reference, policy, adam = start, Policy(start.classes, start.kinds, start.theta.copy()), Adam(rate)
     run = Run(policy)
-    sizes = {r["family"]: r["n"] for r in questions.groupBy("family").agg(F.count("*").alias("n")).collect()}
+    sizes = {r["family"]: r["n"] for r in questions.groupBy("family").agg(F.count("*").alias("n")).collect()}  # one row a class
     weights = np.array([sizes.get(c, 0) for c in policy.classes], float)
     weights /= weights.sum() or 1.0
     for step in range(steps):
         old = Policy(policy.classes, policy.kinds, policy.theta.copy())
         rows = old.sample(questions.select("question_id", "family"), group, seed, step).join(cube, ["question_id", "kind"])
-        rows = advantages(rows).withColumn("group", F.lit(float(group))).withColumn("logp_old", old.logp()).persist()
+        rows = advantages(rows, exact=True).withColumn("group", F.lit(float(group))).withColumn("logp_old", old.logp()).persist()
         try:
-            stats = rows.agg(F.avg("total"), F.stddev_samp("total"), F.avg("n_tok_out")).first()
+            stats = _stats(rows)
             dead = dead_groups(rows).first()["dead"]
             for _ in range(inner):
                 grad, value = gradient(rows.withColumn("logp", policy.logp()), policy, eps)
@@ -182,7 +205,7 @@ def train(questions: DataFrame, cube: DataFrame, start: Policy, steps: int = 12,
         finally:
             rows.unpersist()
         kl_now = float((weights * kl_exact(policy.probs(), reference.probs())).sum())
-        run.trace.append((step, float(stats[0]), float(stats[1] or 0.0), float(stats[2]), float(value), kl_now, int(dead)))
+        run.trace.append((step, *stats, float(value), kl_now, int(dead)))
         if every and (step + 1) % every == 0:
             run.snapshots[step + 1] = Policy(policy.classes, policy.kinds, policy.theta.copy())
     run.policy = policy

@@ -9,6 +9,10 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 
+#: Draws that one digest gives, and the shares of a Poisson variable of mean 1 below 1, 2, 3 and 4, of 65,536.
+DRAWS, POISSON = 8, (24_109, 48_219, 60_273, 64_291)
+
+
 def _rate(flag: str | Column) -> Column:
     col = F.col(flag) if isinstance(flag, str) else flag
     return F.avg(F.coalesce(col, F.lit(False)).cast("double"))
@@ -147,11 +151,16 @@ def timing_noise(df: DataFrame, times: str = "times") -> DataFrame:
 
 
 def bootstrap(df: DataFrame, by: list[str], value: Column, b: int = 200, seed: int = 7) -> DataFrame:
-    """95 % interval of a mean by Poisson bootstrap: each row draws ``b`` weights from a hash of its question."""
-    u = lambda i: (F.pmod(F.xxhash64(F.lit(seed), F.col("question_id"), i), F.lit(1_000_003)) + 0.5) / 1_000_003
-    weight = lambda x: F.when(x < 0.3679, 0).when(x < 0.7358, 1).when(x < 0.9197, 2).when(x < 0.9810, 3).otherwise(4)
-    rows = df.select(*by, value.cast("double").alias("v"), "question_id", F.explode(F.sequence(F.lit(1), F.lit(b))).alias("i"))
-    means = rows.groupBy(*by, "i").agg((F.sum(F.col("v") * weight(u(F.col("i")))) / F.sum(weight(u(F.col("i"))))).alias("m"))
+    """95 % interval of a mean by Poisson bootstrap: a question draws a weight from 0 to 4 for each of ``b`` replicates from
+    a hash of its id and ``seed``. Rows are summed by question first; then all replicates' sums come from one aggregation."""
+    per = df.groupBy(*by, "question_id").agg(F.sum(value.cast("double")).alias("v"), F.count(value).alias("n"))
+    per = per.withColumn("h", F.transform(F.sequence(F.lit(0), F.lit(-(-b // DRAWS) - 1)), lambda k: F.md5(F.concat_ws(":", F.lit(str(seed)), F.col("question_id").cast("string"), k.cast("string")).cast("binary"))))
+    draws = []
+    for i in range(b):
+        x = F.conv(F.substring(F.get("h", F.lit(i // DRAWS)), 4 * (i % DRAWS) + 1, 4), 16, 10).cast("int")
+        draws.append(sum((F.when(x >= edge, 1).otherwise(0) for edge in POISSON), F.lit(0)))
+    sums = per.groupBy(*by).agg(*[F.sum(F.col("v") * w).alias(f"v{i}") for i, w in enumerate(draws)], *[F.sum(F.col("n") * w).alias(f"n{i}") for i, w in enumerate(draws)])
+    means = sums.select(*by, F.explode(F.array(*[F.try_divide(F.col(f"v{i}"), F.col(f"n{i}")) for i in range(b)])).alias("m"))
     return means.groupBy(*by).agg(F.percentile("m", F.lit(0.025)).alias("low"), F.percentile("m", F.lit(0.975)).alias("high"))
 
 

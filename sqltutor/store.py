@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import atexit
+import shutil
 import tempfile
 import uuid
 
@@ -19,6 +21,7 @@ def shared_dir(spark: SparkSession) -> str:
         raise ValueError("set spark.checkpoint.dir to a folder that driver and executors share")
     if not _OWN:
         _OWN.append(tempfile.mkdtemp(prefix="sqltutor-"))
+        atexit.register(shutil.rmtree, _OWN[0], ignore_errors=True)
     return f"file://{_OWN[0]}"
 
 
@@ -28,10 +31,13 @@ def removed(spark: SparkSession, path: str) -> None:
 
 
 class Shelf:
-    """A folder of written tables that belong together."""
+    """A folder of written tables that belong together. ``made`` lists the folders of this process, for ``swept``."""
+
+    made: list[str] = []
 
     def __init__(self, spark: SparkSession, tag: str):
         self.spark, self.root = spark, f"{shared_dir(spark)}/{tag}-{uuid.uuid4().hex}"
+        Shelf.made.append(self.root)
 
     def path(self, name: str) -> str:
         return f"{self.root}/{name}"
@@ -44,5 +50,12 @@ class Shelf:
         removed(self.spark, self.path(name) if name else self.root)
 
 
+def swept(spark: SparkSession, since: int) -> None:
+    """Deletes the folders that were made after the first ``since``, once what was made from them is written elsewhere."""
+    for root in Shelf.made[since:]:
+        removed(spark, root)
+    del Shelf.made[since:]
+
+
 def written(spark: SparkSession, df: DataFrame, name: str) -> DataFrame:
     return Shelf(spark, name).put(df, "table")
