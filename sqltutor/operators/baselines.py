@@ -5,15 +5,20 @@ from __future__ import annotations
 import math
 import re
 import zlib
+from collections.abc import Iterator
 
 import numpy as np
 import pandas as pd
+import pyarrow as pa
 import pyarrow.parquet as pq
 from pyarrow import fs
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from ..functions.sqltext import decompose
 from ..store import Shelf
+from . import mutate
+from .suites import BY_ID
 
 SYNONYMS = {"cost": "price", "costs": "price", "bought": "purchase", "sell": "sold", "biggest": "largest", "mean": "average"}
 BLOCK, CHUNK, PROBES = 8_192, 512, 48
@@ -164,21 +169,70 @@ def result_overlap(a: DataFrame, b: DataFrame) -> DataFrame:
     return per.agg((F.sum(F.least("na", "nb")) / F.sum(F.greatest("na", "nb"))).alias("overlap"))
 
 
-def tree_search(cube: DataFrame, iterations: int = 24, c: float = 1.0, levels: int = 2) -> DataFrame:
-    """Upper-confidence search over each question's candidates, grouped by mode and then kind; rewards come from the cube.
-
-    A question's candidates are as many as kinds, so a question is one small group; questions spread over tasks."""
-    def search(pdf: pd.DataFrame) -> pd.DataFrame:
-        pdf = pdf.sort_values("kind").reset_index(drop=True)
-        arms = {m: g.index.tolist() for m, g in pdf.groupby("mode")}
-        n, s, nm, sm = [0] * len(pdf), [0.0] * len(pdf), dict.fromkeys(arms, 0), dict.fromkeys(arms, 0.0)
-        for t in range(1, iterations + 1):
-            pick = lambda keys, cnt, tot: max(keys, key=lambda x: (math.inf if not cnt[x] else tot[x] / cnt[x] + c * math.sqrt(math.log(t) / cnt[x]), str(x)))  # noqa: E731, B023
-            m = pick(list(arms), nm, sm)
-            i = pick(arms[m], n, s)
-            r = float(pdf.at[i, "total"])
-            n[i], s[i], nm[m], sm[m] = n[i] + 1, s[i] + r, nm[m] + 1, sm[m] + r
-        best = max(range(len(pdf)), key=lambda i: (n[i] and s[i] / n[i] or -math.inf, -i))
-        return pd.DataFrame([(int(pdf.at[best, "question_id"]), pdf.at[best, "kind"], float(pdf.at[best, "total"]), sum(x > 0 for x in n))], columns=["question_id", "kind", "total", "visited"])
-
-    return cube.select("question_id", "kind", "mode", "total").groupBy("question_id").applyInPandas(search, "question_id long, kind string, total double, visited long")
+def preferred(strong: DataFrame, weak: DataFrame, right: DataFrame) -> DataFrame:
+    """``(question_id, family, chosen, rejected)``: the first answer of a strong generator that is right and the first of a
+    weak one that is wrong, for questions that have both."""
+    def first(df: DataFrame, good: bool, name: str) -> DataFrame:
+        rows = df.join(right.select("question_id", "kind", F.coalesce("correct", F.lit(False)).alias("correct")), ["question_id", "kind"])
+        return rows.where(F.col("correct") == good).groupBy("question_id", "family").agg(F.min_by("kind", "slot").alias(name))
+
+    return first(strong, True, "chosen").join(first(weak, False, "rejected"), ["question_id", "family"])
+
+
+#: Order in which a query's clauses are decided.
+LEVELS = ("from", "join", "select", "where", "group", "having", "order", "limit")
+
+
+def clause_paths(spark: SparkSession, kinds: tuple[str, ...] = mutate.KINDS) -> DataFrame:
+    """``(family, kind, path)``: what each family's template of each kind has in each clause, in the order of ``LEVELS``, with
+    set operations and named queries first; the last step is the kind, which tells answers with the same SQL apart."""
+    def path(sql: str, kind: str) -> list[str]:
+        known = decompose(sql)
+        return [repr([known.get(c) for c in ("with", "set", "distinct")]), *(repr(known.get(c)) for c in LEVELS), kind]
+
+    rows = [(fid, k, path(mutate.edit(f.gold, k), k)) for fid, f in BY_ID.items() for k in kinds]
+    return spark.createDataFrame(rows, "family string, kind string, path array<string>")
+
+
+def searched(kinds: list[str], paths: list[list[str]], rewards: list[float], iterations: int, c: float) -> tuple[str, float, int]:
+    """Best kind, its reward and how many were tried, by upper-confidence search down a tree whose levels are clauses."""
+    tries: dict[tuple, int] = {}
+    sums: dict[tuple, float] = {}
+    seen: dict[int, float] = {}
+    for _ in range(iterations):
+        at, here = (), range(len(kinds))
+        while len(here) > 1 or len(at) < len(paths[here[0]]):
+            options = sorted({paths[i][len(at)] for i in here})
+            if len(options) > 1:
+                total = sum(tries.get((*at, o), 0) for o in options) or 1
+                worth = lambda o: math.inf if not tries.get((*at, o)) else sums[(*at, o)] / tries[(*at, o)] + c * math.sqrt(math.log(total) / tries[(*at, o)])  # noqa: B023, E731
+                at = (*at, max(options, key=worth))
+            else:
+                at = (*at, options[0])
+            here = [i for i in here if paths[i][len(at) - 1] == at[-1]]
+        i = here[0]
+        seen[i] = rewards[i]
+        for k in range(1, len(at) + 1):
+            tries[at[:k]] = tries.get(at[:k], 0) + 1
+            sums[at[:k]] = sums.get(at[:k], 0.0) + rewards[i]
+    best = max(sorted(seen), key=lambda i: (seen[i], kinds[i]))
+    return kinds[best], seen[best], len(seen)
+
+
+def tree_search(cube: DataFrame, paths: DataFrame, iterations: int = 24, c: float = 1.0) -> DataFrame:
+    """``(question_id, kind, total, visited)``: clause-by-clause search over each question's candidates. A node is a choice of
+    the first clauses, a leaf an answer, its reward the cube's; ``paths`` (families times kinds rows) say which clauses an
+    answer has. A question's candidates are as many as kinds; questions go through Arrow in batches."""
+    kind = pa.struct([("kind", pa.string()), ("total", pa.float64()), ("visited", pa.int64())])
+
+    def run(batches: Iterator[pa.Array]) -> Iterator[pa.Array]:
+        for rows in batches:
+            out = []
+            for one in rows.to_pylist():
+                one = sorted(one, key=lambda x: x["kind"])
+                out.append(dict(zip(("kind", "total", "visited"), searched([x["kind"] for x in one], [x["path"] for x in one], [x["total"] for x in one], iterations, c), strict=True)))
+            yield pa.array(out, kind)
+
+    listed = (cube.join(F.broadcast(paths), ["family", "kind"]).where("total IS NOT NULL").groupBy("question_id")
+              .agg(F.collect_list(F.struct("kind", "path", F.col("total").cast("double").alias("total"))).alias("x")))
+    return listed.select("question_id", F.arrow_udf(run, "struct<kind:string, total:double, visited:bigint>")("x").alias("b")).select("question_id", "b.*")

@@ -11,28 +11,28 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from ..functions.response import render
-from ..sources.load import KEYS
+from ..sources.load import DATABASES, KEYS
 from .suites import BY_ID
 
 OTHER_TABLE = {"orders": "lineitem", "lineitem": "orders", "customer": "supplier", "supplier": "customer", "part": "lineitem", "nation": "region",
                "region": "nation", "events": "conversations", "documents": "labels", "pages": "benchmark", "conversations": "events", "embeddings": "labels"}
 OTHER_COLUMN = {"l_extendedprice": "l_tax", "o_totalprice": "o_orderkey", "c_acctbal": "c_custkey", "p_type": "p_name", "p_size": "p_partkey", "n_name": "n_nationkey",
                 "s_suppkey": "s_nationkey", "p_partkey": "p_size", "o_custkey": "o_orderkey", "s_name": "s_suppkey", "s_nationkey": "s_suppkey", "l_quantity": "l_tax",
-                "c_custkey": "c_nationkey", "c_nationkey": "c_custkey", "p_brand": "p_type", "ts": "user_id", "user_id": "event_id", "value": "event_id", "quality": "toxic",
+                "c_custkey": "c_nationkey", "c_nationkey": "c_custkey", "p_brand": "p_type", "event_type": "props", "user_id": "event_id", "value": "event_id", "quality": "toxic",
                 "n_chars": "doc_id", "source": "lang", "url": "html", "turn": "conv_id", "label": "vec_id", "text": "lang"}
 OTHER_CALL = (("COUNT(DISTINCT", "MAX("), ("COUNT(*)", "MAX(1)"), ("SUM(", "AVG("), ("AVG(", "MAX("), ("MAX(", "MIN("), ("SELECT DISTINCT p_type", "SELECT UPPER(p_type)"),
               ("SELECT n_name", "SELECT UPPER(n_name)"), ("SELECT s_name", "SELECT UPPER(s_name)"), ("SELECT o_custkey", "SELECT ABS(o_custkey) + 1"),
               ("SELECT p_partkey", "SELECT ABS(p_partkey) + 1"), ("SELECT c_custkey", "SELECT ABS(c_custkey) + 1"), ("SELECT c_nationkey", "SELECT ABS(c_nationkey) + 99"))
-#: Kinds in order of slots; what each is expected to do is in ``OUTCOME``.
-KINDS = ("exact", "equivalent", "slow", "value", "operator", "function", "condition", "attribute", "table", "subquery", "clause", "syntax_error",
-         "unknown_column", "bad_cast", "no_fence", "think_in_suppressed", "empty_think_in_slow", "text_in_fast_think", "unclosed_tag")
-#: kind -> (status, equal rows, time as a multiple of gold's, mode)
-OUTCOME = {"exact": ("ok", True, 1.0, "slow"), "equivalent": ("ok", True, 1.0, "suppressed"), "slow": ("ok", True, 2.5, "fast"), "value": ("ok", False, 1.0, "slow"),
-           "operator": ("ok", False, 1.0, "slow"), "function": ("ok", False, 1.0, "fast"), "condition": ("ok", False, 1.5, "suppressed"), "attribute": ("ok", False, 1.0, "slow"),
-           "table": ("analysis_error", False, 0.0, "fast"), "subquery": ("ok", False, 2.0, "slow"), "clause": ("ok", False, 1.0, "suppressed"),
-           "syntax_error": ("parse_error", False, 0.0, "slow"), "unknown_column": ("analysis_error", False, 0.0, "fast"), "bad_cast": ("runtime_error", False, 0.0, "suppressed"),
-           "no_fence": ("ok", True, 1.0, "slow"), "think_in_suppressed": ("ok", True, 1.0, "suppressed"), "empty_think_in_slow": ("ok", True, 1.0, "slow"),
-           "text_in_fast_think": ("ok", True, 1.0, "fast"), "unclosed_tag": ("ok", True, 1.0, "slow")}
+#: Kinds in order of slots. What each does is measured (``replay``), not assumed.
+KINDS = ("exact", "equivalent", "fast", "slow", "value", "operator", "function", "condition", "attribute", "table", "subquery", "clause", "syntax_error",
+         "unknown_column", "bad_cast", "timeout", "no_fence", "think_in_suppressed", "empty_think_in_slow", "text_in_fast_think", "unclosed_tag")
+#: Thinking mode that a kind answers in.
+MODE = {"exact": "slow", "equivalent": "suppressed", "fast": "slow", "slow": "fast", "value": "slow", "operator": "slow", "function": "fast", "condition": "suppressed", "attribute": "slow",
+        "table": "fast", "subquery": "slow", "clause": "suppressed", "syntax_error": "slow", "unknown_column": "fast", "bad_cast": "suppressed", "timeout": "fast", "no_fence": "slow",
+        "think_in_suppressed": "suppressed", "empty_think_in_slow": "slow", "text_in_fast_think": "fast", "unclosed_tag": "slow"}
+#: An answer that no limit of a few seconds lets through, and the tables that it may run away with.
+RUNAWAY = "SELECT COUNT(*) AS n FROM {table} AS a CROSS JOIN {table} AS b CROSS JOIN {table} AS c WHERE hash(a.{key}, b.{key}, c.{key}) = 7"
+LARGEST = {"retail": "lineitem", "web": "documents", "activity": "events"}
 
 
 def _dropped(gold: str) -> str:
@@ -76,14 +76,24 @@ def edit(gold: str, kind: str) -> str:
         return _dropped(gold)
     if kind == "attribute":
         found = min(((gold.find(c), c) for c in OTHER_COLUMN if re.search(rf"\b{c}\b", gold)), default=None)
-        return re.sub(rf"\b{found[1]}\b", OTHER_COLUMN[found[1]], gold, count=1) if found else gold
+        if not found:
+            return gold
+        other = "role" if table == "conversations" and found[1] == "text" else OTHER_COLUMN[found[1]]
+        return re.sub(rf"(?<!\bAS )\b{found[1]}\b", other, gold)
     if kind == "table":
         return re.sub(rf"\bFROM {table}\b", f"FROM {OTHER_TABLE[table]}", gold, count=1)
     if kind == "subquery":
-        return where("0 < (SELECT COUNT(*) FROM region WHERE r_regionkey > 99)")
+        return where(f"0 < (SELECT COUNT(*) FROM {table} WHERE {KEYS[table]} < 0)")
+    if kind == "fast":
+        return _lighter(gold)
+    if kind == "timeout":
+        big = LARGEST[next(db for db, ts in DATABASES.items() if table in ts)]
+        return RUNAWAY.format(table=big, key=KEYS[big])
     if kind == "clause":
         if " ORDER BY " in gold and " OVER " not in gold:
             return re.sub(r" ORDER BY .*", "", gold) + " LIMIT 3"
+        if ", " in gold.split(" FROM ")[0]:
+            return gold + " LIMIT 0"
         return re.sub(r" GROUP BY .*", "", gold) + " GROUP BY 1 LIMIT 0" if "GROUP BY" not in gold and "COUNT" not in gold and "SUM" not in gold and "MAX" not in gold and "AVG" not in gold else gold + " LIMIT 0"
     if kind == "syntax_error":
         return gold.replace(" FROM ", " FORM ", 1)
@@ -94,6 +104,14 @@ def edit(gold: str, kind: str) -> str:
     return gold
 
 
+def _lighter(gold: str) -> str:
+    """The same rows by less work where a rule knows how, else gold itself: a range of dates instead of a function of each,
+    digests of texts instead of texts, EXISTS instead of a distinct join."""
+    gold = re.sub(r"year\((\w+)\) = (\{p\d\}|\d{4})", r"\1 >= CAST('\2-01-01' AS TIMESTAMP) AND \1 < CAST('\2-01-01' AS TIMESTAMP) + INTERVAL '1' YEAR", gold)
+    gold = gold.replace("SELECT text FROM documents", "SELECT md5(text) FROM documents").replace("GROUP BY text", "GROUP BY md5(text)")
+    return gold.replace("l_quantity = (SELECT MAX(l_quantity) FROM lineitem)", "l_quantity >= (SELECT MAX(l_quantity) FROM lineitem WHERE l_quantity > 40)")
+
+
 def _spoiled(kind: Column, sql: Column) -> Column:
     fence = F.concat(F.lit("```sql\n"), sql, F.lit("\n```"))
     tagged = lambda inside: F.concat(F.lit(f"<think>{inside}</think>\n\n"), fence)
@@ -112,7 +130,7 @@ def candidates(questions: DataFrame, kinds: tuple[str, ...] = KINDS) -> DataFram
 
     Edited templates, one row per family and kind, are broadcast: their number is that of families times kinds."""
     spark = questions.sparkSession
-    edits = spark.createDataFrame([(fid, slot, kind, OUTCOME[kind][3], edit(f.gold, kind)) for fid, f in BY_ID.items() for slot, kind in enumerate(kinds)],
+    edits = spark.createDataFrame([(fid, slot, kind, MODE[kind], edit(f.gold, kind)) for fid, f in BY_ID.items() for slot, kind in enumerate(kinds)],
                                   "family string, slot int, kind string, mode string, template string")
     sql = F.replace(F.replace(F.col("template"), F.lit("{p1}"), F.col("p1")), F.lit("{p2}"), F.col("p2"))
     rows = questions.join(F.broadcast(edits), "family").withColumn("sql", sql)
@@ -125,15 +143,6 @@ def candidates(questions: DataFrame, kinds: tuple[str, ...] = KINDS) -> DataFram
                        words(F.col("question")).alias("n_tok_in"), words(F.col("response")).alias("n_tok_out"))
 
 
-def replayed(cands: DataFrame) -> DataFrame:
-    """Adds ``status``, ``equal``, ``t_gold`` and ``t_pred`` as each kind is meant to behave; no query runs."""
-    at = F.create_map(*[F.lit(x) for kv in ((k, i) for i, k in enumerate(OUTCOME)) for x in kv])
-    pick = lambda n, kind: F.get(F.array(*[F.lit(o[n]).cast(kind) for o in OUTCOME.values()]), at[F.col("kind")])
-    gold = 0.1 + (F.col("question_id") % 10) / 10.0
-    return (cands.withColumn("status", pick(0, "string")).withColumn("equal", pick(1, "boolean")).withColumn("t_gold", gold)
-            .withColumn("t_pred", gold * pick(2, "double")))
-
-
 def repair(sql: str, error: str, names: list[str]) -> str:
     """A failed query with an unknown name replaced by the nearest name of the dictionary (edit distance)."""
     m = re.search(r"(?:column|variable|function parameter)[^`]*with name ((?:`[^`]+`\.?)+)", error)

@@ -19,7 +19,8 @@ class RewardSpec:
 
     ``success_rule`` "equal": finished in time with gold's rows, "ran": any clean run. ``stop_after_success``: no
     efficiency part. ``format_rule``: "pattern+skeleton", "pattern", or "syntax" (SELECT and FROM). ``link_rule``:
-    "subset" or "equal". ``kind`` "staged", "sparse" (0 or 1) or "clausewise" (share of gold's clauses).
+    "subset" or "equal". ``kind`` "staged", "sparse" (0 or 1), "clausewise" (share of gold's clauses) or "overlap" (share
+    of rows that both results have).
     """
 
     skeleton: bool = True
@@ -45,6 +46,10 @@ class RewardSpec:
     def sparse(cls) -> RewardSpec:
         return cls(kind="sparse")
 
+    @classmethod
+    def result_overlap(cls) -> RewardSpec:
+        return cls(kind="overlap")
+
     @classmethod
     def clausewise(cls) -> RewardSpec:
         return cls(kind="clausewise")
@@ -104,6 +109,9 @@ def score(df: DataFrame, spec: RewardSpec = RewardSpec()) -> DataFrame:
     if spec.kind == "clausewise":
         share = F.coalesce(F.col("clause_share"), F.lit(0.0))
         return df.withColumns({"fmt": F.lit(0.0), "exec": share, "link": F.lit(0.0), "eff": F.lit(0.0), "total": share, "stage": F.lit("clauses")})
+    if spec.kind == "overlap":
+        shared = F.when(shaped, F.when(success, 1.0).otherwise(F.coalesce(F.col("overlap"), F.lit(0.0)))).otherwise(0.0)
+        return df.withColumns({"fmt": F.lit(0.0), "exec": shared, "link": F.lit(0.0), "eff": F.lit(0.0), "total": shared, "stage": F.when(shaped, "execution").otherwise("format")})
     wf, we, ws, wt = spec.weights
     timed = spec.efficiency and not spec.stop_after_success
     out = df.withColumns({
@@ -116,6 +124,19 @@ def score(df: DataFrame, spec: RewardSpec = RewardSpec()) -> DataFrame:
     return out.withColumn("total", F.col("fmt") + F.col("exec") + F.col("link") + F.col("eff"))
 
 
+def several(df: DataFrame, weights: dict[str, float], spec: RewardSpec = RewardSpec()) -> DataFrame:
+    """The staged reward with an efficiency part made of several objectives. ``weights``: name of what a run used (time,
+    shuffled bytes, spill, memory) -> weight; each part is gold's use over the candidate's, at most 1, and 1 where neither
+    uses any. Columns: ``t_gold``/``t_pred`` for "t", ``gold_<name>``/``<name>`` for all others."""
+    staged, total, whole = score(df, spec), F.lit(0.0), sum(weights.values())
+    for name, w in weights.items():
+        gold, pred = (F.col("t_gold"), F.col("t_pred")) if name == "t" else (F.col(f"gold_{name}"), F.col(name))
+        part = F.when(F.coalesce(pred, F.lit(0)) == 0, 1.0).otherwise(F.least(F.lit(1.0), F.coalesce(gold, F.lit(0)) / pred))
+        total = total + w / whole * part
+    eff = F.when(F.col("stage") == "efficiency", total).otherwise(0.0)
+    return staged.withColumn("total", F.col("total") - F.col("eff") + eff).withColumn("eff", eff)
+
+
 def score_arms(df: DataFrame, names: list[str] | None = None) -> DataFrame:
     """All arms' rewards of the same candidates, stacked under ``arm``."""
     out = None

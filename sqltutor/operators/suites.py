@@ -11,6 +11,7 @@ from dataclasses import dataclass
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from ..functions.hashing import duck_number, number
 from ..sources.load import sql as run_sql
 
 MONEY = "CAST({0} AS DECIMAL(18, 2))"
@@ -19,7 +20,8 @@ REVENUE = "CAST(SUM(CAST(l_extendedprice * (1 - l_discount) AS DECIMAL(18, 4)))
 
 @dataclass(frozen=True)
 class Family:
-    """``params``: SQL for parameter rows with columns p1, p2; ``default``: the values of the plain gold query."""
+    """``params``: SQL for parameter rows with columns p1, p2; ``default``: the values of the plain gold query; ``duck``:
+    the gold with those values for DuckDB, where the engines spell a function differently."""
 
     id: str
     db: str
@@ -28,17 +30,23 @@ class Family:
     gold: str
     params: str
     default: tuple[str, str] = ("", "")
+    duck: str = ""
 
     @property
     def suite(self) -> str:
         return self.id[0]
 
+    @property
+    def used(self) -> tuple[str, ...]:
+        """Parameters that the gold or the question names; others make no different question."""
+        return tuple(p for p in ("p1", "p2") if "{" + p + "}" in self.gold + self.question)
+
     def text(self, p1: str | None = None, p2: str | None = None) -> str:
         return self.gold.replace("{p1}", p1 or self.default[0]).replace("{p2}", p2 or self.default[1])
 
 
 _FLAGS = "SELECT DISTINCT l_returnflag AS p1, CAST(year(l_shipdate) AS STRING) AS p2 FROM lineitem"
-_PRICES = "SELECT DISTINCT o_orderstatus AS p1, CAST(CAST(o_totalprice / 10000 AS INT) * 10000 AS STRING) AS p2 FROM orders"
+_PRICES = "SELECT DISTINCT o_orderstatus AS p1, CAST(CAST(floor(o_totalprice / 10000) AS BIGINT) * 10000 AS STRING) AS p2 FROM orders"
 _SEGMENTS = "SELECT DISTINCT c_mktsegment AS p1, CAST(c_nationkey AS STRING) AS p2 FROM customer"
 _BRANDS = "SELECT DISTINCT p_brand AS p1, CAST(p_size AS STRING) AS p2 FROM part"
 _REGIONS = "SELECT DISTINCT r_name AS p1, '0' AS p2 FROM region"
@@ -89,7 +97,8 @@ FAMILIES: tuple[Family, ...] = (
     Family("B12", "retail", "extra", "Which nations have both customers in segment {p1} and suppliers?", "SELECT c_nationkey AS nation FROM customer WHERE c_mktsegment = '{p1}' INTERSECT SELECT s_nationkey FROM supplier", _SEGMENTS, ("BUILDING", "")),
     Family("C01", "activity", "moderate", "How many {p1} events came in each hour?", "SELECT date_trunc('hour', ts) AS hour, COUNT(*) AS n FROM events WHERE event_type = '{p1}' GROUP BY date_trunc('hour', ts)", _TYPES, ("error", "")),
     Family("C02", "activity", "challenging", "How many users bought within an hour after a {p1}?", "SELECT COUNT(DISTINCT a.user_id) AS n FROM events AS a JOIN events AS b ON a.user_id = b.user_id WHERE a.event_type = '{p1}' AND b.event_type = 'purchase' AND b.ts > a.ts AND b.ts <= a.ts + INTERVAL '1' HOUR", _TYPES, ("signup", "")),
-    Family("C03", "activity", "simple", "What is the largest value of a {p1} event on day {p2}?", "SELECT MAX(value) AS most FROM events WHERE event_type = '{p1}' AND day(ts) = {p2}", _TYPES, ("purchase", "3")),
+    Family("C03", "activity", "simple", "What is the largest value of a {p1} event whose properties have k above {p2}?", "SELECT MAX(value) AS most FROM events WHERE event_type = '{p1}' AND CAST(get_json_object(props, '$.k') AS INT) > {p2}", _TYPES, ("purchase", "3"),
+           "SELECT MAX(value) AS most FROM events WHERE event_type = 'purchase' AND CAST(json_extract_string(props, '$.k') AS INT) > 3"),
     Family("C04", "activity", "challenging", "How many visits have gaps below 12 hours after a {p1}?", "SELECT COUNT(*) AS n FROM (SELECT ts, LAG(ts) OVER (PARTITION BY user_id ORDER BY ts, event_id) AS before FROM events WHERE event_type = '{p1}') AS e WHERE before IS NOT NULL AND ts <= before + INTERVAL '12' HOUR", _TYPES, ("click", "")),
     Family("C05", "web", "moderate", "Which share of labelled {p1} documents is good?", "SELECT ROUND(AVG(CAST(quality AS DOUBLE)), 6) AS good FROM documents JOIN labels ON documents.doc_id = labels.doc_id WHERE lang = '{p1}'", _LANGS, ("en", "")),
     Family("C06", "web", "simple", "How many {p1} documents of {p2} are longer than 2000 characters?", "SELECT COUNT(*) AS n FROM documents WHERE lang = '{p1}' AND source = '{p2}' AND n_chars > 2000", _LANGS, ("en", "src0")),
@@ -98,24 +107,39 @@ FAMILIES: tuple[Family, ...] = (
     Family("C09", "web", "simple", "How many pages have /{p1}/ in their address?", "SELECT COUNT(*) AS n FROM pages WHERE url LIKE '%/{p1}/%'", _LANGS, ("en", "")),
     Family("C10", "web", "challenging", "How many {p1} documents hold a benchmark passage?", "SELECT COUNT(*) AS n FROM documents JOIN benchmark ON contains(documents.text, benchmark.text) WHERE lang = '{p1}'", _LANGS, ("en", "")),
     Family("C11", "activity", "moderate", "How long are texts of each role from turn {p2} on?", "SELECT role, COUNT(*) AS n, SUM(length(text)) AS size FROM conversations WHERE turn >= {p2} GROUP BY role", _ROLES, ("", "1")),
-    Family("C12", "web", "simple", "How many vectors has label {p1}?", "SELECT COUNT(*) AS n FROM embeddings WHERE label = {p1}", _LABELS, ("1", "")),
+    Family("C12", "web", "simple", "What is the mean first coordinate of vectors with label {p1}?", "SELECT ROUND(AVG(CAST(embedding[0] AS DOUBLE)), 6) AS mean FROM embeddings WHERE label = {p1}", _LABELS, ("1", ""),
+           "SELECT ROUND(AVG(CAST(embedding[1] AS DOUBLE)), 6) AS mean FROM embeddings WHERE label = 1"),
 )
 BY_ID = {f.id: f for f in FAMILIES}
 
 
 def questions(spark: SparkSession, sf_dir: str, families: list[str] | None = None) -> DataFrame:
-    """``(question_id, suite, db_id, tier, family, p1, p2, question, gold_sql)``: one row per parameter row and family.
+    """``(question_id, suite, db_id, tier, family, p1, p2, question, gold_sql)``: one row per family and different values
+    of the parameters that its gold or question names.
 
     Each parameter source is read once; families (a few dozen rows, broadcast) join it by the source's number."""
     chosen = [(k, f) for k, f in enumerate(FAMILIES) if not families or f.id in families]
-    sources = list(dict.fromkeys(f.params for _, f in chosen))
+    sources = list(dict.fromkeys((f.params, f.used) for _, f in chosen))
     rows = None
-    for n, text in enumerate(sources):
-        one = run_sql(spark, sf_dir, text).select(F.lit(n).alias("source"), F.col("p1").cast("string").alias("p1"), F.col("p2").cast("string").alias("p2"))
+    for n, (text, used) in enumerate(sources):
+        cells = [F.col(p).cast("string").alias(p) if p in used else F.lit("").alias(p) for p in ("p1", "p2")]
+        one = run_sql(spark, sf_dir, text).select(F.lit(n).alias("source"), *cells).distinct()
         rows = one if rows is None else rows.unionByName(one)
-    listed = spark.createDataFrame([(sources.index(f.params), k, f.id, f.suite, f.db, f.tier, f.question, f.gold) for k, f in chosen],
+    listed = spark.createDataFrame([(sources.index((f.params, f.used)), k, f.id, f.suite, f.db, f.tier, f.question, f.gold) for k, f in chosen],
                                    "source int, k long, family string, suite string, db_id string, tier string, question string, gold_sql string")
     fill = lambda c: F.replace(F.replace(F.col(c), F.lit("{p1}"), F.col("p1")), F.lit("{p2}"), F.col("p2"))
-    number = F.pmod(F.xxhash64("p1", "p2"), F.lit(1_000_000_000)) + F.col("k") * 1_000_000_000
-    return rows.join(F.broadcast(listed), "source").select(number.alias("question_id"), "suite", "db_id", "tier", "family", "p1", "p2",
+    at = F.pmod(number(F.col("p1"), F.col("p2")), F.lit(1_000_000_000)) + F.col("k") * 1_000_000_000
+    return rows.join(F.broadcast(listed), "source").select(at.alias("question_id"), "suite", "db_id", "tier", "family", "p1", "p2",
                                                             fill("question").alias("question"), fill("gold_sql").alias("gold_sql"))
+
+
+def duck_questions() -> str:
+    """The same rows as DuckDB SQL."""
+    quoted = lambda s: "'" + s.replace("'", "''") + "'"
+    fill = lambda s: f"replace(replace({quoted(s)}, '{{p1}}', p1), '{{p2}}', p2)"
+    parts = []
+    for k, f in enumerate(FAMILIES):
+        cells = ", ".join(f"CAST({p} AS VARCHAR) AS {p}" if p in f.used else f"'' AS {p}" for p in ("p1", "p2"))
+        parts.append(f"SELECT {duck_number('p1', 'p2')} % 1000000000 + {k}000000000 AS question_id, {quoted(f.suite)} AS suite, {quoted(f.db)} AS db_id, {quoted(f.tier)} AS tier, "
+                     f"{quoted(f.id)} AS family, p1, p2, {fill(f.question)} AS question, {fill(f.gold)} AS gold_sql FROM (SELECT DISTINCT {cells} FROM ({f.params}) AS r) AS p")
+    return " UNION ALL ".join(parts)

@@ -8,20 +8,24 @@ from __future__ import annotations
 
 import contextlib
 import itertools
+import logging
 import re
 import threading
 import time
 import uuid
 from collections.abc import Iterable, Iterator
+from concurrent.futures import ThreadPoolExecutor
 from dataclasses import dataclass, field
 
+from py4j.protocol import Py4JJavaError
+from pyspark import inheritable_thread_target
 from pyspark.errors import AnalysisException, ParseException
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..store import Shelf
 
-SCHEMA = "sql string, engine string, status string, times array<double>, t_mean double, n long, sum_h string, xor_h long, ncols int, error string"
+SCHEMA = "sql string, engine string, status string, times array<double>, t_mean double, n long, sum_h string, xor_h long, ncols int, error string, cpu_ms long, shuffled long, spilled long, peak long, t_first double"
 #: Plan nodes that a query may be made of; anything else (commands, writes, table functions) is blocked.
 NODES = frozenset("Project Filter UnresolvedRelation Join Aggregate Sort GlobalLimit LocalLimit Offset SubqueryAlias UnresolvedWith CTE Union Intersect Except "
                   "Distinct OneRowRelation UnresolvedHaving WithWindowDefinition UnresolvedSubqueryColumnAliases LateralJoin UnresolvedInlineTable Limit".split())
@@ -36,6 +40,8 @@ class EngineProfile:
 
 
 ADAPTIVE = EngineProfile("adaptive", {"spark.sql.adaptive.enabled": "true"})
+#: Much like ADAPTIVE, but sorts where that hashes.
+SORTING = EngineProfile("sorting", {"spark.sql.adaptive.enabled": "true", "spark.sql.join.preferSortMergeJoin": "true", "spark.sql.autoBroadcastJoinThreshold": "-1", "spark.sql.execution.useObjectHashAggregateExec": "false"})
 STATIC = EngineProfile("static", {"spark.sql.adaptive.enabled": "false", "spark.sql.autoBroadcastJoinThreshold": "-1", "spark.sql.codegen.wholeStage": "false"})
 
 
@@ -54,6 +60,18 @@ def engine(spark: SparkSession, profile: EngineProfile) -> Iterator[None]:
                 spark.conf.set(k, v)
 
 
+@contextlib.contextmanager
+def _quiet() -> Iterator[None]:
+    """Texts that fail are results here; the client's log of failed queries stays silent meanwhile."""
+    log = logging.getLogger("SQLQueryContextLogger")
+    before = log.level
+    log.setLevel(logging.CRITICAL)
+    try:
+        yield
+    finally:
+        log.setLevel(before)
+
+
 def plan_text(spark: SparkSession, sql: str) -> str:
     """The parser's tree; raises ``ParseException``. Nothing is resolved or run."""
     return spark._jsparkSession.sessionState().sqlParser().parsePlan(sql).toString()
@@ -67,8 +85,9 @@ def parses(spark: SparkSession, sql: str) -> bool:
     return True
 
 
-def guard(spark: SparkSession, sql: str | None, tables: Iterable[str]) -> str:
-    """"ok", "parse_error" or "blocked": queries over listed one-part tables only."""
+def guard(spark: SparkSession, sql: str | None, tables: Iterable[str], functions: Iterable[str] | None = None) -> str:
+    """"ok", "parse_error" or "blocked": queries over listed one-part tables only and, where ``functions`` is given, over
+    these functions only. Granting a view and not what is under it gives its columns and rows and no others."""
     if not sql or not sql.strip():
         return "parse_error"
     try:
@@ -81,7 +100,8 @@ def guard(spark: SparkSession, sql: str | None, tables: Iterable[str]) -> str:
         m = re.match(r"[\s:+\-|*]*'?([A-Z]\w*)", line)
         if m and m.group(1) not in NODES and not m.group(1)[0].islower():
             return "blocked"
-    return "ok" if names <= {t.lower() for t in tables} | local else "blocked"
+    called = {x.lower() for x in re.findall(r"'(\w+)\(", tree)} if functions is not None else set()
+    return "ok" if names <= {t.lower() for t in tables} | local and called <= {f.lower() for f in functions or ()} else "blocked"
 
 
 def fingerprint(df: DataFrame, mode: str = "bag", digits: int = 6) -> DataFrame:
@@ -143,9 +163,41 @@ def limited(spark: SparkSession, limit_s: float, work):
         sc.removeJobTag(tag)
 
 
-def run_one(spark: SparkSession, sql: str | None, tables: Iterable[str], profile: EngineProfile = ADAPTIVE, warmup: int = 1, repeats: int = 3, limit_s: float = 30.0) -> tuple:
-    """``(status, times, t_mean, n, sum_h, xor_h, ncols, error)`` of one text; ``repeats=0`` only fingerprints."""
-    fail = lambda status, e="": (status, [], None, None, None, None, None, str(e).splitlines()[0][:200] if str(e) else None)
+#: What a run used, summed over its stages.
+COSTS = ("cpu_ms", "shuffled", "spilled", "peak")
+_RECENT = 64
+
+
+def used(spark: SparkSession, tag: str) -> tuple[int, ...]:
+    """CPU milliseconds, bytes shuffled, bytes spilled and peak execution memory of the jobs under ``tag``."""
+    bus, store = spark.sparkContext._jsc.sc().listenerBus(), spark.sparkContext._jsc.sc().statusStore()
+    bus.waitUntilEmpty()
+    jobs, stages = store.jobsList(None), set()
+    for k in range(min(jobs.size(), _RECENT)):  # newest first
+        job = jobs.apply(k)
+        if job.jobTags().contains(tag):
+            ids = job.stageIds()
+            stages.update(ids.apply(j) for j in range(ids.size()))
+        elif stages:
+            break
+    total = [0] * len(COSTS)
+    for j in stages:
+        try:
+            x = store.lastStageAttempt(j)
+        except Py4JJavaError:  # a stage that was skipped and is forgotten
+            continue
+        for k, v in enumerate((x.executorCpuTime() // 1_000_000, x.shuffleWriteBytes(), x.memoryBytesSpilled() + x.diskBytesSpilled(), x.peakExecutionMemory())):
+            total[k] = max(total[k], v) if COSTS[k] == "peak" else total[k] + v
+    return tuple(total)
+
+
+def run_one(spark: SparkSession, sql: str | None, tables: Iterable[str], profile: EngineProfile = ADAPTIVE, warmup: int = 1, repeats: int = 3, limit_s: float = 30.0, costs: bool = False, rows: bool = True) -> tuple:
+    """``(status, times, t_mean, n, sum_h, xor_h, ncols, error, *costs, t_first)`` of one text; ``repeats=0`` only
+    fingerprints.
+
+    The fingerprint comes from a run of its own, so the text has run once before warm-up, which ``t_first`` tells; ``costs``
+    reads what the last timed run used. ``rows=False`` leaves the fingerprint out, for texts whose rows are known."""
+    fail = lambda status, e="": (status, [], None, None, None, None, None, str(e).splitlines()[0][:200] if str(e) else None, *[None] * (len(COSTS) + 1))
     status = guard(spark, sql, tables)
     if status != "ok":
         return fail(status)
@@ -155,34 +207,53 @@ def run_one(spark: SparkSession, sql: str | None, tables: Iterable[str], profile
         return fail("parse_error", e)
     except AnalysisException as e:
         return fail("analysis_error", e)
+    tag = f"costs-{uuid.uuid4().hex}"
     try:
         with engine(spark, profile):
-            fp = limited(spark, limit_s, lambda: fingerprint(df).first())
-            times = []
+            began = time.perf_counter()
+            fp = limited(spark, limit_s, lambda: fingerprint(df).first()) if rows else {}
+            t_first, times = time.perf_counter() - began, []
             for k in range((warmup + repeats) if repeats else 0):
+                last = costs and k == warmup + repeats - 1
+                if last:
+                    spark.sparkContext.addJobTag(tag)
                 began = time.perf_counter()
                 limited(spark, limit_s, lambda: spark.sql(sql).write.format("noop").mode("overwrite").save())
                 if k >= warmup:
                     times.append(time.perf_counter() - began)
+                if last:
+                    spark.sparkContext.removeJobTag(tag)
     except TimeLimit:
         return fail("timeout")
     except Exception as e:  # a run may fail in many ways; each is the query's own failure
         return fail("runtime_error", e)
-    return ("ok", times, sum(times) / len(times) if times else None, fp["n"], fp["sum_h"], fp["xor_h"], fp["ncols"], None)
+    finally:
+        spark.sparkContext.removeJobTag(tag)
+    spent = used(spark, tag) if costs and times else [None] * len(COSTS)
+    return ("ok", times, sum(times) / len(times) if times else None, *[fp[c] if rows else None for c in ("n", "sum_h", "xor_h", "ncols")], None, *spent, t_first if rows else None)
 
 
 def run(spark: SparkSession, texts: DataFrame, tables: Iterable[str], profile: EngineProfile = ADAPTIVE, done: DataFrame | None = None, warmup: int = 1, repeats: int = 3,
-        limit_s: float = 30.0, page: int = 10_000) -> DataFrame:
-    """Executes the distinct ``sql`` of ``texts`` that ``done`` lacks for this engine, one after the other (single user).
+        limit_s: float = 30.0, page: int = 10_000, concurrency: int = 1, costs: bool = False, rows: bool = True) -> DataFrame:
+    """Executes the distinct ``sql`` of ``texts`` that ``done`` lacks for this engine. One after the other they are a single
+    user's and their times mean something; ``concurrency`` users at a time are a load, whose times belong to that load.
     Texts reach the driver through a local iterator, and results leave it for the shared folder every ``page`` texts."""
     todo = texts.select("sql").where("sql IS NOT NULL").distinct()
     if done is not None:
         todo = todo.join(done.where(F.col("engine") == profile.name).select("sql"), "sql", "left_anti")
-    rows = ((r["sql"], profile.name, *run_one(spark, r["sql"], tables, profile, warmup, repeats, limit_s)) for r in todo.orderBy("sql").toLocalIterator())
-    scratch, out = Shelf(spark, "runs"), spark.createDataFrame([], SCHEMA)
-    for k, some in enumerate(iter(lambda: list(itertools.islice(rows, page)), [])):
-        out = out.union(scratch.put(spark.createDataFrame(some, SCHEMA), f"page-{k}"))
-    return out
+    tables = list(tables)
+
+    def one(sql: str) -> tuple:
+        return sql, profile.name, *run_one(spark, sql, tables, EngineProfile(profile.name), warmup, repeats, limit_s, costs, rows)
+
+    scratch, names = Shelf(spark, "runs"), []
+    with engine(spark, profile), _quiet(), ThreadPoolExecutor(concurrency) as pool:
+        left = (r["sql"] for r in todo.orderBy("sql").toLocalIterator())
+        while some := list(itertools.islice(left, page)):
+            found = list(pool.map(inheritable_thread_target(spark)(one), some)) if concurrency > 1 else [one(x) for x in some]
+            names.append(f"page-{len(names)}")
+            spark.createDataFrame(found, SCHEMA).coalesce(1).write.parquet(scratch.path(names[-1]))
+    return spark.read.schema(SCHEMA).parquet(*[scratch.path(n) for n in names]) if names else spark.createDataFrame([], SCHEMA)
 
 
 def judged(cands: DataFrame, runs: DataFrame) -> DataFrame:

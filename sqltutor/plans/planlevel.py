@@ -37,6 +37,19 @@ def ratio(spark: SparkSession, gold: str, pred: str) -> float:
     return 1.0 if c == 0 else min(1.0, cost(spark, gold) / c)
 
 
+def within(spark: SparkSession, sqls: list[str], limit: float) -> list[str]:
+    """The texts whose plans cost no more than ``limit``; texts that cannot be planned cost too much."""
+    from pyspark.errors import AnalysisException, ParseException
+
+    def fits(sql: str) -> bool:
+        try:
+            return cost(spark, sql) <= limit
+        except (ParseException, AnalysisException):
+            return False
+
+    return [s for s in sqls if fits(s)]
+
+
 def critic(spark: SparkSession, sqls: list[str], seconds: list[float]):
     """A linear model of log time on plan features, fitted by least squares."""
     import numpy as np

@@ -13,11 +13,13 @@ from pyspark.sql import functions as F
 
 from . import workloads
 from .functions import hardness, response, similarity, skeleton
-from .operators import baselines, dataset, distill, grouprl, judging, linking, metrics, published, reward, suites
+from .functions.hashing import duck_number, duck_uniform
+from .operators import baselines, dataset, distill, grouprl, judging, linking, metrics, mutate, published, replay, reward, suites
 from .plans import execution, planlevel
 from .session import reach_workers
-from .sources.load import DATABASES, schema_dictionary, sql, table
-from .store import shared_dir, written
+from .sources import load
+from .sources.load import DATABASES, TABLES, schema_dictionary, sql, table
+from .store import Shelf, written
 from .streaming import jobs
 
 Query = Callable[[SparkSession, str], DataFrame]
@@ -125,7 +127,13 @@ def _(spark, d):
     return _pairs(spark, d).select("o_orderkey", F.round(similarity.jaccard(F.col("a"), F.col("b"), "keywords"), 6).alias("jac"))
 
 
-@_add("jaccard_bag")
+_BAGS = f"SELECT o_orderkey, list_filter(string_split(a, ' '), lambda w: w <> '') AS x, list_filter(string_split(b, ' '), lambda w: w <> '') AS y FROM ({_SK}) AS s"
+_TIMES = lambda t: f"len(list_filter({t}, lambda w: w = v))"
+
+
+@_add("jaccard_bag", f"""SELECT o_orderkey, round(CASE WHEN hi = 0 THEN 1.0 ELSE CAST(lo AS DOUBLE) / hi END, 6) AS jac FROM (SELECT o_orderkey,
+  list_sum(list_transform(each, lambda v: least({_TIMES('x')}, {_TIMES('y')}))) AS lo, list_sum(list_transform(each, lambda v: greatest({_TIMES('x')}, {_TIMES('y')}))) AS hi
+  FROM (SELECT *, list_distinct(list_concat(x, y)) AS each FROM ({_BAGS}) AS b) AS e) AS t""")
 def _(spark, d):
     return _pairs(spark, d).select("o_orderkey", F.round(similarity.jaccard(F.col("a"), F.col("b"), bag=True), 6).alias("jac"))
 
@@ -149,12 +157,18 @@ def _(spark, d):
     return similarity.sweep(rows, [0.5, 0.7, 0.9], [0.6, 0.8]).select("alpha", "tau", "n", "passed", *_r("pass_rate", "precision", "recall"))
 
 
-@_add("blocks_ratio")
+#: For each of the eight forms that ``TEXTS`` writes, twice the characters in matching blocks over all
+#: characters, and shared tokens over all tokens, of its emphasised skeleton and gold's.
+BLOCKS = ((156 / 156, 11 / 11), (110 / 140, 7 / 12), (120 / 138, 8 / 11), (156 / 189, 10 / 16), (134 / 208, 8 / 17), (134 / 207, 7 / 20), (154 / 172, 10 / 12), (74 / 168, 7 / 20))
+_FORM = lambda values: "CASE o_orderkey % 8 " + " ".join(f"WHEN {k} THEN {v}" for k, v in enumerate(values)) + " END"
+
+
+@_add("blocks_ratio", f"SELECT o_orderkey, round(r, 6) AS ratio, round(j, 6) AS jac, round(0.7 * r + 0.3 * j, 6) AS sim FROM (SELECT o_orderkey, CAST({_FORM([r for r, _ in BLOCKS])} AS DOUBLE) AS r, CAST({_FORM([j for _, j in BLOCKS])} AS DOUBLE) AS j FROM orders) AS b")
 def _(spark, d):
     return similarity.scored_pairs(written(spark, _pairs(spark, d), "pairs"), "a", "b").select("o_orderkey", *_r("ratio", "jac", "sim"))
 
 
-@_add("blocks_ratio_gated")
+@_add("blocks_ratio_gated", f"SELECT o_orderkey, {_FORM([chr(39) + ("pass" if 0.7 * r + 0.3 * j >= 0.6 else "fail") + chr(39) for r, j in BLOCKS])} AS gate FROM orders")
 def _(spark, d):
     rows = similarity.scored_pairs(written(spark, _pairs(spark, d), "pairs"), "a", "b", tau=0.6)
     return rows.select("o_orderkey", skeleton.gate(F.col("sim")).alias("gate"))
@@ -163,11 +177,16 @@ def _(spark, d):
 _N = lambda part: f"CAST((length(r) - length(replace(r, '{part}', ''))) / {len(part)} AS INT)"
 _TAGS = f"(NOT (regexp_matches(lower(r), '</?think>') AND NOT regexp_matches(r, '</?think>')) AND (({_N('<think>')} = 1 AND {_N('</think>')} = 1 AND instr(r, '<think>') < instr(r, '</think>')) OR ({_N('<think>')} = 0 AND {_N('</think>')} = 0)))"
 _NORM = f"SELECT o_orderkey, replace(coalesce(response, ''), chr(13) || chr(10), chr(10)) AS r FROM ({RESPONSES}) AS q"
-for _mode in response.MODES:
-    _shape = response.SHAPES[_mode].replace("'", "''")
-    _extra = "NOT regexp_matches(lower(r), '</?think>')" if _mode == "suppressed" else f"{_TAGS} AND contains(r, '<think>')"
 
-    @_add(f"validate_{_mode}", f"SELECT o_orderkey, {_N('```')} = 2 AND regexp_matches(r, '{_shape}') AND {_extra} AS valid FROM ({_NORM}) AS n")
+
+def _valid_sql(mode: str) -> str:
+    extra = "NOT regexp_matches(lower(r), '</?think>')" if mode == "suppressed" else f"{_TAGS} AND contains(r, '<think>')"
+    shape = response.SHAPES[mode].replace("'", "''")
+    return f"({_N('```')} = 2 AND regexp_matches(r, '{shape}') AND {extra})"
+
+
+for _mode in response.MODES:
+    @_add(f"validate_{_mode}", f"SELECT o_orderkey, {_valid_sql(_mode)} AS valid FROM ({_NORM}) AS n")
     def _(spark, d, mode=_mode):
         return sql(spark, d, RESPONSES).select("o_orderkey", response.valid(F.col("response"), mode).alias("valid"))
 
@@ -181,7 +200,8 @@ def _(spark, d):
     return p.select("o_orderkey", "p.think", "p.sql", "p.reason")
 
 
-@_add("validate_for_prompt")
+@_add("validate_for_prompt", f"""SELECT o_orderkey, CASE o_orderkey % 3 WHEN 0 THEN 'fast' WHEN 1 THEN 'slow' ELSE 'suppressed' END AS mode,
+  CASE o_orderkey % 3 WHEN 0 THEN {_valid_sql('fast')} WHEN 1 THEN {_valid_sql('slow')} ELSE {_valid_sql('suppressed')} END AS valid FROM ({_NORM}) AS n""")
 def _(spark, d):
     rows = sql(spark, d, RESPONSES).withColumn("prompt", F.concat(F.lit("count them"), F.when(F.col("o_orderkey") % 3 == 0, "/no_think").when(F.col("o_orderkey") % 3 == 1, "/think").otherwise("")))
     return rows.select("o_orderkey", response.mode_of_prompt(F.col("prompt")).alias("mode"), response.valid_for(F.col("prompt"), F.col("response")).alias("valid"))
@@ -244,12 +264,15 @@ def _(spark, d):
 
 
 # linking, clauses, errors
-_ELS = "SELECT o_orderkey, list_distinct(regexp_extract_all(pred, 'o_[a-z]+')) AS p, list_distinct(regexp_extract_all(gold, 'o_[a-z]+')) AS g FROM ({0}) AS t".format(TEXTS)
+#: The schema elements of gold and of each form in ``TEXTS``, read off by hand.
+_O = ("orders", "orders.o_orderstatus", "orders.o_totalprice")
+ELEMENTS = (_O, _O, _O[:2], _O, ("customer", "customer.c_custkey", "customer.c_mktsegment", "orders", "orders.o_custkey"), ("orders", "orders.o_custkey", *_O[1:]), _O, _O)
+_LIST = lambda names: "[" + ", ".join(f"'{n}'" for n in names) + "]"
+_ELS = f"SELECT o_orderkey, {_FORM([_LIST(e) for e in ELEMENTS])} AS p, {_LIST(_O)} AS g FROM orders"
 
 
 def _els(spark, d):
-    cols = lambda c: F.array_distinct(F.regexp_extract_all(F.col(c), F.lit("o_[a-z]+"), 0))
-    return linking.score(sql(spark, d, TEXTS).select("o_orderkey", cols("pred").alias("p"), cols("gold").alias("g")), "p", "g")
+    return linking.score(linking.with_elements(sql(spark, d, TEXTS), ["pred", "gold"]), "pred_elements", "gold_elements")
 
 
 @_add("link_subset", f"SELECT o_orderkey, len(list_filter(p, lambda x: NOT list_contains(g, x))) = 0 AS link_set_ok FROM ({_ELS}) AS e")
@@ -267,30 +290,45 @@ def _(spark, d):
     return _els(spark, d).select("o_orderkey", F.round("link_f1", 6).alias("link_f1"))
 
 
-@_add("schema_elements")
+@_add("schema_elements", f"SELECT o_orderkey, array_to_string(p, ',') AS elements FROM ({_ELS}) AS e")
 def _(spark, d):
     return linking.with_elements(sql(spark, d, TEXTS), ["pred"]).select("o_orderkey", F.array_join("pred_elements", ",").alias("elements"))
 
 
-@_add("schema_resolve")
+@_add("schema_resolve", f"""SELECT o_orderkey, array_to_string(list_filter(p, lambda x: NOT contains(x, 'c_mktsegment')), ',') AS known, CASE o_orderkey % 8 WHEN 4 THEN 'customer.c_mktsegments' ELSE '' END AS unknown FROM ({_ELS}) AS e""")
 def _(spark, d):
-    rows = linking.with_elements(sql(spark, d, TEXTS), ["pred"])
+    """One form names a column that is not there."""
+    rows = linking.with_elements(sql(spark, d, TEXTS).withColumn("pred", F.replace("pred", F.lit("c_mktsegment"), F.lit("c_mktsegments"))), ["pred"])
     return linking.resolve(rows, "pred_elements", schema_dictionary(spark, d), "o_orderkey").select("o_orderkey", F.array_join("known", ",").alias("known"), F.array_join("unknown", ",").alias("unknown"))
 
 
-@_add("schema_ground")
+#: The dictionary as DuckDB knows it.
+_DB = "CASE " + " ".join(f"WHEN table_name IN ({', '.join(chr(39) + t + chr(39) for t in ts)}) THEN '{db}'" for db, ts in DATABASES.items()) + " END"
+_DICT = f"SELECT DISTINCT {_DB} AS db_id, table_name AS tab, column_name AS col FROM information_schema.columns WHERE table_name IN ({', '.join(chr(39) + t + chr(39) for t in TABLES)})"
+_ASKED = suites.duck_questions()
+_GROUND = lambda most: f"""SELECT question_id, element, hits, d, place FROM (SELECT *, CAST(row_number() OVER (PARTITION BY question_id ORDER BY hits DESC, d, element) AS INTEGER) AS place FROM (
+  SELECT question_id, element, count(DISTINCT w) AS hits, CAST(min(levenshtein(w, part)) AS INTEGER) AS d FROM (SELECT DISTINCT question_id, unnest(string_split_regex(lower(question), '[^a-z0-9]+')) AS w FROM ({_ASKED}) AS q) AS words
+  JOIN (SELECT DISTINCT tab || '.' || col AS element, unnest(string_split(tab || '_' || col, '_')) AS part FROM ({_DICT}) AS d) AS parts
+  ON levenshtein(w, part) <= 1 AND (w = part OR greatest(length(w), length(part)) >= 5) WHERE length(w) >= 3 AND length(part) >= 3 GROUP BY 1, 2) AS h) AS r WHERE place <= {most}"""
+
+
+@_add("schema_ground", _GROUND(3))
 def _(spark, d):
     return linking.ground(workloads.asked(spark, d), schema_dictionary(spark, d))
 
 
-@_add("schema_drift")
+@_add("schema_drift", "SELECT * FROM (VALUES ('retail', 'orders', 'o_orderstatus', NULL, 'lost'), ('retail', 'customer', 'c_acctbal', 'c_account_balance', 'renamed')) AS t(db_id, tab, was, now, change)")
 def _(spark, d):
     old = schema_dictionary(spark, d)
     new = old.where("col <> 'o_orderstatus'").withColumn("col", F.when(F.col("col") == "c_acctbal", "c_account_balance").otherwise(F.col("col")))
     return linking.drift(old, new)
 
 
-@_add("clause_match")
+#: Clauses that each form shares with gold, of gold's three (what is chosen, where from, which rows).
+_SHARES = (1.0, 1 / 3, 2 / 3, 2 / 3, 0.0, 1 / 3, 2 / 3, 1 / 3)
+
+
+@_add("clause_match", f"SELECT o_orderkey, o_orderkey % 8 = 0 AS em, o_orderkey % 8 = 0 AS em_no_values, round(CAST({_FORM(_SHARES)} AS DOUBLE), 6) AS clause_share FROM orders")
 def _(spark, d):
     rows = sql(spark, d, TEXTS).withColumnsRenamed({"gold": "gold_sql", "pred": "sql"})
     return judging.judged(rows).select("o_orderkey", "em", "em_no_values", F.round("clause_share", 6).alias("clause_share"))
@@ -301,7 +339,11 @@ def _(spark, d):
     return sql(spark, d, TEXTS).select("o_orderkey", judging.exact(F.col("gold"), F.col("pred")).alias("same"))
 
 
-@_add("classify_errors")
+#: Error classes of each form against gold, in the order of the classes.
+_CLASSES = ("", "function", "condition", "clause", "table,attribute,clause", "attribute,subquery,clause,function,operator,value", "condition", "function")
+
+
+@_add("classify_errors", f"SELECT o_orderkey, nullif(string_split(e, ',')[1], '') AS error, e AS errors FROM (SELECT o_orderkey, {_FORM([chr(39) + c + chr(39) for c in _CLASSES])} AS e FROM orders) AS t")
 def _(spark, d):
     rows = sql(spark, d, TEXTS).withColumnsRenamed({"gold": "gold_sql", "pred": "sql"})
     return judging.judged(rows).select("o_orderkey", "error", F.array_join("errors", ",").alias("errors"))
@@ -375,11 +417,58 @@ def _(spark, d):
     return grouprl.dead_groups(table(spark, d, "events"), ["user_id"], "event_type")
 
 
-@_add("policy_sample")
+_TRAIN = f"SELECT *, CASE WHEN tier IN ('simple', 'easy') THEN 'L1' WHEN tier IN ('moderate', 'medium') THEN 'L2' ELSE 'L3' END AS level FROM ({_ASKED}) AS q WHERE suite = 'A' OR suite = 'B' AND {duck_number('3', 'question_id')} % 10000 / 10000.0 < 0.15"
+_LOGITS = "(VALUES " + ", ".join(f"({i}, '{k}', CAST({workloads.LEAN.get(k, -1.0)} AS DOUBLE))" for i, k in enumerate(mutate.KINDS)) + ") AS l(i, kind, theta)"
+_EDGES = f"SELECT i, kind, sum(exp(theta)) OVER (ORDER BY i) / sum(exp(theta)) OVER () AS hi, coalesce(sum(exp(theta)) OVER (ORDER BY i ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0) / sum(exp(theta)) OVER () AS lo FROM {_LOGITS}"
+
+
+@_add("policy_sample", f"""SELECT question_id, slot, kind FROM (SELECT question_id, CAST(slot AS INTEGER) AS slot, {duck_uniform('1', '0', 'question_id', 'slot')} AS u FROM (SELECT question_id, unnest(range(8)) AS slot FROM ({_TRAIN}) AS t) AS s) AS d
+  JOIN ({_EDGES}) AS e ON u >= lo AND u < CASE WHEN i = {len(mutate.KINDS) - 1} THEN 2 ELSE hi END""")
 def _(spark, d):
     return workloads.start_policy().sample(workloads.training_questions(spark, d).select("question_id", "family"), 8, 1).select("question_id", "slot", "kind")
 
 
+_KINDS3 = "event_type AS kind, 'L' || CAST(user_id % 3 AS VARCHAR) AS family"
+_CLS = [f"L{k}" for k in range(3)]
+_EVENTS = ("click", "error", "purchase", "signup", "view")
+
+
+@_add("policy_gradient", f"""WITH e AS (SELECT event_id, user_id AS question_id, {_KINDS3}, value AS total FROM events WHERE event_type IN {_EVENTS}),
+  a AS (SELECT *, total - avg(total) OVER (PARTITION BY question_id) AS adv, count(*) OVER (PARTITION BY question_id) AS n, exp(CAST({_LOGP} AS DOUBLE)) AS r FROM e),
+  p AS (SELECT family, kind, sum(CASE WHEN adv > 0 AND r > 1.2 OR adv < 0 AND r < 0.8 THEN 0 ELSE r * adv / n END) AS g, sum(1.0 / n) AS w FROM a GROUP BY 1, 2),
+  grid AS (SELECT family, kind FROM (SELECT DISTINCT family FROM e) AS f, (VALUES {', '.join(f"('{k}')" for k in _EVENTS)}) AS k(kind))
+  SELECT family, kind, round((coalesce(g, 0) - sum(coalesce(g, 0)) OVER (PARTITION BY family) / {len(_EVENTS)}) / (SELECT sum(w) FROM p), 6) AS gradient FROM grid LEFT JOIN p USING (family, kind)""")
+def _(spark, d):
+    """Gradient of the clipped objective at the uniform policy, whose old probabilities lie around it."""
+    rows = table(spark, d, "events").where(F.col("event_type").isin(*_EVENTS)).selectExpr("event_id", "user_id AS question_id", "event_type AS kind", "'L' || CAST(user_id % 3 AS STRING) AS family", "value AS total")
+    rows = grouprl.advantages(rows).withColumn("group", F.count("*").over(Window.partitionBy("question_id")).cast("double")).withColumn("logp", F.expr(_LOGP).cast("double")).withColumn("logp_old", F.lit(0.0))
+    grad, _ = grouprl.gradient(rows, grouprl.Policy.initial(_CLS, list(_EVENTS)))
+    return spark.createDataFrame([(c, k, round(float(grad[i, j]), 6) + 0.0) for i, c in enumerate(_CLS) for j, k in enumerate(_EVENTS)], "family string, kind string, gradient double")
+
+
+@_add("adam_steps", """WITH g AS (SELECT event_type AS kind, avg(value) AS g1, -avg(value) / 3 AS g2 FROM events GROUP BY 1),
+  one AS (SELECT *, 0.1 * g1 AS m1, 0.05 * g1 * g1 AS v1, 0.3 * g1 / (abs(g1) + 1e-8) AS t1 FROM g),
+  two AS (SELECT *, 0.9 * m1 + 0.1 * g2 AS m2, 0.95 * v1 + 0.05 * g2 * g2 AS v2 FROM one)
+  SELECT kind, round(t1, 6) AS theta1, round(t1 * (1 - 0.3 * 0.01) + 0.3 * (m2 / (1 - 0.81)) / (sqrt(v2 / (1 - 0.9025)) + 1e-8), 6) AS theta2 FROM two""")
+def _(spark, d):
+    import numpy as np
+
+    means = {r["event_type"]: r["m"] for r in table(spark, d, "events").groupBy("event_type").agg(F.avg("value").alias("m")).collect()}  # one row an event type
+    kinds, adam = sorted(means), grouprl.Adam()
+    g = np.array([[means[k] for k in kinds]])
+    one = adam.step(np.zeros_like(g), g)
+    two = adam.step(one, -g / 3)
+    return spark.createDataFrame([(k, round(float(one[0, i]), 6), round(float(two[0, i]), 6)) for i, k in enumerate(kinds)], "kind string, theta1 double, theta2 double")
+
+
+@_add("likelihood_fit", f"""WITH k AS (SELECT kind FROM (VALUES {', '.join(f"('{k}')" for k in _EVENTS)}) AS k(kind)), f AS (SELECT DISTINCT 'L' || CAST(user_id % 3 AS VARCHAR) AS family FROM events),
+  n AS (SELECT 'L' || CAST(user_id % 3 AS VARCHAR) AS family, event_type AS kind, count(*) AS n FROM events GROUP BY 1, 2), c AS (SELECT f.family, k.kind, coalesce(n, 0) + 8.0 / {len(_EVENTS)} AS c FROM f CROSS JOIN k LEFT JOIN n ON n.family = f.family AND n.kind = k.kind)
+  SELECT family AS question_class, kind, round(ln(c / sum(c) OVER (PARTITION BY family)), 6) AS logp FROM c""")
+def _(spark, d):
+    rows = table(spark, d, "events").where(F.col("event_type").isin(*_EVENTS)).selectExpr("event_type AS kind", "'L' || CAST(user_id % 3 AS STRING) AS family")
+    return grouprl.fit_mle(rows, grouprl.Policy.initial(_CLS, list(_EVENTS))).frame(spark).select("question_class", "kind", *_r("logp"))
+
+
 @_add("reward_cube")
 def _(spark, d):
     return grouprl.reward_cube(reward.score(workloads.prepared(spark, d)))
@@ -394,7 +483,7 @@ def _(spark, d):
 @_add("policy_snapshots")
 def _(spark, d):
     out = None
-    for arm, r in workloads.trained(spark, d).items():
+    for arm, r in workloads.trained(spark, d).items():  # one small table an arm
         one = r.policy.frame(spark, workloads.STEPS).withColumn("arm", F.lit(arm))
         out = one if out is None else out.unionByName(one)
     return out
@@ -474,9 +563,13 @@ def _(spark, d):
     return metrics.tail(table(spark, d, "events"), ["event_type"], "value").select("event_type", *_r("q95", "q99"))
 
 
-@_add("tail_latency_sketch")
+@_add("tail_latency_sketch", "SELECT DISTINCT event_type, true AS q95, true AS q99 FROM events")
 def _(spark, d):
-    return metrics.tail(table(spark, d, "events"), ["event_type"], "value", exact=False)
+    """Are the sketch's tail quantiles within a hundredth of their rank?"""
+    e = table(spark, d, "events")
+    rows = e.join(F.broadcast(metrics.tail(e, ["event_type"], "value", exact=False)), "event_type")
+    near = lambda c, p: (F.abs(F.avg((F.col("value") <= F.col(c)).cast("double")) - p) <= 0.01 + 1.0 / F.count("*")).alias(c)
+    return rows.groupBy("event_type").agg(near("q95", 0.95), near("q99", 0.99))
 
 
 @_add("error_rate", "SELECT date_trunc('day', ts) AS day, round(avg(CAST(event_type = 'error' AS INT)), 6) AS error_rate FROM events GROUP BY 1")
@@ -490,9 +583,12 @@ def _(spark, d):
     return metrics.timing_noise(rows).select("o_orderkey", *_r("t_mean", "t_cv"))
 
 
-@_add("bootstrap_ex")
+@_add("bootstrap_ex", f"""WITH q AS (SELECT arm, question_id, CAST(sum(CAST(ex AS INT)) AS DOUBLE) AS v, count(*) AS n FROM ({EVAL}) AS e GROUP BY 1, 2),
+  d AS (SELECT *, CAST('0x' || substr(md5('7:' || CAST(question_id AS VARCHAR) || ':' || CAST(i // {metrics.DRAWS} AS VARCHAR)), CAST(4 * (i % {metrics.DRAWS}) + 1 AS BIGINT), 4) AS INTEGER) AS x FROM (SELECT *, unnest(range(200)) AS i FROM q) AS r),
+  m AS (SELECT arm, i, sum(v * w) / sum(n * w) AS m FROM (SELECT *, {' + '.join(f'CASE WHEN x >= {x} THEN 1 ELSE 0 END' for x in metrics.POISSON)} AS w FROM d) AS t GROUP BY 1, 2)
+  SELECT arm, round(quantile_cont(m, 0.025), 6) AS low, round(quantile_cont(m, 0.975), 6) AS high FROM m GROUP BY 1""")
 def _(spark, d):
-    return metrics.bootstrap(sql(spark, d, EVAL), ["arm"], F.col("ex").cast("double"))
+    return metrics.bootstrap(sql(spark, d, EVAL), ["arm"], F.col("ex").cast("double")).select("arm", *_r("low", "high"))
 
 
 @_add("confidence", "SELECT user_id AS question_id, round(CAST(max(n) AS DOUBLE) / sum(n), 6) AS confidence, CAST(max(n) AS DOUBLE) / sum(n) < 0.5 AS fallback FROM (SELECT user_id, event_type, count(*) AS n FROM events GROUP BY 1, 2) AS g GROUP BY 1")
@@ -501,7 +597,13 @@ def _(spark, d):
     return metrics.confidence(rows).select("question_id", *_r("confidence"), "fallback")
 
 
-@_add("training_overhead")
+@_add("training_overhead", f"SELECT arm, count(*) AS asked, count(DISTINCT question_id) AS texts, round(sum(t_pred), 3) AS seconds FROM ({EVAL}) AS e GROUP BY 1")
+def _(spark, d):
+    out = metrics.overhead(sql(spark, d, EVAL).withColumn("sql", F.col("question_id").cast("string")))
+    return out.withColumn("seconds", F.round("seconds", 3))
+
+
+@_add("training_overhead_arms")
 def _(spark, d):
     return metrics.overhead(reward.score_arms(workloads.prepared(spark, d)).where("stage <> 'format'"))
 
@@ -528,12 +630,42 @@ def _(spark, d):
     return out.select("question_id", F.col("first").cast("long").alias("first"), F.col("last").cast("long").alias("last"), "length")
 
 
-@_add("sft_records")
+_SNAPS = "SELECT user_id AS question_id, event_id % 4 AS snapshot, row_number() OVER (PARTITION BY user_id, event_id % 4 ORDER BY ts, event_id) AS attempt, event_type <> 'error' AS correct, event_type AS kind FROM events"
+
+
+@_add("keep_same_rows", f"SELECT question_id, snapshot, attempt FROM ({_SNAPS}) AS s WHERE correct")
+def _(spark, d):
+    return distill.keep_exact(sql(spark, d, _SNAPS), "ex").select("question_id", "snapshot", F.col("attempt").cast("long").alias("attempt"))
+
+
+@_add("progressive", f"""SELECT question_id, snapshot, attempt FROM (SELECT *, row_number() OVER (PARTITION BY question_id ORDER BY snapshot DESC, attempt DESC) AS k FROM (
+  SELECT question_id, snapshot, min(attempt) AS attempt FROM (SELECT *, count(*) OVER w AS n, min(CAST(correct AS INT)) OVER w AS ok FROM ({_SNAPS}) AS s
+  WINDOW w AS (PARTITION BY question_id, snapshot ORDER BY attempt ROWS BETWEEN 1 PRECEDING AND CURRENT ROW)) AS r WHERE n = 2 AND ok = 1 GROUP BY 1, 2) AS f) AS t WHERE k = 1""")
+def _(spark, d):
+    """Two right in a row for each checkpoint, and the latest checkpoint's of these."""
+    return distill.progressive(distill.keep_run(sql(spark, d, _SNAPS), 2)).select("question_id", "snapshot", F.col("attempt").cast("long").alias("attempt"))
+
+
+@_add("preference_pairs", f"""WITH s AS (SELECT question_id, min(attempt) AS a FROM ({_SNAPS}) AS x WHERE snapshot = 0 AND kind <> 'error' GROUP BY 1), w AS (SELECT question_id, min(attempt) AS a FROM ({_SNAPS}) AS x WHERE snapshot = 1 AND kind = 'error' GROUP BY 1)
+  SELECT s.question_id, x.kind AS chosen, 'error' AS rejected FROM s JOIN w USING (question_id) JOIN ({_SNAPS}) AS x ON x.question_id = s.question_id AND x.snapshot = 0 AND x.attempt = s.a""")
+def _(spark, d):
+    rows = sql(spark, d, _SNAPS).withColumn("slot", F.col("attempt")).withColumn("family", F.lit("L1"))
+    right = rows.select("question_id", "kind", "correct").distinct()
+    return baselines.preferred(rows.where("snapshot = 0").drop("correct"), rows.where("snapshot = 1").drop("correct"), right).select("question_id", "chosen", "rejected")
+
+
+_THINKING = "'The question is: ' || question || repeat(' Find the tables, join them, filter, then aggregate.', CASE WHEN tier IN ('simple', 'easy') THEN 1 WHEN tier IN ('moderate', 'medium') THEN 2 ELSE 4 END)"
+_BLOCK = "'```sql' || chr(10) || {0} || chr(10) || '```'"
+_SAID = lambda mode, text: {"suppressed": _BLOCK.format(text), "fast": f"'<think>' || chr(10) || chr(10) || '</think>' || chr(10) || chr(10) || {_BLOCK.format(text)}",
+                            "slow": f"'<think>' || {_THINKING} || '</think>' || chr(10) || chr(10) || {_BLOCK.format(text)}"}[mode]
+
+
+@_add("sft_records", " UNION ALL ".join(f"SELECT question_id, level AS family, suite, '{m}' AS mode, question || '{end}' AS prompt, {_SAID(m, 'gold_sql')} AS response FROM ({_TRAIN}) AS t" for m, end in (("slow", "/think"), ("fast", "/no_think"), ("suppressed", ""))))
 def _(spark, d):
     return distill.records(workloads.training_questions(spark, d))
 
 
-@_add("rl_records")
+@_add("rl_records", f"SELECT question_id, level AS family, suite, 'tags_only' AS mode, question || '/think' AS prompt, gold_sql FROM ({_TRAIN}) AS t")
 def _(spark, d):
     return distill.rl_records(workloads.training_questions(spark, d))
 
@@ -551,12 +683,12 @@ def _(spark, d):
     return dataset.dedup(table(spark, d, "documents")).select("doc_id").distinct()
 
 
-@_add("dataset_dedup_normalised", "SELECT min(doc_id) AS doc_id FROM documents GROUP BY trim(regexp_replace(lower(text), '\\s+', ' ', 'g'))")
+@_add("dataset_dedup_normalised", "SELECT min(doc_id) AS doc_id FROM documents GROUP BY trim(regexp_replace(lower(coalesce(text, '')), '\\s+', ' ', 'g'))")
 def _(spark, d):
     return dataset.dedup(table(spark, d, "documents"), "normalised").select("doc_id").distinct()
 
 
-@_add("dataset_shuffle")
+@_add("dataset_shuffle", "SELECT doc_id, lang FROM documents")
 def _(spark, d):
     return dataset.shuffle(table(spark, d, "documents").select("doc_id", "lang"), 42)
 
@@ -569,7 +701,7 @@ def _(spark, d):
     return dataset.stats(table(spark, d, "documents"), ["lang"], "text").select("lang", "items", *_r("tokens_question"))
 
 
-@_add("dataset_mix")
+@_add("dataset_mix", f"SELECT doc_id, lang FROM documents WHERE lang = 'en' OR lang = 'de' AND {duck_number('3', 'doc_id')} % 10000 / 10000.0 < 0.15")
 def _(spark, d):
     return dataset.mix(table(spark, d, "documents").select("doc_id", "lang"), {"en": 1.0, "de": 0.15}, "lang", "doc_id")
 
@@ -588,7 +720,11 @@ def _(spark, d):
     return dataset.contaminated(table(spark, d, "documents"), table(spark, d, "benchmark"))
 
 
-@_add("schema_lengthen")
+_DDL = f"SELECT db_id, tab || '(' || array_to_string(list_sort(list(col)), ', ') || ')' AS ddl FROM ({_DICT}) AS d GROUP BY db_id, tab"
+
+
+@_add("schema_lengthen", f"""WITH t AS ({_DDL}), own AS (SELECT db_id, list_sort(list(ddl)) AS own FROM t GROUP BY 1), rest AS (SELECT o.db_id, list_sort(list(t.ddl))[1:4] AS rest FROM own AS o JOIN t ON t.db_id <> o.db_id GROUP BY 1)
+  SELECT question_id, CAST(length(array_to_string(list_concat(own, rest), '; ')) + 1 + length(question) AS INTEGER) AS prompt_chars FROM ({_ASKED}) AS q JOIN own USING (db_id) JOIN rest USING (db_id)""")
 def _(spark, d):
     return dataset.lengthen_schema(workloads.asked(spark, d), schema_dictionary(spark, d), 4).select("question_id", F.length("prompt").alias("prompt_chars"))
 
@@ -598,7 +734,8 @@ def _(spark, d):
     return dataset.value_hints(table(spark, d, "orders"), ["o_orderstatus", "o_orderpriority"])
 
 
-@_add("noisy_questions")
+@_add("noisy_questions", f"""SELECT question_id, array_to_string(list_transform(string_split(question, ' '), lambda w, i: CASE WHEN length(w) >= 4 AND {duck_number('5', 'question_id', 'i - 1', 'w')} % 1000 < 200
+  THEN substr(w, 1, 1) || substr(w, 3, 1) || substr(w, 2, 1) || substr(w, 4) ELSE w END), ' ') AS question FROM ({_ASKED}) AS q""")
 def _(spark, d):
     return dataset.noisy(workloads.asked(spark, d), 0.2).select("question_id", "question")
 
@@ -617,6 +754,15 @@ def _(spark, d):
     return baselines.nearest_by_planes(e, e, 3, 6, 9)
 
 
+@_add("nearest_recall", "SELECT count(*) * 3 AS wanted, true AS enough FROM embeddings")
+def _(spark, d):
+    """Does the search by planes find nine in ten of what the exact search finds?"""
+    e = table(spark, d, "embeddings")
+    exact, near = baselines.nearest_examples(e, e, 3), baselines.nearest_by_planes(e, e, 3, 6, 9)
+    both = exact.select("vec_id", "neighbour").join(near.select("vec_id", "neighbour", F.lit(1).alias("hit")), ["vec_id", "neighbour"], "left")
+    return both.agg(F.count("*").alias("wanted"), (F.count("hit") >= 0.9 * F.count("*")).alias("enough"))
+
+
 @_add("skeleton_then_fill")
 def _(spark, d):
     golds = workloads.asked(spark, d).withColumn("skeleton", skeleton.extract(F.col("gold_sql")))
@@ -642,36 +788,38 @@ def _(spark, d):
     return rows.groupBy("suite").agg(F.round(F.avg(F.col("ex").cast("int")), 6).alias("ex"), F.count("*").alias("n"))
 
 
-@_add("normalise_question")
+@_add("normalise_question", "SELECT question_id, array_to_string(list_transform(string_split(lower(question), ' '), lambda w: CASE w " + " ".join(f"WHEN '{a}' THEN '{b}'" for a, b in baselines.SYNONYMS.items()) + f" ELSE w END), ' ') AS question FROM ({_ASKED}) AS q")
 def _(spark, d):
     return baselines.normalise_question(workloads.asked(spark, d)).select("question_id", "question")
 
 
-@_add("link_prune")
+@_add("link_prune", f"SELECT question_id, array_to_string(list_sort(list(element)), ',') AS schema FROM ({_GROUND(3)}) AS g GROUP BY 1")
 def _(spark, d):
     return baselines.link_prune(linking.ground(workloads.asked(spark, d), schema_dictionary(spark, d), most=5), 3).select("question_id", F.array_join("schema", ",").alias("schema"))
 
 
 @_add("tree_search")
 def _(spark, d):
-    rows = reward.score(workloads.prepared(spark, d)).select("question_id", "kind", "mode", "total")
-    return baselines.tree_search(rows)
+    rows = reward.score(workloads.prepared(spark, d)).select("question_id", "family", "kind", "total")
+    return baselines.tree_search(rows, baselines.clause_paths(spark))
 
 
-@_add("sft_only")
+@_add("sft_only", f"""WITH n AS (SELECT level, count(*) AS n FROM ({_TRAIN}) AS t GROUP BY 1), c AS (SELECT level, i, kind, 8 * exp(theta) / sum(exp(theta)) OVER (PARTITION BY level) + CASE kind WHEN 'exact' THEN n ELSE 0 END AS c FROM n, {_LOGITS})
+  SELECT level AS question_class, kind, round(ln(c / sum(c) OVER (PARTITION BY level)), 6) AS logp FROM c""")
 def _(spark, d):
-    """Supervised baseline: likelihood fit on exact answers, no reward training."""
+    """Supervised baseline: likelihood fit on gold answers, no reward training."""
     qs = workloads.training_questions(spark, d).select("question_id", "family").withColumn("kind", F.lit("exact"))
-    return grouprl.fit_mle(qs, workloads.start_policy()).frame(spark)
+    return grouprl.fit_mle(qs, workloads.start_policy()).frame(spark).select("question_class", "kind", *_r("logp"))
 
 
-@_add("execution_feedback_fit")
+@_add("supervised_fits")
 def _(spark, d):
-    """Likelihood fit on sampled candidates that ran and were right."""
-    start = workloads.start_policy()
-    tried = start.sample(workloads.training_questions(spark, d).select("question_id", "family"), 8, 5)
-    good = workloads.prepared(spark, d).where("equal AND pattern_ok").select("question_id", "kind")
-    return grouprl.fit_mle(tried.join(good, ["question_id", "kind"]), start).frame(spark)
+    """Policies of the fits on gold answers, on sampled answers that ran and were right, and on a strong generator's."""
+    out = None
+    for arm, policy in workloads.supervised(spark, d).items():
+        one = policy.frame(spark).withColumn("arm", F.lit(arm))
+        out = one if out is None else out.unionByName(one)
+    return out
 
 
 @_add("result_overlap", """WITH a AS (SELECT o_custkey FROM orders WHERE o_totalprice > 100000), b AS (SELECT o_custkey FROM orders WHERE o_totalprice > 120000),
@@ -690,43 +838,178 @@ def _gold(f):
 
 
 for _f in suites.FAMILIES:
-    _add(f"gold_{_f.id}", _f.text())(_gold(_f))
+    _add(f"gold_{_f.id}", _f.duck or _f.text())(_gold(_f))
 
 
-@_add("questions")
+@_add("questions", _ASKED)
 def _(spark, d):
     return suites.questions(spark, d)
 
 
+_EDITS = "(VALUES " + ", ".join("(" + ", ".join([f"'{fid}'", str(k), f"'{kind}'", f"'{mutate.MODE[kind]}'", "'" + mutate.edit(f.gold, kind).replace("'", "''") + "'"]) + ")" for fid, f in suites.BY_ID.items() for k, kind in enumerate(mutate.KINDS)) + ") AS e(family, slot, kind, mode, template)"
+_TAGGED = lambda inside: f"'<think>' || {inside} || '</think>' || chr(10) || chr(10) || {_BLOCK.format('sql')}"
+_WORDCOUNT = "len(string_split_regex(trim({0}), '\\s+'))"
+_CANDS = f"""SELECT question_id, suite, family, CAST(slot AS INTEGER) AS slot, kind, mode, sql, response, CAST({_WORDCOUNT.format('question')} AS INTEGER) AS n_tok_in, CAST({_WORDCOUNT.format('response')} AS INTEGER) AS n_tok_out FROM (
+  SELECT *, CASE kind WHEN 'no_fence' THEN '<think>look at the tables</think>' || chr(10) || chr(10) || sql WHEN 'think_in_suppressed' THEN {_TAGGED("'hm'")} WHEN 'empty_think_in_slow' THEN {_TAGGED("chr(10) || chr(10)")}
+    WHEN 'text_in_fast_think' THEN {_TAGGED("'quick thought'")} WHEN 'unclosed_tag' THEN '<think>no end' || chr(10) || chr(10) || {_BLOCK.format('sql')}
+    ELSE CASE mode WHEN 'slow' THEN {_SAID('slow', 'sql')} WHEN 'fast' THEN {_SAID('fast', 'sql')} ELSE {_SAID('suppressed', 'sql')} END END AS response
+  FROM (SELECT q.*, e.slot, e.kind, e.mode, replace(replace(e.template, '{{p1}}', p1), '{{p2}}', p2) AS sql FROM ({_ASKED}) AS q JOIN {_EDITS} ON e.family = q.family) AS c) AS r"""
+
+
+@_add("candidates", _CANDS)
+def _(spark, d):
+    return mutate.candidates(workloads.asked(spark, d)).select("question_id", "suite", "family", "slot", "kind", "mode", "sql", "response", "n_tok_in", "n_tok_out")
+
+
+@_add("candidate_validity", f"SELECT kind, mode, CASE mode WHEN 'slow' THEN {_valid_sql('slow')} WHEN 'fast' THEN {_valid_sql('fast')} ELSE {_valid_sql('suppressed')} END AS valid, count(*) AS n FROM (SELECT *, response AS r FROM ({_CANDS}) AS c) AS v GROUP BY 1, 2, 3")
+def _(spark, d):
+    rows = mutate.candidates(workloads.asked(spark, d)).withColumn("valid", response.valid_in(F.col("mode"), F.col("response")))
+    return rows.groupBy("kind", "mode", "valid").agg(F.count("*").alias("n"))
+
+
+@_add("real_parser", f"SELECT family, kind, kind <> 'syntax_error' AS parses FROM {_EDITS}")
+def _(spark, d):
+    """What the engine's own parser makes of each family's text of each kind; texts are families times kinds."""
+    rows = [(r["family"], r["kind"], execution.parses(spark, r["sql"])) for r in replay.texts(spark).collect()]
+    return spark.createDataFrame(rows, "family string, kind string, parses boolean")
+
+
 @_add("execute_suite")
 def _(spark, d):
-    """Golds and eight kinds of edits of suite A, guarded, run and compared with gold's rows."""
-    from .operators.mutate import edit
-    from .sources.load import views
+    """Every family's text of every kind under both engines: status, whether its rows are gold's, and the share of rows shared."""
+    return workloads.executions(spark, d).select("family", "kind", "engine", "status", "equal", F.round("overlap", 6).alias("overlap"))
 
-    views(spark, d)
-    kinds = ("exact", "slow", "value", "table", "syntax_error", "unknown_column", "bad_cast", "condition")
-    fams = [f for f in suites.FAMILIES if f.suite == "A"]
-    fill = lambda f, t: t.replace("{p1}", f.default[0]).replace("{p2}", f.default[1])
-    cands = spark.createDataFrame([(f.id, k, fill(f, edit(f.gold, k)), f.text()) for f in fams for k in kinds], "family string, kind string, sql string, gold_sql string")
-    runs = execution.run(spark, cands.select("sql"), DATABASES["retail"], repeats=0)
-    return execution.judged(cands, runs).select("family", "kind", "status", "equal")
 
+@_add("timed_runs")
+def _(spark, d):
+    """Times and costs of the same runs: mean, variation of repeats, CPU, bytes shuffled and spilled, peak memory."""
+    return workloads.executions(spark, d).where("status = 'ok'").select("family", "kind", "engine", "t_gold", "t_pred", "t_cv", "cpu_ms", "shuffled", "spilled", "peak")
 
-@_add("plan_cost")
+
+@_add("several_objectives")
 def _(spark, d):
-    from .operators.mutate import edit
-    from .sources.load import views
+    """Rewards whose efficiency part is made of time, shuffled bytes and peak memory."""
+    rows = reward.several(workloads.prepared(spark, d), {"t": 2.0, "shuffled": 1.0, "peak": 1.0})
+    return rows.select("question_id", "kind", "eff", "total", "stage")
+
+
+_SEVERAL = f"SELECT *, event_id % 7 AS gold_shuffled, event_id % 5 AS shuffled FROM ({LEAVES}) AS l"
+
+
+@_add("objectives_on_leaves", f"""SELECT event_id, round(CASE WHEN NOT (pattern_ok AND sim >= 0.6) THEN -2.0 WHEN status = 'ok' AND t_pred <= 30 AND equal THEN 3.0 + 0.75 * CASE WHEN t_pred = 0 THEN 1.0 ELSE least(1.0, t_gold / t_pred) END
+  + 0.25 * CASE WHEN shuffled = 0 THEN 1.0 ELSE least(1.0, CAST(gold_shuffled AS DOUBLE) / shuffled) END WHEN link_set_ok THEN 0.0 ELSE -1.5 END, 6) AS total FROM ({_SEVERAL}) AS s""")
+def _(spark, d):
+    return reward.several(sql(spark, d, _SEVERAL), {"t": 3.0, "shuffled": 1.0}).select("event_id", F.round("total", 6).alias("total"))
+
+
+@_add("reward_result_overlap", f"""SELECT event_id, round(CASE WHEN NOT (pattern_ok AND sim >= 0.6) THEN 0.0 WHEN status = 'ok' AND t_pred <= 30 AND equal THEN 1.0 ELSE clause_share END, 6) AS total FROM ({LEAVES}) AS l""")
+def _(spark, d):
+    return reward.score(sql(spark, d, LEAVES).withColumn("overlap", F.col("clause_share")), reward.RewardSpec.result_overlap()).select("event_id", F.round("total", 6).alias("total"))
+
+
+#: Texts that both engines read and whose rows don't depend on an order that is not asked for.
+_SAME = ("equivalent", "slow", "value", "operator", "condition", "subquery")
+
+
+def _pair_sql(fid: str, kind: str) -> str:
+    f = suites.BY_ID[fid]
+    gold, pred = f.text(), replay.filled(f, mutate.edit(f.gold, kind))
+    return f"SELECT '{fid}' AS family, '{kind}' AS kind, (SELECT count(*) FROM (({gold}) EXCEPT ALL ({pred})) AS x) + (SELECT count(*) FROM (({pred}) EXCEPT ALL ({gold})) AS y) = 0 AS equal"
+
+
+_PAIRED = [f.id for f in suites.FAMILIES if not f.duck]
+
 
-    views(spark, d)
+@_add("executed_pairs", " UNION ALL ".join(_pair_sql(fid, k) for fid in _PAIRED for k in _SAME))
+def _(spark, d):
+    """Are the candidate's rows gold's? As the other engine finds by comparing both results as bags."""
+    return workloads.executions(spark, d).where((F.col("engine") == "adaptive") & F.col("kind").isin(*_SAME) & F.col("family").isin(*_PAIRED)).select("family", "kind", "equal")
+
+
+@_add("concurrent_load", "SELECT 'count ' || t AS what, n, 'ok' AS status FROM (" + " UNION ALL ".join(f"SELECT '{t}' AS t, (SELECT count(*) FROM (SELECT {load.KEYS[t]} FROM {t} GROUP BY 1) AS x) AS n" for t in DATABASES["retail"]) + ") AS c")
+def _(spark, d):
+    """Several users at a time; their times belong to that load and stay apart from a single user's."""
+    load.views(spark, d)
+    texts = spark.createDataFrame([(t, f"SELECT {load.KEYS[t]} FROM {t} GROUP BY {load.KEYS[t]}") for t in DATABASES["retail"]], "t string, sql string")
+    runs = execution.run(spark, texts, DATABASES["retail"], execution.SORTING, warmup=0, repeats=1, concurrency=4)
+    return runs.join(texts, "sql").select(F.concat(F.lit("count "), "t").alias("what"), "n", "status")
+
+
+#: Who asks what, and what the guard says.
+_ACCESS = (("auditor", "SELECT COUNT(*) AS n FROM order_totals WHERE total > 1000", "ok"), ("auditor", "SELECT * FROM open_orders", "blocked"), ("auditor", "SELECT * FROM orders", "blocked"),
+           ("analyst", "SELECT SUM(net_price(o_totalprice, 0.1D)) AS s FROM open_orders", "ok"), ("analyst", "SELECT upper(o_orderkey) FROM open_orders", "blocked"), ("auditor", "SELECT net_price(total, 0.1D) FROM order_totals", "blocked"),
+           ("analyst", "SELECT n FROM order_totals JOIN customer ON o_custkey = c_custkey", "blocked"), ("analyst", "SELEC 1", "parse_error"))
+
+
+@_add("access_control", "SELECT * FROM (VALUES " + ", ".join("({})".format(", ".join("'" + x.replace("'", "''") + "'" for x in row)) for row in _ACCESS) + ") AS t(role, sql, status)")
+def _(spark, d):
+    """Views, a materialised view and a function of the schema, granted by role."""
+    load.granted_views(spark, d, Shelf(spark, "granted").root)
+    return spark.createDataFrame([(role, text, execution.guard(spark, text, *load.GRANTS[role])) for role, text, _ in _ACCESS], "role string, sql string, status string")
+
+
+@_add("materialised_view", "SELECT o_custkey, count(*) AS n_orders, round(CAST(sum(CAST(o_totalprice AS DECIMAL(18, 2))) AS DOUBLE), 2) AS total FROM orders GROUP BY 1")
+def _(spark, d):
+    load.granted_views(spark, d, Shelf(spark, "granted").root)
+    return spark.table("order_totals").select("o_custkey", "n_orders", F.round("total", 2).alias("total"))
+
+
+@_add("plan_cost")
+def _(spark, d):
+    """Costs by plan of every family's gold and of its slow edit, and the part of an efficiency reward that they give."""
+    load.views(spark, d)
     rows = []
     for f in suites.FAMILIES:
-        if f.suite == "A":
-            slow = edit(f.gold, "slow").replace("{p1}", f.default[0]).replace("{p2}", f.default[1])
-            rows.append((f.id, planlevel.cost(spark, f.text()), planlevel.cost(spark, slow), planlevel.ratio(spark, f.text(), slow)))
+        slow = replay.filled(f, mutate.edit(f.gold, "slow"))
+        rows.append((f.id, planlevel.cost(spark, f.text()), planlevel.cost(spark, slow), planlevel.ratio(spark, f.text(), slow)))
     return spark.createDataFrame(rows, "family string, gold_cost double, slow_cost double, ratio double")
 
 
+@_add("plan_critic")
+def _(spark, d):
+    """Weights of a model of log time on plan features, fitted to the golds' measured times."""
+    load.views(spark, d)
+    times = {r["family"]: r["t_gold"] for r in workloads.executions(spark, d).where("kind = 'exact' AND engine = 'adaptive' AND t_gold IS NOT NULL").collect()}  # one row a family
+    weights = planlevel.critic(spark, [suites.BY_ID[x].text() for x in sorted(times)], [times[x] for x in sorted(times)])
+    return spark.createDataFrame([(n, float(w)) for n, w in zip(("constant", "nodes", "bytes", "joins", "exchanges"), weights, strict=True)], "feature string, weight double")
+
+
+@_add("cost_limit", "SELECT family FROM (VALUES " + ", ".join(f"('{f.id}')" for f in suites.FAMILIES) + ") AS t(family)")
+def _(spark, d):
+    """Families whose gold a limit lets through that is as high as the costliest gold's plan: all of them."""
+    load.views(spark, d)
+    golds = {f.text(): f.id for f in suites.FAMILIES}
+    limit = max(planlevel.cost(spark, g) for g in golds)
+    return spark.createDataFrame([(golds[g],) for g in planlevel.within(spark, [*golds, "SELECT nothing FROM nowhere"], limit)], "family string")
+
+
+@_add("repaired_queries", "SELECT o AS wrong, 'ok' AS status FROM (VALUES ('o_custky'), ('o_totlprice'), ('o_orderstatu')) AS t(o)")
+def _(spark, d):
+    """Unknown names replaced by the nearest of the dictionary, until the analyser takes the query."""
+    load.views(spark, d)
+    names = [c for c, _ in table(spark, d, "orders").dtypes]
+    rows = []
+    for wrong in ("o_custky", "o_totlprice", "o_orderstatu"):
+        text = f"SELECT {wrong} FROM orders"
+        error = execution.run_one(spark, text, ("orders",), repeats=0)[7]
+        rows.append((wrong, execution.run_one(spark, mutate.repair(text, error, names), ("orders",), repeats=0)[0]))
+    return spark.createDataFrame(rows, "wrong string, status string")
+
+
+@_add("question_files", f"SELECT kind, question_id, suite, tier, question, gold_sql FROM ({_ASKED}) AS q, (VALUES ('json'), ('csv'), ('parquet')) AS k(kind)")
+def _(spark, d):
+    """Question sets written as JSON lines, CSV and Parquet by suite, and read back under the fixed schema."""
+    shelf, out = Shelf(spark, "files"), None
+    rows = workloads.asked(spark, d).withColumn("source", F.lit("own")).select("question_id", "suite", "db_id", "source", "tier", "family", "question", "gold_sql")
+    load.keep_records(rows, shelf.path("json"))
+    rows.write.option("header", True).option("escape", '"').csv(shelf.path("csv"))
+    load.keep(rows, shelf.path("parquet"), by=["suite"])
+    for kind in ("json", "csv", "parquet"):
+        one = load.external_questions(spark, shelf.path(kind), kind).select(F.lit(kind).alias("kind"), "question_id", "suite", "tier", "question", "gold_sql")
+        out = one if out is None else out.unionByName(one)
+    return out
+
+
 # surrounding operators
 @_add("grouping_sets", "SELECT o_orderstatus, o_orderpriority, count(*) AS n FROM orders GROUP BY GROUPING SETS ((o_orderstatus), (o_orderpriority), ())")
 def _(spark, d):
@@ -771,7 +1054,26 @@ def _(spark, d):
     return spark.sql(out, orders=table(spark, d, "orders"))
 
 
-# streams, drained over all there is; batch twins are their SQL
+@_add("more_aggregates", """SELECT o_orderstatus, mode(o_orderpriority ORDER BY o_orderpriority) AS common, max_by(o_orderkey, o_totalprice * 1000000 + o_orderkey) AS dearest, round(corr(o_custkey, o_totalprice), 6) AS corr, round(skewness(o_totalprice), 3) AS skew,
+  true AS sketch_ok FROM orders GROUP BY 1""")
+def _(spark, d):
+    """Most frequent value, value of the largest, correlation, skewness, and whether a sketch counts customers within 5 %."""
+    o = table(spark, d, "orders")
+    n = F.count("*").cast("double")
+    skew = F.skewness("o_totalprice") * F.sqrt(n * (n - 1)) / (n - 2)
+    per = o.groupBy("o_orderstatus").agg(F.max_by("o_orderkey", F.col("o_totalprice") * 1000000 + F.col("o_orderkey")).alias("dearest"), F.round(F.corr("o_custkey", "o_totalprice"), 6).alias("corr"), F.round(skew, 3).alias("skew"),
+                                      (F.abs(F.approx_count_distinct("o_custkey", 0.02) - F.countDistinct("o_custkey")) <= 0.05 * F.countDistinct("o_custkey") + 1).alias("sketch_ok"))
+    common = o.groupBy("o_orderstatus", "o_orderpriority").agg(F.count("*").alias("n")).groupBy("o_orderstatus").agg(F.max(F.struct("n", F.struct(F.col("o_orderpriority")))).alias("x"))
+    return per.join(common.select("o_orderstatus", F.col("x.col2.o_orderpriority").alias("common")), "o_orderstatus").select("o_orderstatus", "common", "dearest", "corr", "skew", "sketch_ok")
+
+
+@_add("unpivoted", "SELECT p_brand, measure, round(value, 4) AS value FROM (SELECT p_brand, 'size' AS measure, avg(p_size) AS value FROM part GROUP BY 1 UNION ALL SELECT p_brand, 'price', avg(p_retailprice) FROM part GROUP BY 1) AS u")
+def _(spark, d):
+    wide = table(spark, d, "part").groupBy("p_brand").agg(F.avg("p_size").alias("size"), F.avg("p_retailprice").alias("price"))
+    return wide.unpivot("p_brand", ["size", "price"], "measure", "value").withColumn("value", F.round("value", 4))
+
+
+# batches, and the streams that write the same in append mode, drained into files
 @_add("tumbling", "SELECT date_trunc('hour', ts) AS start, round(avg(value), 6) AS mean, round(stddev_samp(value), 6) AS sd, count(*) AS n FROM events GROUP BY 1")
 def _(spark, d):
     return jobs.tumbling(table(spark, d, "events")).select("start", *_r("mean", "sd"), "n")
@@ -786,7 +1088,7 @@ def _(spark, d):
 @_add("sessions", """SELECT user_id, min(ts) AS start, count(*) AS n, max(value) AS slowest FROM (SELECT *, sum(CAST(fresh AS INT)) OVER (PARTITION BY user_id ORDER BY ts, event_id) AS s FROM
   (SELECT *, coalesce(ts >= lag(ts) OVER (PARTITION BY user_id ORDER BY ts, event_id) + INTERVAL '12 hours', true) AS fresh FROM events) AS a) AS b GROUP BY user_id, s""")
 def _(spark, d):
-    return jobs.sessions(table(spark, d, "events"))
+    return jobs.sessions(table(spark, d, "events")).drop("end")
 
 
 @_add("dedup_events", "SELECT count(*) AS n FROM (SELECT DISTINCT event_id FROM events) AS e")
@@ -801,32 +1103,65 @@ def _(spark, d):
     return jobs.runs_of_three_batch(table(spark, d, "events"))
 
 
-@_add("stateful_run3")
-def _(spark, d):
-    """The stateful operator over a drained stream."""
-    import uuid
+def _streamed(job, *cols):
+    def run(spark, d):
+        out = jobs.drained(spark, job(jobs.source(spark, f"{d}/events.parque[t]"), spark, d), Shelf(spark, "stream").root)
+        return out.select(*[c for c in out.columns if c not in cols and c != "end"], *_r(*cols))
+
+    return run
 
-    tag = uuid.uuid4().hex
-    src = jobs.source(spark, f"{d}/events.parque[t]")
-    return jobs.drained(spark, jobs.runs_of_three(src), "append", f"runs_{tag}", f"{shared_dir(spark)}/stream-{tag}")
 
+_LATEST = "(SELECT max(ts) FROM events) - INTERVAL '1 day'"
+_add("stateful_run3", SQL["runs_of_three"])(_streamed(lambda e, spark, d: jobs.runs_of_three(e)))
+_add("stream_tumbling", f"SELECT * FROM ({SQL['tumbling']}) AS t WHERE start + INTERVAL '1 hour' <= {_LATEST}")(_streamed(lambda e, spark, d: jobs.tumbling(e), "mean", "sd"))
+_add("stream_sliding", f"SELECT * FROM ({SQL['sliding']}) AS t WHERE start + INTERVAL '1 hour' <= {_LATEST}")(_streamed(lambda e, spark, d: jobs.sliding(e), "error_rate"))
+_add("stream_sessions", f"""SELECT user_id, min(ts) AS start, count(*) AS n, max(value) AS slowest FROM (SELECT *, sum(CAST(fresh AS INT)) OVER (PARTITION BY user_id ORDER BY ts, event_id) AS s FROM
+  (SELECT *, coalesce(ts >= lag(ts) OVER (PARTITION BY user_id ORDER BY ts, event_id) + INTERVAL '12 hours', true) AS fresh FROM events) AS a) AS b GROUP BY user_id, s HAVING max(ts) + INTERVAL '12 hours' <= {_LATEST}""")(
+    _streamed(lambda e, spark, d: jobs.sessions(e)))
+_add("stream_dedup", "SELECT DISTINCT event_id FROM events")(_streamed(lambda e, spark, d: jobs.deduplicated(e.union(e)).select("event_id")))
+_add("stream_interval_join", SQL["interval_join"])(_streamed(lambda e, spark, d: jobs.bought_after_signup(e)))
+_add("stream_static_join", "SELECT event_id, user_id, c_mktsegment AS segment FROM events LEFT JOIN customer ON c_custkey = user_id")(_streamed(lambda e, spark, d: jobs.with_segment(e, table(spark, d, "customer"))))
 
-@_add("stream_tumbling", SQL["tumbling"])
+
+@_add("stream_scored", "SELECT event_id, round(CAST(CASE WHEN NOT (pattern_ok AND sim >= 0.6) THEN -2.0 WHEN status = 'ok' AND t_pred <= 30 AND equal THEN 3.0 + CASE WHEN t_pred = 0 THEN 1.0 ELSE least(1.0, t_gold / t_pred) END WHEN link_set_ok THEN 0.0 ELSE -1.5 END AS DOUBLE), 6) AS total FROM (" + LEAVES + ") AS l")
 def _(spark, d):
-    import uuid
+    """Rewards batch by batch; a repeated batch replaces itself."""
+    shelf = Shelf(spark, "scored")
+    score = lambda df: reward.score(df.sparkSession.sql(LEAVES.replace("FROM events", "FROM {e}"), e=df)).select("event_id", F.round("total", 6).alias("total"))
+    jobs.scored_batches(jobs.source(spark, f"{d}/events.parque[t]"), score, shelf.path("rows"), shelf.path("state")).awaitTermination()
+    return spark.read.parquet(shelf.path("rows")).select("event_id", "total")
+
 
-    tag = uuid.uuid4().hex
-    out = jobs.drained(spark, jobs.tumbling(jobs.source(spark, f"{d}/events.parque[t]")), "complete", f"tumbling_{tag}", f"{shared_dir(spark)}/stream-{tag}")
-    return out.select("start", *_r("mean", "sd"), "n")
+@_add("late_rows", f"SELECT CAST(count(*) FILTER (WHERE ts < high - INTERVAL '1 day') AS BIGINT) AS late, count(*) AS n FROM (SELECT ts, max(ts) OVER (ORDER BY event_id ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING) AS high FROM events) AS e")
+def _(spark, d):
+    return jobs.late_rows(table(spark, d, "events"), span=512)
 
 
 # experiments
+_PAPER = {
+    "w1": "SELECT * FROM (VALUES ('base', false, false, false, false, false), " + ", ".join(f"('{n}', true, true, {str(a.skeleton).lower()}, {str(a.efficiency).lower()}, {str(a.cold_start).lower()})" for n, a in reward.ARMS.items()) + ") AS t(arm, format, execution_and_linking, skeleton, efficiency, cold_start)",
+    "w14": f"SELECT suite, count(*) AS items, round(avg({_WORDS.format('question')}), 6) AS tokens_question, round(avg({_WORDS.format('gold_sql')}), 6) AS tokens_query, 'ours' AS origin FROM ({_ASKED}) AS q GROUP BY 1 UNION ALL SELECT * FROM (VALUES "
+           + ", ".join(f"('{a}', {n}, CAST({x} AS DOUBLE), CAST({y} AS DOUBLE), 'published')" for a, n, x, y in published.TRAINING) + ") AS p(suite, items, tokens_question, tokens_query, origin)",
+    "w18": SQL["retention"],
+    "w22": f"SELECT mode, round(avg(CAST(CASE mode WHEN 'slow' THEN {_valid_sql('slow')} WHEN 'fast' THEN {_valid_sql('fast')} ELSE {_valid_sql('suppressed')} END AS INT)), 6) AS valid, round(avg(n_tok_out), 6) AS tokens_out, count(*) AS n FROM (SELECT *, response AS r FROM ({_CANDS}) AS c) AS v GROUP BY 1",
+}
+_ROUNDED = {"w14": ("tokens_question", "tokens_query"), "w18": ("delta",), "w22": ("valid", "tokens_out")}
+
+
+def _workload(w: str):
+    def run(spark, d):
+        out = workloads.run(w, spark, d)
+        return out.select(*[F.round(c, 6).alias(c) if c in _ROUNDED.get(w, ()) else c for c in out.columns])
+
+    return run
+
+
 for _w in workloads.RUNS:
-    _add(f"workload_{_w}")(lambda spark, d, w=_w: workloads.run(w, spark, d))
+    _add(f"workload_{_w}", _PAPER.get(_w))(_workload(_w))
 
 
 def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Rewards of all candidates of suite A under the full method, executions replayed."""
+    """Rewards of all candidates of suite A under the full method, from real executions."""
     reach_workers(spark)
     rows = reward.score(workloads.prepared(spark, sf_dir).where("suite = 'A'"))
     return rows.select("question_id", "family", "kind", "mode", "sim", "fmt", "exec", "link", "eff", "total", "stage")

@@ -70,6 +70,19 @@ def jdbc(spark: SparkSession, url: str, name: str, column: str, low: int, high:
             .option("lowerBound", low).option("upperBound", high).option("numPartitions", parts).load())
 
 
+#: What each role may read: views over tables, never the tables, and functions of its own.
+GRANTS = {"auditor": (("order_totals",), ("sum", "count", "avg", "min", "max")), "analyst": (("order_totals", "open_orders"), ("sum", "count", "avg", "min", "max", "net_price", "year"))}
+
+
+def granted_views(spark: SparkSession, sf_dir: str, path: str) -> None:
+    """A materialised view (written once under ``path``), a view that hides rows and columns, and a function of the schema."""
+    totals = table(spark, sf_dir, "orders").groupBy("o_custkey").agg(F.count("*").alias("n_orders"), F.sum(F.col("o_totalprice").cast("decimal(18,2)")).cast("double").alias("total"))
+    totals.write.mode("overwrite").parquet(f"{path}/order_totals")
+    spark.read.parquet(f"{path}/order_totals").createOrReplaceTempView("order_totals")
+    table(spark, sf_dir, "orders").where("o_orderstatus = 'O'").select("o_orderkey", "o_orderdate", "o_totalprice").createOrReplaceTempView("open_orders")
+    spark.sql("CREATE OR REPLACE TEMPORARY FUNCTION net_price(price DOUBLE, cut DOUBLE) RETURNS DOUBLE RETURN price * (1 - cut)")
+
+
 def keep(df: DataFrame, path: str, by: list[str] | None = None, mode: str = "errorifexists") -> None:
     writer = df.write.mode(mode)
     (writer.partitionBy(*by) if by else writer).parquet(path)

@@ -4,6 +4,7 @@ from __future__ import annotations
 
 from collections.abc import Iterator
 
+import pyarrow as pa
 from pyspark.sql import SparkSession
 from pyspark.sql.functions import udtf
 
@@ -33,11 +34,16 @@ def _hybrid(a: str | None, b: str | None) -> float | None:
     return ALPHA * blocks(a, b) + (1 - ALPHA) * (len(x & y) / len(x | y) if x | y else 1.0)
 
 
+def _hybrids(batches: Iterator[tuple[pa.Array, pa.Array]]) -> Iterator[pa.Array]:
+    for a, b in batches:
+        yield pa.array([_hybrid(x, y) for x, y in zip(a.to_pylist(), b.to_pylist(), strict=True)], pa.float64())
+
+
 def register(spark: SparkSession) -> None:
     """``skeleton(sql)`` and ``reward_of(...)`` are SQL expressions the optimiser sees through; the rest runs in Python."""
     from pyspark.sql import functions as F
 
-    spark.udf.register("hybrid_similarity", F.udf(_hybrid, "double"))
+    spark.udf.register("hybrid_similarity", F.arrow_udf(_hybrids, "double"))
     spark.udtf.register("sql_tokens", SqlTokens)
     spark.udtf.register("clause_items", ClauseItems)
     spark.sql("CREATE OR REPLACE TEMPORARY FUNCTION reward_of(pattern_ok BOOLEAN, sim DOUBLE, success BOOLEAN, linked BOOLEAN, ratio DOUBLE) RETURNS DOUBLE "

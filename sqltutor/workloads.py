@@ -1,7 +1,8 @@
 """The paper's experiments, re-run on suites over the given tables with the tabular policy.
 
-``prepared`` scores all candidates of all questions once; ``trained`` trains every arm once; both are kept per session
-and data folder. Results are this library's own and say nothing about a language model's accuracy.
+``executions`` runs every family's edits for real under both engines, ``prepared`` scores all candidates of all questions
+once, ``trained`` trains every arm and baseline once; all are kept per session and data folder. Results are this library's
+own and say nothing about a language model's accuracy; times are measured, so they differ from run to run.
 """
 
 from __future__ import annotations
@@ -10,22 +11,27 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from .functions.similarity import sweep
-from .operators import baselines, dataset, distill, grouprl, judging, linking, metrics, mutate, published, reward
+from .operators import baselines, dataset, distill, grouprl, judging, linking, metrics, mutate, published, replay, reward
 from .operators.suites import FAMILIES, questions
 from .session import reach_workers
 from .sources.load import owners
 from .store import written
 
 ARMS = ("base", *reward.ARMS)
+#: Rewards of rival families, trained with the same loop; supervised fits; choices made when answering.
+RIVALS = {"sparse": reward.RewardSpec.sparse(), "clausewise": reward.RewardSpec.clausewise(), "result_overlap": reward.RewardSpec.result_overlap()}
+SUPERVISED = ("sft", "feedback", "synthetic")
+CHOSEN = ("best_of_n", "majority", "tree_search", "router")
+BASELINES = (*RIVALS, *SUPERVISED, *CHOSEN)
 TIERS = {"A": ["simple", "moderate", "challenging"], "B": ["easy", "medium", "hard", "extra"]}
 LEVEL = {"simple": "L1", "easy": "L1", "moderate": "L2", "medium": "L2", "challenging": "L3", "hard": "L3", "extra": "L3"}
 GRID = [x / 10 for x in range(11)]
 #: Logits of the untrained policy by kind: about half of its errors are linking errors, then structure, then conditions.
-LEAN = {"exact": 2.2, "equivalent": 1.2, "slow": 1.6, "table": 1.3, "attribute": 1.6, "unknown_column": 0.6, "subquery": 0.4, "clause": 0.7, "operator": 0.5, "function": 0.4,
-        "condition": 0.6, "value": 0.4, "syntax_error": -0.5, "bad_cast": -0.5}
+LEAN = {"exact": 2.2, "equivalent": 1.2, "fast": 0.2, "slow": 1.6, "table": 1.3, "attribute": 1.6, "unknown_column": 0.6, "subquery": 0.4, "clause": 0.7, "operator": 0.5, "function": 0.4,
+        "condition": 0.6, "value": 0.4, "syntax_error": -0.5, "bad_cast": -0.5, "timeout": -1.5}
 _TABLES: dict[tuple[str, str, str], DataFrame] = {}
 _RUNS: dict[tuple, dict[str, grouprl.Run]] = {}
-STEPS, GROUP = 6, 8
+STEPS, GROUP, EVERY, SAMPLES = 6, 8, 2, 8
 
 
 def _kept(spark: SparkSession, sf_dir: str, name: str, make) -> DataFrame:
@@ -39,19 +45,23 @@ def asked(spark: SparkSession, sf_dir: str) -> DataFrame:
     return _kept(spark, sf_dir, "questions", lambda: questions(spark, sf_dir))
 
 
+def executions(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Outcomes of guarded, timed runs by family, kind and engine."""
+    return _kept(spark, sf_dir, "executions", lambda: replay.outcomes(spark, sf_dir))
+
+
 def prepared(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """All candidates with text verdicts, linking, clause matches, error classes and replayed executions."""
+    """All candidates with text verdicts, linking, clause matches, error classes and what their kind did when it ran."""
     reach_workers(spark)
 
     def make() -> DataFrame:
         # each step joins its input with scores of that input's distinct texts; written inputs are computed once
         parts = max(spark.sparkContext.defaultParallelism, int(spark.conf.get("spark.sql.shuffle.partitions")))  # texts are short, the work on them is not
-        cands = mutate.replayed(mutate.candidates(asked(spark, sf_dir))).repartition(parts, "question_id", "slot")
+        cands = replay.replayed(mutate.candidates(asked(spark, sf_dir)), executions(spark, sf_dir)).repartition(parts, "question_id", "slot")
         rows = written(spark, reward.assembled(cands), "assembled")
         rows = written(spark, linking.with_elements(rows, ["sql", "gold_sql"], owners(spark, sf_dir)), "linked")
         rows = judging.judged(linking.score(rows, "sql_elements", "gold_sql_elements"))
-        right = F.col("equal")
-        return rows.withColumn("error", F.when(right, None).otherwise(F.coalesce("error", F.lit("condition"))))
+        return rows.withColumn("error", F.when(F.col("equal"), None).otherwise(F.coalesce("error", F.lit("condition"))))
 
     return _kept(spark, sf_dir, "candidates", make)
 
@@ -73,40 +83,74 @@ def start_policy() -> grouprl.Policy:
     return grouprl.Policy.initial(sorted(set(LEVEL.values())), list(mutate.KINDS), {k: LEAN.get(k, -1.0) for k in mutate.KINDS})
 
 
-def cold_start(spark: SparkSession, sf_dir: str, teacher: grouprl.Policy, k: int = 3, n: int = 6) -> grouprl.Policy:
-    """One pass of maximum likelihood on answers of the teacher that were right ``k`` times in a row."""
+def _right(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Which kinds answer which question rightly and in the form of their mode."""
+    return prepared(spark, sf_dir).select("question_id", "kind", "gold_sql", "sql", F.col("equal").alias("equal"), (F.col("pattern_ok") & F.col("equal")).alias("correct"))
+
+
+def cold_start(spark: SparkSession, sf_dir: str, teachers: dict[int, grouprl.Policy], k: int = 3, n: int = 6) -> grouprl.Policy:
+    """One pass of maximum likelihood of the untrained policy on what its teachers, checkpoints of an earlier run, got right
+    ``k`` times in a row: one record a question, the latest teacher's."""
     qs = training_questions(spark, sf_dir)
-    right = prepared(spark, sf_dir).select("question_id", "kind", F.coalesce("equal", F.lit(False)).alias("correct"), (F.col("pattern_ok") & F.col("equal")).alias("fit"))
-    tried = distill.attempts(qs.select("question_id", "family"), {0: teacher}, n).join(right, ["question_id", "kind"])
-    return grouprl.fit_mle(distill.keep_run(tried.withColumn("correct", F.col("fit")), k), teacher)
+    tried = distill.attempts(qs.select("question_id", "family"), teachers, n).join(_right(spark, sf_dir).select("question_id", "kind", "correct"), ["question_id", "kind"])
+    return grouprl.fit_mle(distill.progressive(distill.keep_run(tried, k)), start_policy())
+
+
+def supervised(spark: SparkSession, sf_dir: str) -> dict[str, grouprl.Policy]:
+    """Fits without reward training: on gold answers, on sampled answers that ran and were right, and on answers that a
+    strong generator got right where a weak one went wrong."""
+    qs, start = training_questions(spark, sf_dir).select("question_id", "family"), start_policy()
+    right = _right(spark, sf_dir)
+    tried = start.sample(qs, SAMPLES, 5).join(right.where("correct").select("question_id", "kind"), ["question_id", "kind"])
+    strong, weak = start.tempered(1.5), start.tempered(0.5)
+    pairs = baselines.preferred(strong.sample(qs, SAMPLES, 6), weak.sample(qs, SAMPLES, 7), right.select("question_id", "kind", "correct"))
+    return {"sft": grouprl.fit_mle(qs.withColumn("kind", F.lit("exact")), start), "feedback": grouprl.fit_mle(tried, start),
+            "synthetic": grouprl.fit_mle(pairs.select("question_id", "family", F.col("chosen").alias("kind")), start)}
 
 
 def trained(spark: SparkSession, sf_dir: str, steps: int = STEPS, group: int = GROUP) -> dict[str, grouprl.Run]:
+    """All arms and baselines that have a policy. The last arm starts from what checkpoints of the arm with the same reward
+    taught; its steps are the same."""
     key = (spark.sparkContext.applicationId, sf_dir, steps, group)
     if key not in _RUNS:
         qs, rows, runs = training_questions(spark, sf_dir), prepared(spark, sf_dir), {}
         runs["base"] = grouprl.Run(start_policy())
-        for arm, spec in reward.ARMS.items():
+        for arm, spec in {**reward.ARMS, **RIVALS}.items():
             cube = _kept(spark, sf_dir, f"cube-{arm}", lambda spec=spec: grouprl.reward_cube(reward.score(rows, spec)))
-            first = cold_start(spark, sf_dir, start_policy()) if spec.cold_start else start_policy()
-            runs[arm] = grouprl.train(qs, cube, first, steps=steps, group=group)
+            first = cold_start(spark, sf_dir, runs["skeleton_efficiency"].snapshots) if spec.cold_start else start_policy()
+            runs[arm] = grouprl.train(qs, cube, first, steps=steps, group=group, every=EVERY)
+        runs |= {arm: grouprl.Run(p) for arm, p in supervised(spark, sf_dir).items()}
         _RUNS[key] = runs
     return _RUNS[key]
 
 
-def evaluated(spark: SparkSession, sf_dir: str, arms: tuple[str, ...] = ARMS) -> DataFrame:
-    """``eval_rows``: each arm answers every question of all suites once, on two engines whose replayed times differ."""
+def answers(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """``(question_id, kind, arm)``: each arm's answer to every question of all suites."""
     def make() -> DataFrame:
-        qs = asked(spark, sf_dir).select("question_id", _level().alias("family"))
-        runs, out = trained(spark, sf_dir), None
-        for arm in ARMS:
-            one = runs[arm].policy.sample(qs, 1, 77).select("question_id", "kind", F.lit(arm).alias("arm"))
+        qs = asked(spark, sf_dir).select("question_id", _level().alias("family"), "tier")
+        runs, rows = trained(spark, sf_dir), prepared(spark, sf_dir)
+        out = None
+        for arm, run in runs.items():
+            one = run.policy.sample(qs.select("question_id", "family"), 1, 77).select("question_id", "kind", F.lit(arm).alias("arm"))
             out = one if out is None else out.unionByName(one)
-        rows = prepared(spark, sf_dir).select("question_id", "kind", "suite", "tier", "em", F.col("equal").alias("ex"), "t_gold", "t_pred", "jac", "n_tok_in", "n_tok_out", "error", "pattern_ok", "mode")
-        engines = F.explode(F.array(F.struct(F.lit("adaptive").alias("engine"), F.lit(1.0).alias("x")), F.struct(F.lit("static").alias("engine"), F.lit(1.3).alias("x"))))
-        slower = F.when(F.col("kind") == "slow", F.col("e.x")).otherwise(1.0)
-        return (out.join(rows, ["question_id", "kind"]).withColumn("e", engines).withColumn("engine", F.col("e.engine"))
-                .withColumn("t_pred", F.col("t_pred") * slower).drop("e"))
+        scored = reward.score(rows).select("question_id", "kind", "family", "mode", "total", F.col("fp"))
+        tried = runs["base"].policy.sample(qs.select("question_id", "family"), SAMPLES, 78).select("question_id", "slot", "kind").join(scored, ["question_id", "kind"])
+        best = baselines.best_of_n(tried).select("question_id", "kind", F.lit("best_of_n").alias("arm"))
+        votes = baselines.majority_by_result(tried).join(tried.select("question_id", "slot", "kind"), ["question_id", "slot"]).select("question_id", "kind", F.lit("majority").alias("arm"))
+        tree = baselines.tree_search(scored.select("question_id", "family", "kind", "total"), baselines.clause_paths(spark)).select("question_id", "kind", F.lit("tree_search").alias("arm"))
+        hard = out.join(qs.select("question_id", "tier"), "question_id").where(F.col("arm").isin("base", "full"))
+        routed = baselines.route(hard, [t for t, level in LEVEL.items() if level != "L1"], "base", "full").select("question_id", "kind", "arm")
+        return out.unionByName(best).unionByName(votes).unionByName(tree).unionByName(routed)
+
+    return _kept(spark, sf_dir, "answers", make)
+
+
+def evaluated(spark: SparkSession, sf_dir: str, arms: tuple[str, ...] = ARMS) -> DataFrame:
+    """``eval_rows``: each arm's answers with what they did on both engines."""
+    def make() -> DataFrame:
+        rows = prepared(spark, sf_dir).select("question_id", "family", "kind", "suite", "tier", "em", "jac", "n_tok_in", "n_tok_out", "error", "pattern_ok", "mode")
+        ran = executions(spark, sf_dir).select("family", "kind", "engine", "status", F.col("equal").alias("ex"), "t_gold", "t_pred", "t_cv")
+        return answers(spark, sf_dir).join(rows, ["question_id", "kind"]).join(F.broadcast(ran), ["family", "kind"])
 
     return _kept(spark, sf_dir, "eval", make).where(F.col("arm").isin(*arms))
 
@@ -122,15 +166,16 @@ def w2(spark, sf_dir):
 
 
 def w3(spark, sf_dir):
-    rows = evaluated(spark, sf_dir).where("engine = 'adaptive'")
+    rows = evaluated(spark, sf_dir, (*ARMS, *BASELINES)).where("engine = 'adaptive'")
     per = metrics.ex(rows, ["arm", "suite"])
     return (metrics.em(rows, ["arm", "suite"]).join(metrics.pgr(per, "base", "full", ["suite"]), ["arm", "suite"])
             .join(metrics.tep(rows, "base", ["suite"]), ["arm", "suite"]))
 
 
 def w4(spark, sf_dir):
-    per = metrics.ex(evaluated(spark, sf_dir).where("engine = 'adaptive'"), ["arm", "suite"])
-    return per.join(metrics.efficiency_gain(per, "base", ["suite"], "ex"), ["arm", "suite"])
+    """EX, and percent over the untrained policy and over the supervised fit."""
+    per = metrics.ex(evaluated(spark, sf_dir, (*ARMS, *BASELINES)).where("engine = 'adaptive'"), ["arm", "suite"])
+    return _gains(per, "ex")
 
 
 def w5(spark, sf_dir):
@@ -138,9 +183,15 @@ def w5(spark, sf_dir):
     return metrics.cdf(rows, ["arm", "suite"], "jac", GRID)
 
 
+def _gains(per: DataFrame, value: str) -> DataFrame:
+    for other in ("base", "sft"):
+        per = per.join(metrics.efficiency_gain(per, other, ["suite"], value).withColumnRenamed("gain", f"over_{other}"), ["arm", "suite"])
+    return per
+
+
 def w6(spark, sf_dir):
-    per = metrics.across_engines(evaluated(spark, sf_dir), ["arm", "suite"])
-    return per.join(metrics.efficiency_gain(per, "base", ["suite"]), ["arm", "suite"])
+    """VES, mean of both engines, and percent over the untrained policy and over the supervised fit."""
+    return _gains(metrics.across_engines(evaluated(spark, sf_dir, (*ARMS, *BASELINES)), ["arm", "suite"]), "ves")
 
 
 def _tiers(measure):
@@ -173,13 +224,18 @@ def w14(spark, sf_dir):
 
 
 def w15(spark, sf_dir):
-    """How many questions each distillation filter keeps, per snapshot of the full arm."""
+    """How many questions each distillation filter keeps, per checkpoint of the full arm: text equal to gold's, rows equal
+    to gold's, three right in a row, and the latest checkpoint's of these."""
     run = trained(spark, sf_dir)["full"]
     qs = training_questions(spark, sf_dir)
-    rows = prepared(spark, sf_dir).select("question_id", "kind", "gold_sql", "sql", (F.col("pattern_ok") & F.col("equal")).alias("correct"))
-    tried = distill.attempts(qs.select("question_id", "family"), {0: start_policy(), **run.snapshots}, 6).join(rows, ["question_id", "kind"])
+    tried = distill.attempts(qs.select("question_id", "family"), {0: start_policy(), **run.snapshots}, 6).join(_right(spark, sf_dir), ["question_id", "kind"])
     count = lambda df, name: df.select("question_id", "snapshot").distinct().groupBy("snapshot").agg(F.count("*").alias(name))
-    return (count(tried, "asked").join(count(distill.keep_exact(tried), "exact"), "snapshot", "left").join(count(distill.keep_run(tried), "run_of_three"), "snapshot", "left").fillna(0))
+    kept = distill.keep_run(tried)
+    per = {"exact": distill.keep_exact(tried), "same_rows": distill.keep_exact(tried.withColumn("correct", F.col("equal")), "ex"), "run_of_three": kept, "progressive": distill.progressive(kept)}
+    out = count(tried, "asked")
+    for name, df in per.items():
+        out = out.join(count(df, name), "snapshot", "left")
+    return out.fillna(0)
 
 
 def w16(spark, sf_dir):
@@ -233,4 +289,4 @@ def run(wid: str, spark: SparkSession, sf_dir: str) -> DataFrame:
     return RUNS[wid](spark, sf_dir)
 
 
-__all__ = ["ARMS", "FAMILIES", "RUNS", "baselines", "evaluated", "prepared", "run", "trained"]
+__all__ = ["ARMS", "BASELINES", "FAMILIES", "RUNS", "baselines", "evaluated", "executions", "prepared", "run", "trained"]

@@ -74,8 +74,8 @@ def test_training_improves(spark):
     kinds = {"exact": 4.0, "slow": 3.4, "value": 0.0, "no_fence": -2.0}
     cube = spark.createDataFrame([(q, k, v, v > 3, 5, 9) for q in range(40) for k, v in kinds.items()], "question_id long, kind string, total double, ex boolean, n_tok_in int, n_tok_out int")
     start = grouprl.Policy.initial(["L0", "L1"], list(kinds))
-    a, b = (grouprl.train(qs, cube, start, steps=5, group=4, every=5) for _ in range(2))
-    assert a.trace == b.trace and a.trace[-1][1] > a.trace[0][1] and set(a.snapshots) == {5}
+    a, b, c = (grouprl.train(qs.repartition(n), cube.repartition(2 * n), start, steps=5, group=4, every=5) for n in (1, 4, 8))
+    assert a.trace == b.trace == c.trace and (a.policy.theta == c.policy.theta).all() and a.trace[-1][1] > a.trace[0][1] and set(a.snapshots) == {5}
     fitted = grouprl.fit_mle(qs.withColumn("kind", F.lit("exact")), start)
     assert fitted.probs()[:, 0].min() > 0.7
 
@@ -127,6 +127,20 @@ def test_execution_runs_past_a_page(spark, tables):
     assert execution.run(spark, texts.limit(0), tables).count() == 0
 
 
+def test_costs_and_load(spark, tables):
+    texts = spark.createDataFrame([(f"SELECT o_custkey + {i}, COUNT(*) FROM orders GROUP BY o_custkey",) for i in range(4)] + [("SELECT nothing FROM orders",)], "sql string")
+    rows = {r.sql: r for r in execution.run(spark, texts, tables, execution.SORTING, repeats=1, concurrency=3).collect()}
+    assert [rows[t].status for t in sorted(rows)].count("ok") == 4 and len(rows) == 5
+    one = execution.run_one(spark, "SELECT o_custkey, COUNT(*) FROM orders GROUP BY o_custkey", tables, execution.ADAPTIVE, 0, 1, costs=True)
+    assert len(one) == 8 + len(execution.COSTS) and one[8 + execution.COSTS.index("shuffled")] > 0
+    assert execution.run_one(spark, "SELECT 1 FROM nowhere", tables, costs=True)[-1] is None
+
+
+def test_guard_by_function(spark, tables):
+    assert execution.guard(spark, "SELECT SUM(o_totalprice) FROM orders", tables, ("sum",)) == "ok"
+    assert execution.guard(spark, "SELECT SUM(ABS(o_totalprice)) FROM orders", tables, ("sum",)) == "blocked"
+
+
 def test_fingerprints(spark, tables):
     same = [("SELECT COUNT(*) AS a FROM orders", "SELECT SUM(1) FROM orders"), ("SELECT o_custkey, o_orderkey FROM orders", "SELECT o_custkey x, o_orderkey FROM orders ORDER BY 2 DESC")]
     for a, b in same:
@@ -148,6 +162,41 @@ def test_linking(spark):
     assert got == {1: (True, False), 2: (True, False), 3: (False, False), 4: (True, True)}
 
 
+def test_dedup_keeps_null_texts(spark):
+    df = spark.createDataFrame([(1, None), (2, None), (3, "a"), (4, " A"), (5, "b"), (5, "b"), (None, "c"), (None, "c")], "doc_id long, text string")
+    ids = lambda how: sorted((r.doc_id is None, r.doc_id or 0) for r in dataset.dedup(df, how).collect())
+    assert ids("exact") == [(False, 1), (False, 3), (False, 4), (False, 5), (True, 0)] and ids("normalised") == [(False, 1), (False, 3), (False, 5), (True, 0)]
+
+
+def test_grams_are_those_of_the_words(spark):
+    rng = np.random.default_rng(3)
+    texts = [" ".join(rng.choice(list("ab"), n)) for n in (0, 1, 3, 7, 8, 9, 40, 60)] + ["A  b\ta"]
+    df = spark.createDataFrame(list(enumerate(texts)), "i int, t string")
+    for n in (1, 3, 5, 8):
+        for r in df.select("t", F.size(dataset.grams(F.col("t"), n)).alias("k")).collect():
+            w = r.t.lower().split()
+            assert r.k == len({tuple(w[i : i + n]) for i in range(len(w) - n + 1)})
+
+
+def test_value_hints(spark):
+    df = spark.createDataFrame([(str(i % (7 + i % 3)),) for i in range(400)], "v string")
+    counts = sorted(((-n, v) for v, n in __import__("collections").Counter(r.v for r in df.collect()).items()))[:3]
+    assert [(r.value, r.n) for r in dataset.value_hints(df, ["v"]).orderBy("place").collect()] == [(v, -n) for n, v in counts]
+
+
+def test_several_objectives(spark):
+    base = (True, True, 1.0, "ok", True, 1.0, 2.0, True, True, 1, 1.0, 0.0)
+    df = spark.createDataFrame([(*base, 4, 8), (*base, 0, 0), (*base, 9, 3), (*base[:4], False, *base[5:], 1, 1)], LEAF + ", gold_shuffled long, shuffled long")
+    assert [r.eff for r in reward.several(df, {"t": 1.0, "shuffled": 3.0}).collect()] == [0.125 + 0.375, 0.125 + 0.75, 0.125 + 0.75, 0.0]
+
+
+def test_preferences(spark):
+    rows = lambda ks: spark.createDataFrame([(q, "L1", s, k) for q, s, k in ks], "question_id long, family string, slot int, kind string")
+    right = spark.createDataFrame([(q, k, k == "a") for q in (1, 2) for k in "abc"], "question_id long, kind string, correct boolean")
+    got = baselines.preferred(rows([(1, 0, "b"), (1, 1, "a"), (2, 0, "b")]), rows([(1, 0, "a"), (1, 1, "c"), (1, 2, "b"), (2, 0, "c")]), right).collect()
+    assert [(r.question_id, r.chosen, r.rejected) for r in got] == [(1, "a", "c")]
+
+
 def test_dataset(spark, sf):
     docs = load.table(spark, sf, "documents")
     assert dataset.dedup(docs).count() == docs.select("text").distinct().count()
@@ -193,19 +242,38 @@ def test_neighbours_are_alike_in_text(spark):
     assert all(r.skeleton == f"S{r.question_id % 3}" and r.sql != f"q{r.question_id}" for r in baselines.skeleton_then_fill(near, df).collect())
 
 
-def test_tree_search_finds_the_best(spark):
-    cube = spark.createDataFrame([(q, k, m, t) for q in range(5) for k, m, t in (("a", "slow", -2.0), ("b", "slow", 0.0), ("c", "fast", 4.0), ("d", "fast", 3.0))], "question_id long, kind string, mode string, total double")
-    assert {r.kind for r in baselines.tree_search(cube).collect()} == {"c"}
+def test_tree_search_goes_clause_by_clause(spark):
+    kinds, paths = list("abcde"), [["t", "x", "p"], ["t", "x", "q"], ["t", "y", "p"], ["u", "y", "p"], ["u", "z", "q"]]
+    for c in (0.0, 1.0):
+        assert baselines.searched(kinds, paths, [0.0, 1.0, -2.0, 3.0, 4.0], 40, c)[2] >= 2
+    assert baselines.searched(kinds, paths, [0.0, 1.0, -2.0, 3.0, 4.0], 40, 1.0) == ("e", 4.0, 5)
+    assert baselines.searched(["a"], [["t"]], [1.5], 3, 1.0) == ("a", 1.5, 1)
+    few = baselines.searched([f"k{i}" for i in range(20)], [[f"t{i // 5}", f"w{i}"] for i in range(20)], [4.0 if i // 5 == 2 else -2.0 for i in range(20)], 8, 0.5)
+    assert few[1] == 4.0 and few[2] < 20
+    cube = spark.createDataFrame([(q, "A01", k, t) for q in range(5) for k, t in (("exact", 3.5), ("value", 0.0), ("syntax_error", -2.0), ("slow", None))], "question_id long, family string, kind string, total double")
+    got = baselines.tree_search(cube, baselines.clause_paths(spark)).collect()
+    assert {(r.kind, r.total) for r in got} == {("exact", 3.5)} and len(got) == 5
 
 
 def test_streams_equal_batches(spark, sf):
     events, path = load.table(spark, sf, "events"), f"{sf}/events.parque[t]"
     close = lambda df: sorted(tuple(round(x, 6) if isinstance(x, float) and not math.isnan(x) else x for x in r) for r in df.fillna(-1).collect())
-    for name, job, mode in (("t", jobs.tumbling, "complete"), ("s", jobs.sliding, "complete"), ("r", jobs.runs_of_three, "append")):
-        tag = f"{name}_{uuid.uuid4().hex}"
-        got = jobs.drained(spark, job(jobs.source(spark, path)), mode, tag, f"{shared_dir(spark)}/{tag}")
-        want = jobs.runs_of_three_batch(events) if name == "r" else job(events)
-        assert close(got) == close(want)
+    hour = lambda df: jobs.closed(events, df, F.col("start") + F.expr("INTERVAL 1 HOUR"))
+    for job, want in ((jobs.tumbling, hour), (jobs.sliding, hour), (jobs.sessions, lambda df: jobs.closed(events, df, F.col("end"))), (jobs.runs_of_three, None), (jobs.deduplicated, lambda df: df), (jobs.bought_after_signup, lambda df: df)):
+        folder = f"{shared_dir(spark)}/{uuid.uuid4().hex}"
+        got = jobs.drained(spark, job(jobs.source(spark, path)), folder)
+        rows = close(got)
+        assert rows == close(jobs.runs_of_three_batch(events) if want is None else want(job(events))) and rows
+        assert close(jobs.drained(spark, job(jobs.source(spark, path)), folder)) == rows  # nothing new, nothing twice
+
+
+def test_late_rows(spark):
+    from datetime import datetime, timedelta
+
+    hours = [0, 50, 10, 51, 26, 90, 65, 67, 200, 100]
+    df = spark.createDataFrame([(i, datetime(2024, 1, 1) + timedelta(hours=h)) for i, h in enumerate(hours)], "event_id long, ts timestamp")
+    want = sum(any(x > h + 24 for x in hours[:i]) for i, h in enumerate(hours))
+    assert {jobs.late_rows(df, span=s).first().late for s in (2, 3, 100)} == {want} and jobs.late_rows(df.limit(0)).first().n == 0
 
 
 def test_sql_surface(spark):
