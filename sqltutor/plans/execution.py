@@ -20,6 +20,7 @@ from dataclasses import dataclass, field
 from py4j.protocol import Py4JJavaError
 from pyspark import inheritable_thread_target
 from pyspark.errors import AnalysisException, ParseException
+from pyspark.logger import PySparkLogger
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -63,7 +64,7 @@ def engine(spark: SparkSession, profile: EngineProfile) -> Iterator[None]:
 @contextlib.contextmanager
 def _quiet() -> Iterator[None]:
     """Texts that fail are results here; the client's log of failed queries stays silent meanwhile."""
-    log = logging.getLogger("SQLQueryContextLogger")
+    log = PySparkLogger.getLogger("SQLQueryContextLogger")
     before = log.level
     log.setLevel(logging.CRITICAL)
     try:
