@@ -28,14 +28,14 @@ def filled(family: Family, template: str) -> str:
     return template.replace("{p1}", family.default[0]).replace("{p2}", family.default[1])
 
 
-def texts(spark: SparkSession, kinds: tuple[str, ...] = mutate.KINDS) -> DataFrame:
-    """``(family, db_id, kind, sql, gold_sql)``: a row per family and kind."""
-    rows = [(f.id, f.db, k, filled(f, mutate.edit(f.gold, k)), f.text()) for f in FAMILIES for k in kinds]
+def texts(spark: SparkSession, kinds: tuple[str, ...] = mutate.KINDS, suites: str = "ABC") -> DataFrame:
+    """``(family, db_id, kind, sql, gold_sql)``: a row per family of these suites and kind."""
+    rows = [(f.id, f.db, k, filled(f, mutate.edit(f.gold, k)), f.text()) for f in FAMILIES if f.suite in suites for k in kinds]
     return spark.createDataFrame(rows, "family string, db_id string, kind string, sql string, gold_sql string")
 
 
 def outcomes(spark: SparkSession, sf_dir: str, profiles: tuple[execution.EngineProfile, ...] = (execution.ADAPTIVE, execution.STATIC),
-             warmup: int = 0, repeats: int = 2, kinds: tuple[str, ...] = mutate.KINDS, users: int = 8) -> DataFrame:
+             warmup: int = 0, repeats: int = 2, kinds: tuple[str, ...] = mutate.KINDS, users: int = 8, suites: str = "ABC") -> DataFrame:
     """``(family, kind, engine, status, equal, overlap, t_gold, t_pred, t_cv, cpu_ms, shuffled, spilled, peak, ..., fp)``.
 
     Every text runs once under the first engine for its status and rows, ``users`` at a time. Those whose rows are gold's
@@ -43,8 +43,8 @@ def outcomes(spark: SparkSession, sf_dir: str, profiles: tuple[execution.EngineP
     under all engines but the first once more for their rows. A wrong answer's status holds for all engines and its time, that
     of its one run under load, counts in no measure."""
     views(spark, sf_dir)
-    wanted, scratch, out = texts(spark, kinds), Shelf(spark, "replay"), None
-    for db, tables in DATABASES.items():
+    wanted, scratch, out = texts(spark, kinds, suites), Shelf(spark, "replay"), None
+    for db, tables in ((db, ts) for db, ts in DATABASES.items() if any(f.db == db and f.suite in suites for f in FAMILIES)):
         mine = wanted.where(F.col("db_id") == db)
         first = execution.run(spark, mine.where("kind <> 'timeout'"), tables, profiles[0], repeats=0, concurrency=users)
         prints = first.where("status = 'ok'").select("sql", _print().alias("fp"))

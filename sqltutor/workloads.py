@@ -13,6 +13,7 @@ from pyspark.sql import functions as F
 from .functions.similarity import sweep
 from .operators import baselines, dataset, distill, grouprl, judging, linking, metrics, mutate, published, replay, reward
 from .operators.suites import FAMILIES, questions
+from .plans.execution import ADAPTIVE, STATIC, EngineProfile
 from .session import reach_workers
 from .sources.load import owners
 from .store import written
@@ -45,25 +46,27 @@ def asked(spark: SparkSession, sf_dir: str) -> DataFrame:
     return _kept(spark, sf_dir, "questions", lambda: questions(spark, sf_dir))
 
 
-def executions(spark: SparkSession, sf_dir: str) -> DataFrame:
+def executions(spark: SparkSession, sf_dir: str, suites: str = "ABC", profiles: tuple[EngineProfile, ...] = (ADAPTIVE, STATIC)) -> DataFrame:
     """Outcomes of guarded, timed runs by family, kind and engine."""
-    return _kept(spark, sf_dir, "executions", lambda: replay.outcomes(spark, sf_dir))
+    return _kept(spark, sf_dir, f"executions-{suites}-{len(profiles)}", lambda: replay.outcomes(spark, sf_dir, profiles, suites=suites))
 
 
-def prepared(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """All candidates with text verdicts, linking, clause matches, error classes and what their kind did when it ran."""
+def prepared(spark: SparkSession, sf_dir: str, suites: str = "ABC") -> DataFrame:
+    """All candidates of these suites with text verdicts, linking, clause matches, error classes and what their kind did when
+    it ran; a single suite's texts run under the first engine only."""
     reach_workers(spark)
 
     def make() -> DataFrame:
         # each step joins its input with scores of that input's distinct texts; written inputs are computed once
         parts = max(spark.sparkContext.defaultParallelism, int(spark.conf.get("spark.sql.shuffle.partitions")))  # texts are short, the work on them is not
-        cands = replay.replayed(mutate.candidates(asked(spark, sf_dir)), executions(spark, sf_dir)).repartition(parts, "question_id", "slot")
+        ran = executions(spark, sf_dir) if suites == "ABC" else executions(spark, sf_dir, suites, (ADAPTIVE,))
+        cands = replay.replayed(mutate.candidates(asked(spark, sf_dir).where(F.col("suite").isin(*suites))), ran).repartition(parts, "question_id", "slot")
         rows = written(spark, reward.assembled(cands), "assembled")
         rows = written(spark, linking.with_elements(rows, ["sql", "gold_sql"], owners(spark, sf_dir)), "linked")
         rows = judging.judged(linking.score(rows, "sql_elements", "gold_sql_elements"))
         return rows.withColumn("error", F.when(F.col("equal"), None).otherwise(F.coalesce("error", F.lit("condition"))))
 
-    return _kept(spark, sf_dir, "candidates", make)
+    return _kept(spark, sf_dir, f"candidates-{suites}", make)
 
 
 def _level() -> F.Column:
