@@ -125,11 +125,19 @@ def gradient(df: DataFrame, policy: Policy, eps: float = 0.2) -> tuple[np.ndarra
     """Gradient of the mean clipped surrogate in theta and the surrogate itself. Rows have ``family``, ``kind``, ``adv``,
     ``logp``, ``logp_old`` and ``group`` size; a clipped row pulls nothing. One row per parameter reaches the driver, in
     decimal sums and taken in one order, so that the result is the same bit for bit on any layout."""
+    return _assembled(_sums(df, eps), policy)
+
+
+def _sums(df: DataFrame, eps: float, *more: Column) -> list:
+    """One row a parameter that occurs: its pull, its part of the surrogate and of the groups, and ``more`` sums."""
     r, a = ratio(), F.col("adv")
     live = ~(((a > 0) & (r > 1 + eps)) | ((a < 0) & (r < 1 - eps)))
     pull = F.when(live, r * a).otherwise(0.0)
-    sums = df.groupBy("family", "kind").agg(F.sum(_exact(pull / F.col("group"))).alias("g"), F.sum(_exact(surrogate_term(eps) / F.col("group"))).alias("s"),
-                                            F.sum(_exact(1.0 / F.col("group"))).alias("w")).collect()
+    return df.groupBy("family", "kind").agg(F.sum(_exact(pull / F.col("group"))).alias("g"), F.sum(_exact(surrogate_term(eps) / F.col("group"))).alias("s"),
+                                            F.sum(_exact(1.0 / F.col("group"))).alias("w"), *more).collect()
+
+
+def _assembled(sums: list, policy: Policy) -> tuple[np.ndarray, float]:
     grad, at = np.zeros_like(policy.theta), {c: i for i, c in enumerate(policy.classes)}
     groups = float(sum(x["w"] for x in sums)) or 1.0
     for x in sums:
@@ -173,39 +181,47 @@ class Run:
     snapshots: dict[int, Policy] = field(default_factory=dict)
 
 
-def _stats(rows: DataFrame) -> tuple[float, float, float]:
-    """Mean and deviation of the reward and mean length, from exact sums."""
-    x = rows.agg(F.count("*").alias("n"), F.sum(_exact("total")).alias("s"), F.sum(_exact(F.col("total") * F.col("total"))).alias("q"), F.sum("n_tok_out").alias("t")).first()
-    if not x["n"]:
-        return 0.0, 0.0, 0.0
-    spread = (x["q"] - x["s"] * x["s"] / x["n"]) / (x["n"] - 1) if x["n"] > 1 else 0
-    return float(x["s"] / x["n"]), math.sqrt(max(0.0, float(spread))), float(x["t"] / x["n"])
+def _traced(sums: list) -> tuple[float, float, float, int]:
+    """Mean and deviation of the reward, mean length, and groups without a signal, from exact sums."""
+    n, r, q, t, d = (sum(x[c] for x in sums) for c in ("n", "r", "q", "t", "d"))
+    if not n:
+        return 0.0, 0.0, 0.0, 0
+    spread = (q - r * r / n) / (n - 1) if n > 1 else 0
+    return float(r / n), math.sqrt(max(0.0, float(spread))), float(t / n), round(d)
 
 
 def train(questions: DataFrame, cube: DataFrame, start: Policy, steps: int = 12, group: int = 8, inner: int = 1, eps: float = 0.2, beta: float = 0.04,
           seed: int = 1, every: int = 4, rate: float = 0.3) -> Run:
     """Samples, scores and updates for ``steps`` rounds; the trace has step, mean and deviation of reward, mean length,
     surrogate, KL and zero-signal groups. ``questions`` and ``cube`` should be written tables: each step reads them
-    afresh, so no lineage grows. ``inner`` updates reuse a sample, where clipping begins to bite."""
+    afresh, so no lineage grows, and is one aggregation; ``inner`` updates reuse a sample, where clipping begins to bite, and
+    add one each."""
     reference, policy, adam = start, Policy(start.classes, start.kinds, start.theta.copy()), Adam(rate)
     run = Run(policy)
     sizes = {r["family"]: r["n"] for r in questions.groupBy("family").agg(F.count("*").alias("n")).collect()}  # one row a class
     weights = np.array([sizes.get(c, 0) for c in policy.classes], float)
     weights /= weights.sum() or 1.0
+    whole = Window.partitionBy("question_id")
     for step in range(steps):
         old = Policy(policy.classes, policy.kinds, policy.theta.copy())
-        rows = old.sample(questions.select("question_id", "family"), group, seed, step).join(cube, ["question_id", "kind"])
-        rows = advantages(rows, exact=True).withColumn("group", F.lit(float(group))).withColumn("logp_old", old.logp()).persist()
+        rows = advantages(old.sample(questions.select("question_id", "family"), group, seed, step).join(cube, ["question_id", "kind"]), exact=True)
+        rows = (rows.withColumn("group", F.lit(float(group))).withColumn("logp_old", old.logp()).withColumn("dead", F.min("total").over(whole) == F.max("total").over(whole))
+                .withColumn("size", F.count("*").over(whole)))
+        rows = rows.persist() if inner > 1 else rows
         try:
-            stats = _stats(rows)
-            dead = dead_groups(rows).first()["dead"]
-            for _ in range(inner):
+            sums = _sums(rows.withColumn("logp", F.col("logp_old")), eps, F.count("*").alias("n"), F.sum(_exact("total")).alias("r"), F.sum(_exact(F.col("total") * F.col("total"))).alias("q"),
+                         F.sum("n_tok_out").alias("t"), F.sum(_exact(F.when(F.col("dead"), 1.0 / F.col("size")).otherwise(0.0))).alias("d"))
+            mean, spread, length, dead = _traced(sums)
+            grad, value = _assembled(sums, policy)
+            policy.theta = adam.step(policy.theta, grad - beta * kl_gradient(policy, reference, weights))
+            for _ in range(inner - 1):
                 grad, value = gradient(rows.withColumn("logp", policy.logp()), policy, eps)
                 policy.theta = adam.step(policy.theta, grad - beta * kl_gradient(policy, reference, weights))
         finally:
-            rows.unpersist()
+            if inner > 1:
+                rows.unpersist()
         kl_now = float((weights * kl_exact(policy.probs(), reference.probs())).sum())
-        run.trace.append((step, *stats, float(value), kl_now, int(dead)))
+        run.trace.append((step, mean, spread, length, float(value), kl_now, dead))
         if every and (step + 1) % every == 0:
             run.snapshots[step + 1] = Policy(policy.classes, policy.kinds, policy.theta.copy())
     run.policy = policy
