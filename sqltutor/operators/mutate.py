@@ -31,7 +31,8 @@ MODE = {"exact": "slow", "equivalent": "suppressed", "fast": "slow", "slow": "fa
         "table": "fast", "subquery": "slow", "clause": "suppressed", "syntax_error": "slow", "unknown_column": "fast", "bad_cast": "suppressed", "timeout": "fast", "no_fence": "slow",
         "think_in_suppressed": "suppressed", "empty_think_in_slow": "slow", "text_in_fast_think": "fast", "unclosed_tag": "slow"}
 #: An answer that no limit of a few seconds lets through, and the tables that it may run away with.
-RUNAWAY = "SELECT COUNT(*) AS n FROM {table} AS a CROSS JOIN {table} AS b CROSS JOIN {table} AS c WHERE hash(a.{key}, b.{key}, c.{key}) = 7"
+RUNAWAY = ("SELECT COUNT(*) AS n FROM {table} AS a CROSS JOIN {table} AS b CROSS JOIN {table} AS c CROSS JOIN {table} AS d CROSS JOIN {table} AS e "
+           "WHERE hash(a.{key}, b.{key}, c.{key}, d.{key}, e.{key}) = 7")
 LARGEST = {"retail": "lineitem", "web": "documents", "activity": "events"}
 
 

@@ -50,7 +50,7 @@ def outcomes(spark: SparkSession, sf_dir: str, profiles: tuple[execution.EngineP
         prints = first.where("status = 'ok'").select("sql", _print().alias("fp"))
         gold = prints.select(F.col("sql").alias("gold_sql"), F.col("fp").alias("gold_fp"))
         right = mine.join(prints, "sql").join(gold, "gold_sql").where("fp = gold_fp").select("sql").union(mine.select("gold_sql")).distinct()
-        for k, profile in enumerate(profiles):
+        for k, profile in enumerate(_sized(spark, p) for p in profiles):
             timed = execution.run(spark, right, tables, profile, warmup=warmup, repeats=repeats, costs=True, rows=k > 0)
             if k == 0:
                 seen = ("n", "sum_h", "xor_h", "ncols")
@@ -71,6 +71,14 @@ def outcomes(spark: SparkSession, sf_dir: str, profiles: tuple[execution.EngineP
     return scratch.put(rows.drop("gold_fp", "sql", "gold_sql", "db_id"), "outcomes")
 
 
+def _sized(spark: SparkSession, profile: execution.EngineProfile) -> execution.EngineProfile:
+    """An engine that cannot adapt shuffles into no more parts than there are cores, or most of its tasks would be empty."""
+    if profile.conf.get("spark.sql.adaptive.enabled") != "false":
+        return profile
+    parts = min(int(spark.conf.get("spark.sql.shuffle.partitions")), spark.sparkContext.defaultParallelism)
+    return execution.EngineProfile(profile.name, {**profile.conf, "spark.sql.shuffle.partitions": str(parts)})
+
+
 def _print() -> F.Column:
     return F.when(F.col("status") == "ok", F.concat_ws("/", "n", "sum_h", "xor_h", "ncols"))
 
