@@ -1,9 +1,11 @@
-"""Near copies by five-word shingles: content cells, Manhattan bound on SimHash popcounts, exact Jaccard similarity.
+"""Near copies by five-word shingles: SimHash grid, content cells, Manhattan bound on popcounts, exact Jaccard similarity.
 
 Documents link if their sets of five-word shingles have a Jaccard similarity of ``SIMILARITY`` or more (fewer words: the
-whole sequence is the one shingle; no words: all such documents are one). At this similarity 64-bit fingerprints lie about
-ten bits apart and some up to twenty, too far for a grid over the fingerprint alone to tell them from chance. So a cell is
-named by the content: ``KEYS`` minima of hashed shingles, in ``TABLES`` independent tables. Two documents at the threshold
+whole sequence is the one shingle; no words: all such documents are one). Fingerprints are embedded as segment popcounts
+and joined on a grid under Manhattan distance (``simhash.links``): those that two bits connect, and texts of one
+fingerprint, are a cell. At ``SIMILARITY`` 64-bit fingerprints lie about ten bits apart and some up to twenty, too far for
+a grid over the fingerprint alone to tell them from chance. So further cells, for pairs out of the grid's reach, are named
+by the content: ``KEYS`` minima of hashed shingles, in ``TABLES`` independent tables. Two documents at the threshold
 share a cell of one table with probability ``SIMILARITY ** KEYS``, and miss all with 0.00001 at the values here; more alike
 ones miss less. Inside a cell the fingerprints' segment popcounts bound their distance from below, pairs over ``FAR`` bits
 are dropped, and shingle sets decide.
@@ -24,6 +26,7 @@ import xxhash
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from . import simhash
 from .common import Scratch, packed_rows, parts_for, text_of, unpacked
 from .graph import components
 
@@ -134,9 +137,20 @@ def _linked(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         yield flush()
 
 
+def grid(spark: SparkSession, nodes: DataFrame) -> DataFrame:
+    """``(node, fp, n, cell)``: a cell of its own for each set of fingerprints that the grid join connects."""
+    scratch = Scratch(spark, "grid")
+    shown = nodes.where("n > 0").select("node", "fp", "n")
+    joined = components(spark, simhash.links(spark, shown.select("fp").distinct(), scratch))
+    placed = shown.join(joined.withColumnRenamed("node", "fp"), "fp", "left")
+    out = scratch.save(placed.select("node", "fp", "n", F.xxhash64(F.lit("grid"), F.coalesce("component", "fp")).alias("cell")), "cells")
+    scratch.drop("members")
+    return out
+
+
 def links(spark: SparkSession, marked: DataFrame, nodes: DataFrame, scratch: Scratch, cell_bytes: int = CELL_BYTES) -> DataFrame:
     """``(a, b)`` between different texts, named by a row that has each (``node``); ``marked`` has ``row`` and ``text``."""
-    cells = nodes.select("node", "fp", "n", F.explode("cells").alias("cell"))
+    cells = nodes.select("node", "fp", "n", F.explode("cells").alias("cell")).unionByName(grid(spark, nodes))
     mark = F.xxhash64("node")
     shared = (cells.groupBy("cell").agg(F.count("*").alias("size"), F.sum(mark.cast("decimal(38,0)")).alias("total"), F.bit_xor(mark).alias("mixed"), F.sum("n").alias("n"))
               .where("size > 1").groupBy("size", "total", "mixed").agg(F.min("cell").alias("cell"), F.first("n").alias("n")))

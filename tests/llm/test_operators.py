@@ -138,6 +138,20 @@ def test_near_copies(spark, edited, nothing, cell_bytes):
     assert nearcopy.keep_one(spark, nothing).count() == 0
 
 
+def test_the_grid_links_without_content_cells(spark):
+    """Texts whose fingerprints lie within two bits meet on the grid; their shingle sets decide."""
+    from sqltutor.llm.common import Scratch
+
+    base = [f"w{i}" for i in range(4000)]
+    texts = [" ".join(x) for x in (base, base[:-1] + ["other"], ["other"] + base[1:], [f"v{i}" for i in range(400)])]
+    marks = [nearcopy.sketch(t) for t in texts]
+    assert all((a["fp"] ^ b["fp"]).bit_count() <= 2 for a, b in zip(marks[:3], marks[1:3])) and len({m["digest"] for m in marks}) == 4
+    marked = spark.createDataFrame(list(enumerate(texts)), "row long, text string")
+    nodes = spark.createDataFrame([(k, m["fp"], m["n"], []) for k, m in enumerate(marks)], "node long, fp long, n int, cells array<long>")
+    got = nearcopy.links(spark, marked, nodes, Scratch(spark, "t")).collect()
+    assert len(got) == 2 and {x for r in got for x in (r.a, r.b)} == {0, 1, 2}
+
+
 def test_forest_compares_as_all_pairs_do():
     rng = random.Random(5)
     sets = [np.unique(np.array([rng.randrange(60) for _ in range(rng.randrange(1, 50))], np.uint64)) for _ in range(120)]
