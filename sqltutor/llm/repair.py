@@ -34,18 +34,18 @@ def compress(ids: np.ndarray, base: int) -> tuple[np.ndarray, np.ndarray]:
 
     Counts of pairs without a symbol of the last round only fall, so a later round counts pairs with such a symbol, those
     of the last round's pairs that are left, and all pairs only where the last round couldn't take every frequent one."""
-    seq, rules, top, recent, slots = ids.astype(np.uint32), [], base, 0, None
+    seq, rules, top, recent, live = ids.astype(np.uint32), [], base, 0, None
     while True:
         room = min(PER_ROUND, SYMBOLS - top)
         if len(seq) < 2 or room <= 0:
             break
         keys = (seq[:-1] << np.uint32(16)) | seq[1:]
         hashed = _mixed(keys)
-        if slots is None:
+        if live is None:
             ordered = np.sort(keys)
         else:
             new = seq >= recent
-            ordered = np.sort(keys[new[:-1] | new[1:] | (slots[hashed] >= 0)])
+            ordered = np.sort(keys[new[:-1] | new[1:] | live.take(hashed)])
         if not len(ordered):
             break
         edge = np.flatnonzero(np.concatenate(([True], ordered[1:] != ordered[:-1])))
@@ -57,10 +57,10 @@ def compress(ids: np.ndarray, base: int) -> tuple[np.ndarray, np.ndarray]:
         if not whole:
             often = np.sort(often[np.argpartition(-counts[often], room - 1)[:room]])
         chosen, times = ordered[edge[often]], counts[often]
-        slots, shared = _slots(chosen)
-        places = np.flatnonzero(slots[hashed] >= 0)
-        at = slots[hashed[places]]
-        found = keys[places]
+        slots, shared, live = _slots(chosen)
+        places = np.flatnonzero(live.take(hashed))
+        at = slots.take(hashed.take(places))
+        found = keys.take(places)
         odd = np.flatnonzero(shared[at])
         at[odd] = np.minimum(np.searchsorted(chosen, found[odd]), len(chosen) - 1)
         hit = chosen[at] == found
@@ -73,20 +73,22 @@ def compress(ids: np.ndarray, base: int) -> tuple[np.ndarray, np.ndarray]:
         keep = np.ones(len(seq), bool)
         keep[places + 1] = False
         seq, top, recent = seq[keep], top + int(there.sum()), top
-        slots = slots if whole else None
+        live = live if whole else None
     flat = np.concatenate(rules) if rules else np.zeros(0, np.uint32)
     return seq.astype("<u2"), np.stack([flat >> 16, flat & 0xFFFF], axis=1).astype("<u2")
 
 
-def _slots(chosen: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """Hash -> place in ``chosen`` or -1, and which of ``chosen`` share their hash with another."""
+def _slots(chosen: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Hash -> place in ``chosen``, which of ``chosen`` share their hash with another, and which hashes occur: a table of
+    bytes, which all places ask and few pass."""
     at = _mixed(chosen)
-    slots = np.full(1 << 20, -1, np.int32)
+    slots, live = np.zeros(1 << 20, np.int32), np.zeros(1 << 20, bool)
+    live[at] = True
     slots[at] = np.arange(len(chosen), dtype=np.int32)
     lost = slots[at] != np.arange(len(chosen))
     shared = np.zeros(len(chosen), bool)
     shared[slots[at[lost]]] = True
-    return slots, shared | lost
+    return slots, shared | lost, live
 
 
 def _apart(places: np.ndarray, times: np.ndarray) -> np.ndarray:
@@ -116,7 +118,7 @@ def _apart(places: np.ndarray, times: np.ndarray) -> np.ndarray:
 
 
 def _mixed(keys: np.ndarray) -> np.ndarray:
-    return (keys * np.uint32(2654435761)) >> np.uint32(12)
+    return ((keys * np.uint32(2654435761)) >> np.uint32(12)).astype(np.intp)
 
 
 def lengths(rules: np.ndarray, base: int) -> np.ndarray:
