@@ -1,10 +1,10 @@
-"""Experiments ask for the parts that their results depend on."""
+"""Experiments ask for the parts that their results depend on; plans and drift look at rows."""
 
 import pytest
 from pyspark.sql import functions as F
 
 from sqltutor import registry, workloads
-from sqltutor.operators import grouprl, mutate, replay
+from sqltutor.operators import grouprl, linking, mutate, replay
 
 
 @pytest.fixture
@@ -49,3 +49,17 @@ def test_equality_alone_needs_no_times(spark, sf, alone, monkeypatch):
     _few(spark, monkeypatch)
     got = registry.QUERIES["executed_pairs"](spark, sf).collect()
     assert len(got) == len(registry._PAIRED) * len(registry._SAME) and {r["equal"] for r in got} == {False}
+
+
+def test_drift_looks_at_values_before_names(spark):
+    cells = "db_id string, tab string, col string, dtype string"
+    old, new = spark.createDataFrame([("d", "t", "price", "int")], cells), spark.createDataFrame([("d", "t", "prices", "int"), ("d", "t", "cost", "int")], cells)
+    df = spark.createDataFrame([(1, 7), (2, 8)], "price int, prices int")
+    was, now = linking.contents(old, new, {"t": df.select("price")}), linking.contents(new, old, {"t": df.select(F.col("price").alias("cost"), "prices")})
+    assert {tuple(r)[2:] for r in linking.drift(old, new, was, now).collect()} == {("price", "cost", "renamed"), (None, "prices", "gained")}
+    assert {tuple(r)[2:] for r in linking.drift(old, new).collect()} == {("price", "prices", "renamed"), (None, "cost", "gained")}
+
+
+def test_drift_reads_the_tables(spark, sf):
+    files = registry.QUERIES["schema_drift"](spark, sf).inputFiles()
+    assert any(f.endswith("customer.parquet") for f in files)
