@@ -51,6 +51,17 @@ def test_equality_alone_needs_no_times(spark, sf, alone, monkeypatch):
     assert len(got) == len(registry._PAIRED) * len(registry._SAME) and {r["equal"] for r in got} == {False}
 
 
+@pytest.mark.parametrize("name", ["plan_cost", "cost_limit"])
+def test_plan_level_queries_run_their_texts(spark, sf, monkeypatch, name):
+    from sqltutor.plans import execution
+
+    ran, whole = [], execution.run
+    monkeypatch.setattr(execution, "run", lambda spark, texts, *a, **k: ran.append(texts.count()) or whole(spark, texts, *a, **k))
+    got = registry.QUERIES[name](spark, sf).collect()
+    assert len(got) == 36 and sum(ran) >= 36
+    assert name == "cost_limit" or all(0 < r["ratio"] <= 1 for r in got)
+
+
 def test_drift_looks_at_values_before_names(spark):
     cells = "db_id string, tab string, col string, dtype string"
     old, new = spark.createDataFrame([("d", "t", "price", "int")], cells), spark.createDataFrame([("d", "t", "prices", "int"), ("d", "t", "cost", "int")], cells)
