@@ -146,3 +146,32 @@ def test_drift_looks_at_values_before_names(spark):
 def test_drift_reads_the_tables(spark, sf):
     files = registry.QUERIES["schema_drift"](spark, sf).inputFiles()
     assert any(f.endswith("customer.parquet") for f in files)
+
+
+def test_suites_and_databases_run_together_and_runaways_by_themselves(spark, sf, monkeypatch):
+    from sqltutor.plans import execution
+
+    calls = []
+
+    def run(spark, texts, tables, profile, repeats=0, concurrency=1, limit_s=30.0):
+        rows = texts.select("db_id", "sql").collect()
+        calls.append((limit_s, {r["db_id"] for r in rows}, any("CROSS JOIN" in r["sql"] for r in rows), all("CROSS JOIN" in r["sql"] for r in rows)))
+        return spark.createDataFrame([], f"{execution.SCHEMA}, db_id string")
+
+    monkeypatch.setattr(workloads, "_TABLES", {})
+    monkeypatch.setattr(execution, "run", run)
+    workloads._checked(spark, sf, "ABC", execution.ADAPTIVE)
+    every = {"retail", "web", "activity"}
+    assert calls == [(30.0, every, False, False), (replay.RUNAWAY_S, every, True, True)]
+    workloads._checked(spark, sf, "B", execution.ADAPTIVE)
+    assert len(calls) == 2
+
+
+def test_each_text_runs_over_the_tables_of_its_database(spark, sf):
+    from sqltutor.plans import execution
+    from sqltutor.sources.load import DATABASES, views
+
+    views(spark, sf)
+    texts = spark.createDataFrame([("retail", "SELECT COUNT(*) AS n FROM nation"), ("web", "SELECT COUNT(*) AS n FROM nation")], "db_id string, sql string")
+    got = {r["db_id"]: r["status"] for r in execution.run(spark, texts, DATABASES, repeats=0, concurrency=2).collect()}
+    assert got == {"retail": "ok", "web": "blocked"}
