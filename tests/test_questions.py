@@ -40,7 +40,8 @@ def test_together_is_what_each_text_does_by_itself(spark, sf, wanted, alone, pro
     assert len(known) == len(rows) and {"C06", "B12", "A12"} <= {r.family for r in wanted.collect() if r.sql in known}
     for r in rows:
         one = alone[r.db_id, r.sql]
-        assert one[0] == "ok" and (r.n, r.sum_h, r.xor_h, r.ncols) == one[3:7], r.sql
+        assert (r.status, r.n, r.sum_h, r.xor_h, r.ncols) == (one[0], *one[3:7]), r.sql
+    assert {r.status for r in rows} == {"ok", "parse_error"}
 
 
 def test_a_question_has_the_outcome_of_its_own_text(spark, sf, wanted, alone):
